@@ -17,6 +17,7 @@ from __future__ import annotations
 import base64
 import hashlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -113,8 +114,8 @@ class RankCoder:
 
     def encode(self, texts: list[str]) -> list[tuple[int, str, bytes]]:
         split = [self.split(t) for t in texts]
-        seen = {w for words in split for w in words}
-        fresh = seen - self.cache.keys()
+        seen = set(chain.from_iterable(split))
+        fresh = seen.difference(self.cache)
         if len(self.cache) + len(fresh) > self.words:
             self.cache.clear()
             fresh = seen

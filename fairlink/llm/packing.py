@@ -82,7 +82,7 @@ class WordIds:
 
     PLAIN = re.compile("[^\t\n\r\x20-\x7e\xa1-\xbf\xc0-\xff]")
 
-    def __init__(self, path: str, words: int = 600_000):
+    def __init__(self, path: str, words: int = 1_200_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -113,7 +113,7 @@ class WordIds:
         plain = [not self.PLAIN.search(t) for t in texts]
         split = [self.find(t.lower()) if p else [] for t, p in zip(texts, plain, strict=True)]
         seen = set(chain.from_iterable(split))
-        fresh = seen - self.cache.keys()
+        fresh = seen.difference(self.cache)
         if len(self.cache) + len(fresh) > self.words:
             self.cache.clear()
             fresh = seen

@@ -55,7 +55,7 @@ TABLE = (
     Rule("word_length", "word_chars", "n_words", low=200, high=1400),
     Rule("symbols", "n_symbols", "n_words", high=10),
     Rule("stop_words", "n_stop_words", "n_words", low=2),
-    Rule("repeated_lines", "n_dup_lines", "n_lines", high=30),
+    Rule("repeated_lines", "n_dup_lines", "n_lines", high=50),
     Rule("capitals", "n_capitals", "word_chars", high=30),
     Rule("adjacent_repeats", "n_adjacent", "n_words", high=20),
 )
