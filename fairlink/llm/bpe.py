@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
+import re
 from collections.abc import Iterator
 from itertools import chain
 
@@ -49,12 +50,19 @@ WITH RECURSIVE walk(w, p, t, q, step) AS (
 ), settled AS (
     SELECT w, p, t FROM walk QUALIFY step = max(step) OVER (PARTITION BY w)
 )
-SELECT w, count(*) AS n, string_agg(settled.t::VARCHAR, ',' ORDER BY p) AS ids, string_agg(vocabulary.hex, '' ORDER BY p) AS hex
+SELECT w, string_agg(settled.t::VARCHAR, ',' ORDER BY p) AS ids, string_agg(vocabulary.hex, '' ORDER BY p) AS hex
 FROM settled JOIN vocabulary ON vocabulary.t = settled.t
 GROUP BY w
 """
 
 
+#: The public splitting pattern, and what it comes to for texts of plain Latin characters.
+GENERAL = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
+_LETTER, _NUMBER = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe"
+LATIN = f"'s|'t|'re|'ve|'m|'ll|'d| ?[{_LETTER}]+| ?[{_NUMBER}]+| ?[^\t\n\r {_LETTER}{_NUMBER}]+|[\t\n\r ]+(?![^\t\n\r ])|[\t\n\r ]+"
+PLAIN = re.compile("[^\t\n\r\x20-\x7e\xa1-\xff]")
+
+
 class RankCoder:
     """Contracts words by the ranks of a vocabulary file."""
 
@@ -71,17 +79,19 @@ class RankCoder:
                 if a is not None and b is not None:
                     left.append(a), right.append(b), rank.append(r)
         self.bytes = np.array([self.ranks[bytes([i])] for i in range(256)], np.int32)
-        self.split = regex.compile(pattern).findall
+        self.split = self.split_plain = regex.compile(pattern).findall
+        if pattern == GENERAL:
+            self.split_plain = re.compile(LATIN).findall
         self.sql = duckdb.connect(config={"threads": 1, "memory_limit": memory, "temp_directory": ""})
         pairs = pa.table({"ab": np.array(left, np.int64) * 65536 + np.array(right, np.int64), "r": np.array(rank, np.int32)})  # noqa: F841
         names = pa.table({"t": pa.array(self.ranks.values(), pa.int32()), "hex": [b.hex() for b in self.ranks]})  # noqa: F841
         self.sql.execute("CREATE TABLE merges AS SELECT * FROM pairs")
         self.sql.execute("CREATE TABLE vocabulary AS SELECT * FROM names")
-        self.cache: dict[str, tuple[int, str, bytes]] = {}
+        self.cache: dict[str, tuple[str, bytes]] = {}
         self.words, self.chunk_bytes = words, chunk_bytes
 
-    def contract(self, words: list[bytes]) -> list[tuple[int, str, bytes]]:
-        """Token count, ids joined by commas, and decoded bytes of each word."""
+    def contract(self, words: list[bytes]) -> list[tuple[str, bytes]]:
+        """Ids joined by commas, and decoded bytes of each word."""
         sizes = np.array([len(w) for w in words])
         flat = np.frombuffer(b"".join(words), np.uint8)
         seed = pa.table(  # noqa: F841
@@ -93,8 +103,8 @@ class RankCoder:
         )
         found = self.sql.sql(CONTRACT).to_arrow_table()
         out: list = [None] * len(words)
-        for w, n, ids, code in zip(*(found.column(c).to_pylist() for c in ("w", "n", "ids", "hex")), strict=True):
-            out[w] = n, ids, bytes.fromhex(code)
+        for w, ids, code in zip(*(found.column(c).to_pylist() for c in ("w", "ids", "hex")), strict=True):
+            out[w] = ids, bytes.fromhex(code)
         return out
 
     def learn(self, fresh: list[str]) -> None:
@@ -102,7 +112,7 @@ class RankCoder:
         for word in fresh:
             code = word.encode()
             if (r := self.ranks.get(code)) is not None:
-                self.cache[word] = 1, str(r), code
+                self.cache[word] = str(r), code
                 continue
             part.append((word, code))
             size += len(code)
@@ -113,7 +123,7 @@ class RankCoder:
             self.cache.update(zip((w for w, _ in part), self.contract([c for _, c in part]), strict=True))
 
     def encode(self, texts: list[str]) -> list[tuple[int, str, bytes]]:
-        split = [self.split(t) for t in texts]
+        split = [(self.split_plain if not PLAIN.search(t) else self.split)(t) for t in texts]
         seen = set(chain.from_iterable(split))
         fresh = seen.difference(self.cache)
         if len(self.cache) + len(fresh) > self.words:
@@ -123,8 +133,9 @@ class RankCoder:
             self.learn(sorted(fresh))
         out = []
         for words in split:
-            rows = list(map(self.cache.__getitem__, words))
-            out.append((sum(r[0] for r in rows), ",".join([r[1] for r in rows]), b"".join([r[2] for r in rows])))
+            ids, data = zip(*map(self.cache.__getitem__, words), strict=True) if words else ((), ())
+            joined = ",".join(ids)
+            out.append((joined.count(",") + 1 if words else 0, joined, b"".join(data)))
         return out
 
 
