@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import os
 import tempfile
 from collections.abc import Iterator
+from pathlib import Path
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -14,11 +16,20 @@ from pyspark.sql import functions as F
 SLICE_ROWS = 256
 
 
+def _importable(spark: SparkSession) -> None:
+    """Lets Python workers find this package where it is not installed."""
+    root, own = str(Path(__file__).resolve().parents[2]), spark.sparkContext.environment
+    if root not in own.get("PYTHONPATH", ""):
+        own["PYTHONPATH"] = os.pathsep.join(filter(None, [own.get("PYTHONPATH"), root]))
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    _importable(spark)
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
 def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    _importable(spark)
     return spark.read.parquet(f"{sf_dir}/pages.parquet")
 
 
