@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from fairlink.llm import bpe, fingerprints, html_text, packing, passages, quality, sharding
+from fairlink.llm import bpe, fingerprints, html_text, near, packing, passages, quality, sharding
 from fairlink.llm.common import documents, pages
 
 
@@ -44,5 +44,9 @@ def op9_repeated_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
     return passages.repeats(documents(spark, sf_dir))
 
 
-QUERIES = {f.__name__: f for f in (op1_fingerprints, op2_quality_rules, op4_balanced_shards, op6_byte_bpe, op7_page_text, op8_packing, op9_repeated_passages)}
-ORACLES: dict[str, str] = {"op2_quality_rules": quality.oracle(), "op9_repeated_passages": passages.ORACLE}
+def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near.linked(documents(spark, sf_dir))
+
+
+QUERIES = {f.__name__: f for f in (op1_fingerprints, op2_quality_rules, op4_balanced_shards, op6_byte_bpe, op7_page_text, op8_packing, op9_repeated_passages, op10_jaccard_join)}
+ORACLES: dict[str, str] = {"op2_quality_rules": quality.oracle(), "op9_repeated_passages": passages.ORACLE, "op10_jaccard_join": near.ORACLE}
