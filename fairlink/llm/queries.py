@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import corpus_pipeline
 from pyspark.sql import DataFrame, SparkSession
 
-from fairlink.llm import bpe, fingerprints, html_text, near, packing, passages, quality, sharding
+from fairlink.llm import bpe, fingerprints, html_text, near, packing, passages, quality, secrets, sharding, toxicity
 from fairlink.llm.common import documents, pages
 
 
@@ -22,10 +23,18 @@ def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(documents(spark, sf_dir))
 
 
+def op3_toxicity_grammar(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.score(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def op4_balanced_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard(documents(spark, sf_dir))
 
 
+def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.scan(documents(spark, sf_dir))
+
+
 def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -48,5 +57,11 @@ def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near.linked(documents(spark, sf_dir))
 
 
-QUERIES = {f.__name__: f for f in (op1_fingerprints, op2_quality_rules, op4_balanced_shards, op6_byte_bpe, op7_page_text, op8_packing, op9_repeated_passages, op10_jaccard_join)}
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return corpus_pipeline.run(spark, sf_dir)
+
+
+QUERIES = {f.__name__: f for f in (op1_fingerprints, op2_quality_rules, op3_toxicity_grammar, op4_balanced_shards, op5_secret_scan, op6_byte_bpe, op7_page_text, op8_packing, op9_repeated_passages, op10_jaccard_join, pipeline)}
 ORACLES: dict[str, str] = {"op2_quality_rules": quality.oracle(), "op9_repeated_passages": passages.ORACLE, "op10_jaccard_join": near.ORACLE}
+if corpus_pipeline.ORACLE_SQL:
+    ORACLES["pipeline"] = corpus_pipeline.ORACLE_SQL
