@@ -48,9 +48,9 @@ WITH RECURSIVE walk(w, p, t, q, step) AS (
         SELECT w, p, t, lead(t) OVER (PARTITION BY w ORDER BY p), step + 1 FROM put WHERE NOT taken
     )
 ), settled AS (
-    SELECT w, p, t FROM walk QUALIFY step = max(step) OVER (PARTITION BY w)
+    SELECT walk.w, walk.p, walk.t FROM walk JOIN (SELECT w, max(step) AS last FROM walk GROUP BY w) AS ends ON ends.w = walk.w AND ends.last = walk.step
 )
-SELECT w, string_agg(settled.t::VARCHAR, ',' ORDER BY p) AS ids, string_agg(vocabulary.hex, '' ORDER BY p) AS hex
+SELECT w, string_agg(settled.t::VARCHAR, ',' ORDER BY p) AS ids, unhex(string_agg(vocabulary.hex, '' ORDER BY p)) AS code
 FROM settled JOIN vocabulary ON vocabulary.t = settled.t
 GROUP BY w
 """
@@ -66,7 +66,7 @@ PLAIN = re.compile("[^\t\n\r\x20-\x7e\xa1-\xff]")
 class RankCoder:
     """Contracts words by the ranks of a vocabulary file."""
 
-    def __init__(self, path: str, pattern: str, words: int = 500_000, chunk_bytes: int = 600_000, memory: str = "300MB"):
+    def __init__(self, path: str, pattern: str, words: int = 800_000, chunk_bytes: int = 600_000, memory: str = "300MB"):
         import duckdb
         import regex
 
@@ -87,7 +87,8 @@ class RankCoder:
         names = pa.table({"t": pa.array(self.ranks.values(), pa.int32()), "hex": [b.hex() for b in self.ranks]})  # noqa: F841
         self.sql.execute("CREATE TABLE merges AS SELECT * FROM pairs")
         self.sql.execute("CREATE TABLE vocabulary AS SELECT * FROM names")
-        self.cache: dict[str, tuple[str, bytes]] = {}
+        self.ids: dict[str, str] = {}
+        self.data: dict[str, bytes] = {}
         self.words, self.chunk_bytes = words, chunk_bytes
 
     def contract(self, words: list[bytes]) -> list[tuple[str, bytes]]:
@@ -103,39 +104,45 @@ class RankCoder:
         )
         found = self.sql.sql(CONTRACT).to_arrow_table()
         out: list = [None] * len(words)
-        for w, ids, code in zip(*(found.column(c).to_pylist() for c in ("w", "ids", "hex")), strict=True):
-            out[w] = ids, bytes.fromhex(code)
+        for w, ids, code in zip(*(found.column(c).to_pylist() for c in ("w", "ids", "code")), strict=True):
+            out[w] = ids, code
         return out
 
     def learn(self, fresh: list[str]) -> None:
         part, size = [], 0
+
+        def settle() -> None:
+            nonlocal part, size
+            for word, (ids, data) in zip(part, self.contract([w.encode() for w in part]), strict=True):
+                self.ids[word], self.data[word] = ids, data
+            part, size = [], 0
+
         for word in fresh:
             code = word.encode()
             if (r := self.ranks.get(code)) is not None:
-                self.cache[word] = str(r), code
+                self.ids[word], self.data[word] = str(r), code
                 continue
-            part.append((word, code))
+            part.append(word)
             size += len(code)
             if size >= self.chunk_bytes:
-                self.cache.update(zip((w for w, _ in part), self.contract([c for _, c in part]), strict=True))
-                part, size = [], 0
+                settle()
         if part:
-            self.cache.update(zip((w for w, _ in part), self.contract([c for _, c in part]), strict=True))
+            settle()
 
     def encode(self, texts: list[str]) -> list[tuple[int, str, bytes]]:
+        """Number of ids, ids joined by commas, and decoded bytes of each text."""
         split = [(self.split_plain if not PLAIN.search(t) else self.split)(t) for t in texts]
         seen = set(chain.from_iterable(split))
-        fresh = seen.difference(self.cache)
-        if len(self.cache) + len(fresh) > self.words:
-            self.cache.clear()
+        fresh = seen.difference(self.ids)
+        if len(self.ids) + len(fresh) > self.words:
+            self.ids.clear(), self.data.clear()
             fresh = seen
         if fresh:
-            self.learn(sorted(fresh))
+            self.learn(list(fresh))
         out = []
         for words in split:
-            ids, data = zip(*map(self.cache.__getitem__, words), strict=True) if words else ((), ())
-            joined = ",".join(ids)
-            out.append((joined.count(",") + 1 if words else 0, joined, b"".join(data)))
+            joined = ",".join(map(self.ids.__getitem__, words))
+            out.append((joined.count(",") + 1 if words else 0, joined, b"".join(map(self.data.__getitem__, words))))
         return out
 
 
