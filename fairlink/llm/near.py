@@ -80,7 +80,7 @@ def entries(own: np.ndarray, codes: np.ndarray, grades: np.ndarray, buckets: int
     if not n:
         return own, 0
     at = within(codes, code(own, buckets))
-    grade = np.where(at >= 0, grades[at] if len(grades) else 0, -1)
+    grade = np.where(at >= 0, grades[at].astype(np.int64), np.int64(-1)) if len(grades) else np.full(n, -1)
     prefix = np.lexsort((own, grade))[: n - math.ceil(percent * n / 100) + 1]
     return own[prefix[grade[prefix] >= 0]], int(np.count_nonzero(at < 0))
 
