@@ -197,15 +197,18 @@ def _tail(hits: int, n: int, share: float) -> float:
     return -n * (q * math.log(q / share) + ((1 - q) * math.log((1 - q) / (1 - share)) if q < 1 else 0))
 
 
-def choose(toxic: list[set[str]], clean: Counter, n_clean: int, distinct: int) -> list[str]:
-    """Significant terms by greedy cover of the toxic texts."""
-    count = Counter(t for doc in toxic for t in doc)
-    share = (len(toxic) + 0.5) / (len(toxic) + n_clean + 1)
-    least = -math.log(max(1, distinct) / 0.5)
-    good = {t for t, n in count.items() if n > 2 and n >= 4 * clean[t] and _tail(n, n + clean[t], share) < least}
+def significant(hits: Counter, n_toxic: int, clean: Counter, n_clean: int, tried: int) -> set[str]:
+    """Terms that chance would hardly give to toxic texts so often, were all the tried ones idle."""
+    share = (n_toxic + 0.5) / (n_toxic + n_clean + 1)
+    least = -math.log(max(1, tried) / 0.5)
+    return {t for t, n in hits.items() if n > 2 and n >= 4 * clean[t] and _tail(n, n + clean[t], share) < least}
+
+
+def choose(toxic: list[set[str]], clean: Counter) -> list[str]:
+    """Of the significant terms that the toxic texts hold, a greedy cover of the texts."""
     holders = defaultdict(set)
     for i, doc in enumerate(toxic):
-        for t in doc & good:
+        for t in doc:
             holders[t].add(i)
     need = [COVER] * len(toxic)
     gain = {t: len(h) for t, h in holders.items()}
@@ -222,21 +225,21 @@ def choose(toxic: list[set[str]], clean: Counter, n_clean: int, distinct: int) -
         for i in holders[best]:
             need[i] -= 1
             if need[i] == 0:
-                for t in toxic[i] & good:
+                for t in toxic[i]:
                     if t in gain:
                         gain[t] -= 1
     return chosen
 
 
-def fit(counts: np.ndarray, label: np.ndarray, pull: float = 1.0, steps: int = 60) -> np.ndarray:
-    """Weights of log(1 + count) and the bias last, by Newton steps of a logistic fit drawn to the prior."""
+def fit(counts: np.ndarray, label: np.ndarray, many: np.ndarray, pull: float = 1.0, steps: int = 60) -> np.ndarray:
+    """Weights of log(1 + count) and the bias last, for rows that stand for `many` texts, by Newton steps of a logistic fit drawn to the prior."""
     x = np.c_[np.log1p(counts), np.ones(len(counts))]
     prior = np.array([*(PRIOR[m] for m in MATCHES), PRIOR_BIAS])
     w = prior.copy()
     for _ in range(steps):
         p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        gradient = x.T @ (label - p) - pull * (w - prior)
-        hessian = (x * (p * (1 - p))[:, None]).T @ x + pull * np.eye(len(w))
+        gradient = x.T @ (many * (label - p)) - pull * (w - prior)
+        hessian = (x * (many * p * (1 - p))[:, None]).T @ x + pull * np.eye(len(w))
         move = np.linalg.solve(hessian, gradient)
         w = w + np.clip(move, -1, 1)
         if np.abs(move).max() < 1e-6:
@@ -278,45 +281,34 @@ def learn(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS) -> Model:
         yield pa.record_batch([pa.array(count.keys(), pa.string()), pa.array(count.values(), pa.int64())], names=["term", "n"])
 
     found = train.where("toxic = 1").mapInArrow(toxic_terms, "term string, n long").groupBy("term").agg(F.sum("n").alias("n")).where("n > 2")
-    wanted = {r["term"] for r in found.orderBy(F.desc("n"), "term").limit(CANDIDATES).collect()} | SEEDS
-
-    def profile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        clean: Counter = Counter()
-        others, distinct = 0, 0
-        toxic: list[list[str]] = []
-        seen: set[int] = set()
-        for texts, marks in slices(batches, "text", "toxic"):
-            for text, mark in zip(texts, marks, strict=True):
-                if hash(text) in seen:
-                    continue
-                seen.add(hash(text))
-                own = terms(text)
-                distinct = max(distinct, len(own))
-                if mark:
-                    toxic.append(sorted(own & wanted))
-                else:
-                    others += 1
-                    clean.update(own & wanted)
-        rows = [("clean", t, n, None) for t, n in clean.items()] + [("size", "", others, None)] + [("toxic", "", 1, t) for t in toxic]
-        columns = list(zip(*rows, strict=True))
-        yield pa.record_batch([pa.array(columns[0], pa.string()), pa.array(columns[1], pa.string()), pa.array(columns[2], pa.int64()), pa.array(columns[3], pa.list_(pa.string()))], names=["kind", "term", "n", "terms"])
-
-    toxic, clean, n_clean = [], Counter(), 0
-    for r in train.mapInArrow(profile, "kind string, term string, n long, terms array<string>").collect():
-        if r["kind"] == "toxic":
-            toxic.append(set(r["terms"]))
-        elif r["kind"] == "size":
-            n_clean += r["n"]
-        else:
-            clean[r["term"]] += r["n"]
+    hits: Counter = Counter({r["term"]: r["n"] for r in found.orderBy(F.desc("n"), "term").limit(CANDIDATES).collect()})
+    wanted = hits.keys() | SEEDS
+
+    def clean_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        count: Counter = Counter()
+        for (texts,) in slices(batches, "text"):
+            for text in set(texts):
+                count.update(terms(text) & wanted)
+                count[""] += 1
+        yield pa.record_batch([pa.array(count.keys(), pa.string()), pa.array(count.values(), pa.int64())], names=["term", "n"])
+
+    clean: Counter = Counter({r["term"]: r["n"] for r in train.where("toxic = 0").mapInArrow(clean_counts, "term string, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()})
+    n_clean, n_toxic = clean.pop("", 0), train.where("toxic = 1").count()
+    good = significant(hits, n_toxic, clean, n_clean, len(wanted))
+
+    def held(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for (texts,) in slices(batches, "text"):
+            rows = [sorted(terms(t) & good) for t in texts]
+            yield pa.record_batch([pa.array(rows, pa.list_(pa.string()))], names=["terms"])
+
+    toxic = [set(r["terms"]) for r in train.where("toxic = 1").mapInArrow(held, "terms array<string>").collect()]
     toxic.sort(key=sorted)
-    chosen = choose(toxic, clean, n_clean, len(wanted))
-    hits = Counter(t for doc in toxic for t in doc & SEEDS)
+    chosen = choose(toxic, clean)
     kept = {s for s in SEEDS if clean[s] < 3 or hits[s] >= clean[s]}
     lexicon = Lexicon(frozenset(kept | {t for t in chosen if not t.endswith("*")}), frozenset(t[:-1] for t in chosen if t.endswith("*")))
-    matched = _matches(train, lexicon, "toxic").collect()
+    matched = _matches(train, lexicon, "toxic").groupBy("toxic", *MATCHES).agg(F.count("*").alias("n")).orderBy("toxic", *MATCHES).collect()
     counts = np.array([[r[m] for m in MATCHES] for r in matched], float).reshape(-1, len(MATCHES))
-    return Model(lexicon, fit(counts, np.array([r["toxic"] for r in matched], float)))
+    return Model(lexicon, fit(counts, np.array([r["toxic"] for r in matched], float), np.array([r["n"] for r in matched], float)))
 
 
 def _matches(docs: DataFrame, lexicon: Lexicon, key: str) -> DataFrame:
