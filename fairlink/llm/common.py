@@ -1,9 +1,10 @@
-"""What the operators of this subpackage share: reading, Arrow row buffers, checkpoints."""
+"""What the operators of this subpackage share: reading, Arrow row buffers, written steps."""
 
 from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 from collections.abc import Iterator
 from pathlib import Path
 
@@ -60,16 +61,16 @@ class RowBuffer:
 
 
 def durable(df: DataFrame) -> DataFrame:
-    """Cuts the lineage with a reliable checkpoint in the folder that the cluster names.
+    """Writes the rows as a table in the folder that the cluster names, and reads them from there.
 
-    spark.checkpoint.dir is read from the session; only where it is unset (tests on one
-    machine) a folder is made here.
+    That cuts the lineage: lost executors repeat nothing before it. spark.checkpoint.dir is read
+    from the session; only where it is unset (tests on one machine) a folder is made here.
     """
-    context = df.sparkSession.sparkContext
-    if context._jsc.sc().getCheckpointDir().isEmpty():
-        named = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-        context.setCheckpointDir(named or tempfile.mkdtemp(prefix="fairlink-checkpoint-"))
-    return df.checkpoint(eager=True)
+    spark = df.sparkSession
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    path = f"{named.rstrip('/')}/fairlink-{uuid.uuid4().hex}" if named else tempfile.mkdtemp(prefix="fairlink-") + "/table"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
 
 
 def text_or_empty(name: str = "text"):

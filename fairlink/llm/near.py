@@ -8,9 +8,8 @@ all. Those candidates' sets are written out once, and whatever follows reads the
 
 Documents that share an entry are compared, but not all with all. First each entry's most central
 document (that with the smallest share of hashes of its own) is the query for the entry's other
-documents; what links is joined to classes. A second pass does so again among documents of an
-entry that are in different classes yet; the last pass compares all pairs of different
-classes that share an entry and could be alike by size, so no link between classes is lost.
+documents; what links is joined to classes. Then all pairs of different classes that share an
+entry and could be alike by size are compared, so no link between classes is lost.
 
 A query is answered by DivideSkip over groups of at most GROUP candidates: the inverted lists of the
 query's hashes over the group are divided, the longest are set aside, the short ones are merged on
@@ -41,7 +40,6 @@ from fairlink.llm.passages import _mix
 WORDS = 5
 PERCENT = 80
 GROUP = 256
-CENTRAL_PASSES = 2
 _P = np.uint64(0x9E3779B97F4A7C15)
 _INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 2**64))
 
@@ -158,22 +156,18 @@ def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 def classes(vertices: DataFrame, edges: DataFrame) -> DataFrame:
     """(doc_id, comp): the smallest doc_id that links reach. Edges are (a, b), in any direction.
 
-    Stars of minima: each round every vertex hooks its neighbours on the smallest label that it
-    sees and labels are then looked up at labels, until no label changes.
+    Each round a vertex takes the smallest label that it sees and then that label's own label, so
+    that labels travel farther in every round, until no label changes.
     """
     both = durable(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a <> b").distinct())
-    touched = both.select(F.col("a").alias("doc_id")).distinct()
-    labels = durable(touched.withColumn("comp", F.col("doc_id")))
+    labels = durable(both.groupBy(F.col("a").alias("doc_id")).agg(F.least(F.col("a"), F.min("b")).alias("comp")))
     while True:
         near = both.join(labels.withColumnRenamed("doc_id", "b"), "b").groupBy(F.col("a").alias("doc_id")).agg(F.min("comp").alias("seen"))
         lower = labels.join(near, "doc_id").select("doc_id", "comp", F.least("comp", "seen").alias("low"))
-        # The old label's vertex takes the lower label too, so that trees are hooked at their roots.
-        hooks = lower.groupBy(F.col("comp").alias("doc_id")).agg(F.min("low").alias("hook"))
-        hooked = lower.join(hooks, "doc_id", "left").select("doc_id", "comp", F.least("low", F.coalesce("hook", "low")).alias("low"))
-        at = hooked.select(F.col("doc_id").alias("low"), F.col("low").alias("lower"))
-        following = durable(hooked.join(at, "low").select("doc_id", F.least("low", "lower").alias("comp"), F.col("comp").alias("old")))
+        at = labels.select(F.col("doc_id").alias("low"), F.col("comp").alias("lower"))
+        following = durable(lower.join(at, "low").select("doc_id", F.least("low", "lower").alias("comp"), (F.col("low") != F.col("comp")).alias("moved")))
         labels = following.select("doc_id", "comp")
-        if not following.where("comp <> old").take(1):
+        if not following.where("moved").take(1):
             break
     return vertices.join(labels, "doc_id", "left").select("doc_id", F.coalesce("comp", "doc_id").alias("comp"))
 
@@ -224,21 +218,18 @@ def linked(docs: DataFrame) -> DataFrame:
 
     told = shared(dealt, shingle_sets, buckets)
     every = durable(dealt.groupBy("block").cogroup(told.groupBy("block")).applyInArrow(candidates, "doc_id long, n long, same long, own double, entries array<long>, data binary"))
-    sets = every.where("data IS NOT NULL").select("doc_id", "data")
-    held = every.where("data IS NOT NULL").select("doc_id", "n", "own", F.explode("entries").alias("entry"))
-    vertices = every.where("data IS NOT NULL").select("doc_id").distinct()
+    some = every.where("data IS NOT NULL")
+    sets = some.select("doc_id", "data")
+    held = some.select("doc_id", "n", "own", F.explode("entries").alias("entry"))
+    vertices = every.where("doc_id IS NOT NULL").select("doc_id").distinct()
     links = every.where("same <> doc_id").select(F.col("same").alias("a"), F.col("doc_id").alias("b"))
-    links = durable(links)
-    comp = vertices.withColumn("comp", F.col("doc_id"))
-    for turn in range(CENTRAL_PASSES + 1):
-        labelled = held.join(comp, "doc_id")
-        pairs = durable(_central(labelled) if turn < CENTRAL_PASSES else _rest(labelled))
-        if not pairs.take(1):
-            continue
-        links = links.unionByName(durable(verified(pairs, sets)))
-        comp = durable(classes(vertices, links))
-    final = classes(every.where("doc_id IS NOT NULL").select("doc_id").distinct(), links)
-    return every.join(final, "doc_id", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("comp", "doc_id").alias("component_id"))
+    first = verified(durable(_central(held.withColumn("comp", F.col("doc_id")))), sets)
+    links = durable(links.unionByName(first))
+    comp = durable(classes(vertices, links))
+    more = durable(verified(durable(_rest(held.join(comp, "doc_id"))), sets))
+    if more.take(1):
+        comp = durable(classes(vertices, links.unionByName(more)))
+    return every.join(comp, "doc_id", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("comp", "doc_id").alias("component_id"))
 
 
 def _digest(data: bytes) -> bytes:
