@@ -156,18 +156,21 @@ def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 def classes(vertices: DataFrame, edges: DataFrame) -> DataFrame:
     """(doc_id, comp): the smallest doc_id that links reach. Edges are (a, b), in any direction.
 
-    Each round a vertex takes the smallest label that it sees and then that label's own label, so
-    that labels travel farther in every round, until no label changes.
+    Each round a vertex takes the smallest label that a neighbour has and offers it to the vertex
+    that its old label names, so that whole trees are hooked at their roots; labels are then looked up
+    at labels. So the rounds grow with the logarithm of the longest chain.
     """
     both = durable(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a <> b").distinct())
     labels = durable(both.groupBy(F.col("a").alias("doc_id")).agg(F.least(F.col("a"), F.min("b")).alias("comp")))
+    none = F.lit(None).cast("long")
     while True:
         near = both.join(labels.withColumnRenamed("doc_id", "b"), "b").groupBy(F.col("a").alias("doc_id")).agg(F.min("comp").alias("seen"))
-        lower = labels.join(near, "doc_id").select("doc_id", "comp", F.least("comp", "seen").alias("low"))
+        offers = labels.join(near, "doc_id").select(F.explode(F.array(F.struct("doc_id", F.col("comp").alias("old"), F.least("comp", "seen").alias("low")), F.struct(F.col("comp").alias("doc_id"), none.alias("old"), F.least("comp", "seen").alias("low")))).alias("o"))
+        taken = offers.select("o.*").groupBy("doc_id").agg(F.min("low").alias("low"), F.max("old").alias("old"))
         at = labels.select(F.col("doc_id").alias("low"), F.col("comp").alias("lower"))
-        following = durable(lower.join(at, "low").select("doc_id", F.least("low", "lower").alias("comp"), (F.col("low") != F.col("comp")).alias("moved")))
+        following = durable(taken.join(at, "low").select("doc_id", F.least("low", "lower").alias("comp"), "old"))
         labels = following.select("doc_id", "comp")
-        if not following.where("moved").take(1):
+        if not following.where("comp <> old").take(1):
             break
     return vertices.join(labels, "doc_id", "left").select("doc_id", F.coalesce("comp", "doc_id").alias("comp"))
 
@@ -227,8 +230,11 @@ def linked(docs: DataFrame) -> DataFrame:
     links = durable(links.unionByName(first))
     comp = durable(classes(vertices, links))
     more = durable(verified(durable(_rest(held.join(comp, "doc_id"))), sets))
-    if more.take(1):
-        comp = durable(classes(vertices, links.unionByName(more)))
+    if more.take(1):  # classes of classes
+        at = lambda c: comp.select(F.col("doc_id").alias(c), F.col("comp").alias(f"{c}c"))
+        joined = more.join(at("a"), "a").join(at("b"), "b").select(F.col("ac").alias("a"), F.col("bc").alias("b"))
+        lower = classes(comp.select(F.col("comp").alias("doc_id")).distinct(), joined).select(F.col("doc_id").alias("comp"), F.col("comp").alias("lowest"))
+        comp = durable(comp.join(lower, "comp").select("doc_id", F.col("lowest").alias("comp")))
     return every.join(comp, "doc_id", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("comp", "doc_id").alias("component_id"))
 
 
