@@ -72,10 +72,19 @@ def _beside(tag: str, attributes: str, inside: bool) -> bool:
     return False
 
 
+def _mark(tag: str, attributes: str) -> str:
+    """An element's name in a path: containers with a class or id are told apart by it."""
+    if tag in ("div", "section", "td", "ul") and "=" in attributes:
+        names = [m[2] or m[3] or m[4] or "" for m in _ATTRIBUTE.finditer(attributes) if m[1].lower() != "role"]
+        if names:
+            return f"{tag}.{'.'.join(names)}"
+    return tag
+
+
 def blocks(page: str) -> list[tuple[tuple[str, ...], str]]:
     """The page's text blocks in order, each with its path, without the parts beside the article."""
     out: list[tuple[tuple[str, ...], str]] = []
-    stack: list[tuple[str, bool]] = []  # block elements; whether the element starts a part beside the article
+    stack: list[tuple[str, bool, str]] = []  # block elements; whether one starts a part beside the article; its path mark
     hidden, held, at = 0, [], 0
     end = len(page)
 
@@ -84,7 +93,7 @@ def blocks(page: str) -> list[tuple[tuple[str, ...], str]]:
             text = _SPACE.sub(" ", html.unescape("".join(held))).strip()
             held.clear()
             if text:
-                out.append((tuple(t for t, _ in stack), text))
+                out.append((tuple(name for _, _, name in stack), text))
 
     def pop() -> None:
         nonlocal hidden
@@ -108,7 +117,7 @@ def blocks(page: str) -> list[tuple[tuple[str, ...], str]]:
         if tag in INLINE:
             continue
         if m[1]:
-            if any(t == tag for t, _ in stack):
+            if any(t == tag for t, _, _ in stack):
                 flush()
                 while stack[-1][0] != tag:
                     pop()
@@ -137,8 +146,8 @@ def blocks(page: str) -> list[tuple[tuple[str, ...], str]]:
             mates = {"dd": ("dd", "dt"), "dt": ("dd", "dt"), "td": ("td", "th"), "th": ("td", "th"), "tr": ("tr", "td", "th")}.get(tag, (tag,))
             while stack and stack[-1][0] in mates:
                 pop()
-        beside = _beside(tag, m[3], any(t in ("article", "main") for t, _ in stack))
-        stack.append((tag, beside))
+        beside = _beside(tag, m[3], any(t in ("article", "main") for t, _, _ in stack))
+        stack.append((tag, beside, _mark(tag, m[3])))
         hidden += beside
     flush()
     return out

@@ -207,7 +207,7 @@ def without_repeats(docs: DataFrame, carry: tuple[str, ...] = ()) -> DataFrame:
             contents = s.contents(chosen)
             found.append((s.windows[chosen], ids[s.doc[chosen]], contents, names(contents, s.windows[chosen]), (s.anchor[chosen] % np.uint64(buckets)).astype(np.int32)))
         to, out = [], []
-        if found:
+        if any(len(f[0]) for f in found):
             windows, ids, contents, name, bucket = (np.concatenate(x) for x in zip(*found, strict=True))
             order = np.lexsort((ids, name))
             ids, name = ids[order], name[order]
