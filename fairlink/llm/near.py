@@ -72,15 +72,16 @@ def shingle_sets(texts: list[str], words: int = WORDS) -> list[np.ndarray]:
     return [np.unique(every[a : b - words + 1]) if b - a >= words else runs(word[a:b], int(b - a)) if b > a else np.zeros(0, np.uint64) for a, b in zip(lo, hi, strict=True)]
 
 
-def entries(own: np.ndarray, codes: np.ndarray, grades: np.ndarray, buckets: int, percent: int = PERCENT) -> tuple[np.ndarray, int]:
-    """The set's prefix hashes that others hold too, and how many of its hashes they do not hold."""
+def entries(own: np.ndarray, codes: np.ndarray, grades: np.ndarray, buckets: int, percent: int = PERCENT) -> tuple[np.ndarray, np.ndarray, int]:
+    """The set's prefix hashes that others hold too, their places in its order, and how many of its hashes nobody else holds."""
     n = len(own)
     if not n:
-        return own, 0
+        return own, own, 0
     at = within(codes, code(own, buckets))
     grade = np.where(at >= 0, grades[at].astype(np.int64), np.int64(-1)) if len(grades) else np.full(n, -1)
     prefix = np.lexsort((own, grade))[: n - math.ceil(percent * n / 100) + 1]
-    return own[prefix[grade[prefix] >= 0]], int(np.count_nonzero(at < 0))
+    place = np.flatnonzero(grade[prefix] >= 0)
+    return own[prefix[place]], place, int(np.count_nonzero(at < 0))
 
 
 def divide_skip(lists: list[np.ndarray], least: int, mu: float = 0.0085) -> list[tuple[int, int]]:
@@ -175,22 +176,26 @@ def classes(vertices: DataFrame, edges: DataFrame) -> DataFrame:
     return vertices.join(labels, "doc_id", "left").select("doc_id", F.coalesce("comp", "doc_id").alias("comp"))
 
 
-def _fits(a: str, b: str) -> Column:
-    return (100 * F.least(a, b)) >= (PERCENT * F.greatest(a, b))
+def _fits(n: str, place: str, m: str, other: str) -> Column:
+    """Whether sets of n and m hashes can be alike when their first common hash is at these places."""
+    need = F.expr(f"-((-{PERCENT} * ({n} + {m})) div {100 + PERCENT})")
+    need = F.when(F.expr(f"{PERCENT} * ({n} + {m}) % {100 + PERCENT} = 0"), need).otherwise(need + 1)
+    return F.least(F.col(n) - F.col(place), F.col(m) - F.col(other)) >= need
 
 
 def _central(held: DataFrame) -> DataFrame:
     """Pairs of each entry's most central document with its documents of other classes."""
-    some = held.groupBy("entry").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min(F.struct("own", "doc_id", "n", "comp")).alias("q")).where("lo <> hi").select("entry", "q")
-    found = held.join(some, "entry").where(F.col("comp") != F.col("q.comp")).withColumn("qn", F.col("q.n")).where(_fits("n", "qn"))
-    return found.select(F.col("q.doc_id").alias("query"), F.col("doc_id").alias("member")).distinct()
+    some = held.groupBy("entry").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min(F.struct("own", "doc_id", "n", "comp", "place")).alias("q")).where("lo <> hi").select("entry", "q.doc_id", "q.n", "q.comp", "q.place")
+    asking = some.toDF("entry", "query", "qn", "qc", "qplace")
+    found = held.join(asking, "entry").where(F.col("comp") != F.col("qc")).where(_fits("n", "place", "qn", "qplace"))
+    return found.select("query", F.col("doc_id").alias("member")).distinct()
 
 
 def _rest(held: DataFrame) -> DataFrame:
-    """All pairs of different classes that share an entry and may be alike by size."""
+    """All pairs of different classes that may be alike by their first common entry."""
     mixed = held.groupBy("entry").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("entry")
-    left = held.join(mixed, "entry").select("entry", F.col("doc_id").alias("query"), F.col("n").alias("qn"), F.col("comp").alias("qc"))
-    found = left.join(held, "entry").where((F.col("query") < F.col("doc_id")) & (F.col("qc") != F.col("comp"))).where(_fits("n", "qn"))
+    left = held.join(mixed, "entry").select("entry", F.col("doc_id").alias("query"), F.col("n").alias("qn"), F.col("comp").alias("qc"), F.col("place").alias("qplace"))
+    found = left.join(held, "entry").where((F.col("query") < F.col("doc_id")) & (F.col("qc") != F.col("comp"))).where(_fits("n", "place", "qn", "qplace"))
     return found.select("query", F.col("doc_id").alias("member")).distinct()
 
 
@@ -200,11 +205,11 @@ def linked(docs: DataFrame) -> DataFrame:
 
     def candidates(key: tuple, rows: pa.Table, told: pa.Table) -> pa.Table:
         codes, grades = known(told, buckets)
-        out: dict[str, list] = {c: [] for c in ("doc_id", "n", "same", "own", "entries", "data")}
+        out: dict[str, list] = {c: [] for c in ("doc_id", "n", "same", "own", "entries", "places", "data")}
         seen: dict[tuple[int, bytes], int] = {}
         for texts, keys in chunks(rows, "doc_id"):
             for doc, own in zip(keys, shingle_sets(texts), strict=True):
-                prefix, alone = entries(own, codes, grades, buckets) if doc is not None else (own[:0], 0)
+                prefix, place, alone = entries(own, codes, grades, buckets) if doc is not None else (own[:0], own[:0], 0)
                 data, first = None, doc
                 if len(prefix):
                     data = own.tobytes()
@@ -215,15 +220,16 @@ def linked(docs: DataFrame) -> DataFrame:
                 out["same"].append(first)  # one of a block's equal sets stands for all
                 out["own"].append(alone / max(1, len(own)))
                 out["entries"].append(prefix.view(np.int64).tolist() if chosen else None)
+                out["places"].append(place.tolist() if chosen else None)
                 out["data"].append(data if chosen else None)
-        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.list_(pa.int64()), pa.binary())
+        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.binary())
         return pa.table([pa.array(v, k) for v, k in zip(out.values(), kinds, strict=True)], names=list(out))
 
     told = shared(dealt, shingle_sets, buckets)
-    every = durable(dealt.groupBy("block").cogroup(told.groupBy("block")).applyInArrow(candidates, "doc_id long, n long, same long, own double, entries array<long>, data binary"))
+    every = durable(dealt.groupBy("block").cogroup(told.groupBy("block")).applyInArrow(candidates, "doc_id long, n long, same long, own double, entries array<long>, places array<int>, data binary"))
     some = every.where("data IS NOT NULL")
     sets = some.select("doc_id", "data")
-    held = some.select("doc_id", "n", "own", F.explode("entries").alias("entry"))
+    held = some.select("doc_id", "n", "own", F.explode(F.arrays_zip("entries", "places")).alias("e")).select("doc_id", "n", "own", F.col("e.entries").alias("entry"), F.col("e.places").alias("place"))
     vertices = every.where("doc_id IS NOT NULL").select("doc_id").distinct()
     links = every.where("same <> doc_id").select(F.col("same").alias("a"), F.col("doc_id").alias("b"))
     first = verified(durable(_central(held.withColumn("comp", F.col("doc_id")))), sets)
