@@ -21,9 +21,9 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fairlink.llm.common import text_or_empty
+from fairlink.llm.common import kept, text_or_empty
 
-BLOCK_BYTES = 6_000_000
+BLOCK_BYTES = 4_000_000
 BLOCKS_PER_BUCKET = 3
 SLICE_BYTES = 1_000_000
 SENT = "bucket int, block int, payload binary"
@@ -79,6 +79,7 @@ def shared(dealt: DataFrame, values: Callable[[list[str]], list[np.ndarray]], bu
     """Per block and bucket the block's shared values; values gives each text's distinct ones."""
 
     def send(key: tuple, table: pa.Table) -> pa.Table:
+        kept("blocks", dict)
         found = [v for texts, *_ in chunks(table) for v in values(texts)]
         every, count = np.unique(np.concatenate(found) if found else np.zeros(0, np.uint64), return_counts=True)
         bucket = (every % np.uint64(buckets)).astype(np.int64)

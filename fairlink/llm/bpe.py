@@ -24,7 +24,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from fairlink.llm.common import RowBuffer, slices
+from fairlink.llm.common import RowBuffer, kept, slices
 
 ENCODED = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 _SCHEMA = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids_sha256", pa.string()), ("decoded_sha256", pa.string())])
@@ -146,14 +146,9 @@ class RankCoder:
         return out
 
 
-_coders: dict[tuple[str, str], RankCoder] = {}
-
-
 def coder(path: str, pattern: str) -> RankCoder:
     """One coder a worker process, kept from task to task."""
-    if (path, pattern) not in _coders:
-        _coders[path, pattern] = RankCoder(path, pattern)
-    return _coders[path, pattern]
+    return kept(("ranks", path, pattern), lambda: RankCoder(path, pattern))
 
 
 def encode_decode(docs: DataFrame, path: str, pattern: str) -> DataFrame:

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from fairlink.llm.common import RowBuffer, slices
+from fairlink.llm.common import RowBuffer, kept, slices
 
 WINDOW = 2048
 END_ID = 1
@@ -126,14 +126,9 @@ class WordIds:
         ]
 
 
-_encoders: dict[str, WordIds] = {}
-
-
 def encoder(path: str) -> WordIds:
     """One encoder a worker process, kept from task to task."""
-    if path not in _encoders:
-        _encoders[path] = WordIds(path)
-    return _encoders[path]
+    return kept(("words", path), lambda: WordIds(path))
 
 
 def pack_task(rows: Iterator[tuple[int, bytes]], first_id: int, window: int, end_id: int) -> Iterator[tuple]:

@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fairlink.llm.common import RowBuffer, slices
+from fairlink.llm.common import RowBuffer, kept, slices
 
 TRAIN_ROWS = 20_000
 LEXICON = 4_000
@@ -146,6 +146,7 @@ class Scorer:
     def __init__(self, lexicon: Lexicon):
         import ahocorasick
 
+        kept("toxicity", dict)
         self.lexicon, self.machine = lexicon, grammar()
         self.find = ahocorasick.Automaton()
         for term in lexicon.words | lexicon.stems | THREATS:
