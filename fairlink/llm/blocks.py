@@ -21,7 +21,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fairlink.llm.common import kept, text_or_empty
+from fairlink.llm.common import give_back, kept, text_or_empty
 
 BLOCK_BYTES = 4_000_000
 BLOCKS_PER_BUCKET = 3
@@ -89,6 +89,7 @@ def shared(dealt: DataFrame, values: Callable[[list[str]], list[np.ndarray]], bu
         starts = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]) if len(bucket) else np.zeros(0, int)
         stops = np.r_[starts[1:], len(bucket)]
         rows = [packed(rest[a:b], count[a:b]) for a, b in zip(starts, stops, strict=True)]
+        give_back()
         return pa.table({"bucket": pa.array(bucket[starts], pa.int32()), "block": pa.array([key[0].as_py()] * len(rows), pa.int32()), "payload": pa.array(rows, pa.binary())})
 
     def answer(key: tuple, table: pa.Table) -> pa.Table:
@@ -110,6 +111,7 @@ def shared(dealt: DataFrame, values: Callable[[list[str]], list[np.ndarray]], bu
                 rows.append(packed(own[many], grade[at : at + len(own)][many]))
                 to.append(block)
             at += len(own)
+        give_back()
         return pa.table({"block": pa.array(to, pa.int32()), "bucket": pa.array([key[0].as_py()] * len(rows), pa.int32()), "payload": pa.array(rows, pa.binary())})
 
     return dealt.groupBy("block").applyInArrow(send, SENT).groupBy("bucket").applyInArrow(answer, ANSWERED)

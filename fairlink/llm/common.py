@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import sys
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -37,10 +38,21 @@ def pages(spark: SparkSession, sf_dir: str) -> DataFrame:
 _kept: dict = {}
 
 
+def give_back() -> None:
+    """Returns freed memory to the system; a worker process outlives its tasks, and holds it else."""
+    if sys.platform == "linux":
+        import ctypes
+
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+        if trim:
+            trim(0)
+
+
 def kept(key, make: Callable):
     """What a worker process keeps from task to task: that of one operator at a time."""
     if key not in _kept:
         _kept.clear()
+        give_back()
         _kept[key] = make()
     return _kept[key]
 

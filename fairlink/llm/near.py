@@ -34,7 +34,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from fairlink.llm.blocks import chunks, code, deal, known, shared, within
-from fairlink.llm.common import durable
+from fairlink.llm.common import durable, give_back
 from fairlink.llm.passages import _mix
 
 WORDS = 5
@@ -222,6 +222,7 @@ def linked(docs: DataFrame) -> DataFrame:
                 out["entries"].append(prefix.view(np.int64).tolist() if chosen else None)
                 out["places"].append(place.tolist() if chosen else None)
                 out["data"].append(data if chosen else None)
+        give_back()
         kinds = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.binary())
         return pa.table([pa.array(v, k) for v, k in zip(out.values(), kinds, strict=True)], names=list(out))
 

@@ -29,6 +29,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from fairlink.llm.blocks import chunks, code, deal, known, packed, shared, unpacked, within
+from fairlink.llm.common import give_back
 from fairlink.llm.fingerprints import _least
 
 LENGTH = 50
@@ -226,6 +227,7 @@ def without_repeats(docs: DataFrame, carry: tuple[str, ...] = ()) -> DataFrame:
 
     def meet(key: tuple, table: pa.Table) -> pa.Table:
         to, rows = _meet(table)
+        give_back()
         return pa.table({"block": pa.array(to, pa.int32()), "bucket": pa.array([key[0].as_py()] * len(to), pa.int32()), "payload": pa.array(rows, pa.binary())})
 
     kept = T.StructType(
@@ -273,6 +275,7 @@ def without_repeats(docs: DataFrame, carry: tuple[str, ...] = ()) -> DataFrame:
                 done[name_].extend(values)
         from pyspark.sql.pandas.types import to_arrow_schema
 
+        give_back()
         return pa.table(done, schema=to_arrow_schema(kept))
 
     by = dealt.groupBy("block")
