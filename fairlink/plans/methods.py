@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fairlink.functions import bits, rng, theory, tokens
@@ -684,4 +684,118 @@ def part_records(spark, sf_dir):
     return a.join(b, key).groupBy("group_id").agg(F.count("*").alias("pairs"), F.count_if(F.col("ea") == F.col("eb")).alias("true_pairs"))
 
 
-_ = (ONES, Window)
+# Other workloads and protected features of the noisy baseline.
+
+_AGE = "CASE WHEN age <= 45 THEN 'young' ELSE 'old' END"
+_RECS = "SELECT *, {group} AS group_id, party || '-' || entity_id::VARCHAR AS rec_id FROM (SELECT *, 'A' AS party FROM people WHERE lot <> 2 UNION ALL SELECT * {change}, 'B' AS party FROM people WHERE lot <> 1)"
+_DIRTY = _RECS.format(group="gender", change="REPLACE (" + ", ".join(_edit_sql(c, i) for i, c in enumerate(("given", "surname", "suburb", "postcode"))) + ")")
+_BIASED = _RECS.format(group="gender", change="REPLACE (" + ", ".join(map(_fresh_sql, ("surname", "suburb", "postcode"))) + ")")
+
+
+def _rates_of(spark, sf_dir, name, **options):
+    return rounded(measures.rates(scenarios.run(spark, sf_dir, name, **options)))
+
+
+@query(sql(f"{RATES} FROM nconf", "nconf", recs=_RECS.format(group=_AGE, change="")))
+def scenario_b2_age(spark, sf_dir):
+    return _rates_of(spark, sf_dir, "b2", features=("age_band",))
+
+
+@query(sql(f"{RATES} FROM nconf", "nconf", recs=_RECS.format(group=f"gender || '/' || {_AGE}", change=""), counts=noise_sql("4.0").replace("STATS", "stats")))
+def scenario_b2_product(spark, sf_dir):
+    return _rates_of(spark, sf_dir, "b2", features=("gender", "age_band"))
+
+
+@query(sql(f"{RATES} FROM nconf", "nconf", recs=_DIRTY))
+def scenario_b2_dirty(spark, sf_dir):
+    return _rates_of(spark, sf_dir, "b2", flavour="dirty")
+
+
+@query(sql(f"{RATES} FROM conf", "conf", recs=_DIRTY))
+def scenario_b1_dirty(spark, sf_dir):
+    return _rates_of(spark, sf_dir, "b1", flavour="dirty")
+
+
+@query(sql(f"{RATES} FROM nconf", "nconf", recs=_BIASED))
+def scenario_b2_biased(spark, sf_dir):
+    return _rates_of(spark, sf_dir, "b2", flavour="biased")
+
+
+@query(sql(f"{RATES} FROM conf", "conf", recs=_BIASED))
+def scenario_b1_biased(spark, sf_dir):
+    return _rates_of(spark, sf_dir, "b1", flavour="biased")
+
+
+@query(sql(f"{RATES} FROM nconf", "nconf", enc=f"SELECT *, ({ONES})::INTEGER AS n_ones FROM ({encoded('recs', CENSUS)})"))
+def scenario_b2_census(spark, sf_dir):
+    return _rates_of(spark, sf_dir, "b2", flavour="census")
+
+
+@query(sql(f"{RATES} FROM nconf", "nconf", counts=noise_sql("0.2").replace("STATS", "stats")))
+def scenario_b2_small_budget(spark, sf_dir):
+    return _rates_of(spark, sf_dir, "b2", eps=0.1)
+
+
+@query(sql(f"{RATES} FROM nconf", "nconf", counts=noise_sql("20.0").replace("STATS", "stats")))
+def scenario_b2_large_budget(spark, sf_dir):
+    return _rates_of(spark, sf_dir, "b2", eps=10.0)
+
+
+@query()
+def scenario_a_biased(spark, sf_dir):
+    return _rates_of(spark, sf_dir, "a", flavour="biased")
+
+
+@query()
+def scenario_b_biased(spark, sf_dir):
+    return _rates_of(spark, sf_dir, "b", flavour="biased")
+
+
+@query()
+def scenario_b2_logistic(spark, sf_dir):
+    """Trained on original pairs of a split by record, judged on the noisy ones."""
+    return _rates_of(spark, sf_dir, "b2", flavour="dirty", classifier="logistic")
+
+
+@query(sql(f"SELECT round(sum(a * b), 4) AS pairs FROM (SELECT table_no, label, coalesce(sum(n + {_MEAN}) FILTER (WHERE party = 'A'), 0) AS a, coalesce(sum(n + {_MEAN}) FILTER (WHERE party = 'B'), 0) AS b FROM stats GROUP BY ALL)", "stats"))
+def expected_candidates(spark, sf_dir):
+    """Expected pairs of noisy bins, all groups of a bin together."""
+    stats = scenarios.bench(spark, sf_dir).stats.withColumn("size", F.col("n") + theory.capped_mean(F.col("n"), F.lit(2.0)))
+    side = lambda p: F.coalesce(F.sum(F.when(F.col("party") == p, F.col("size"))), F.lit(0.0))
+    return stats.groupBy(*block.BIN).agg(side("A").alias("a"), side("B").alias("b")).agg(F.round(F.sum(F.col("a") * F.col("b")), 4).alias("pairs"))
+
+
+@query(sql("SELECT group_id, round(" + _PFP.replace("F", "0.2::DOUBLE") + " * ((na + nb) / 4.0 + bins / 16.0), 4) AS false_matches FROM g", "conf", "stats", g=_G))
+def dummy_fp_expected(spark, sf_dir):
+    """Upper bound of false matches by dummies: every dummy pair taken for one with the source."""
+    cut = 300 * 0.8 * 0.2 / (2 * (1 - 0.8) * (1 - 0.2))
+    p = 0.5 * (1 - theory.erf(F.lit((cut - 150) / 150.0**0.5)))
+    fake = (F.col("na") + F.col("nb")) / 4 + F.col("bins") / 16
+    return _group_table(spark, sf_dir).select("group_id", F.round(p * fake, 4).alias("false_matches"))
+
+
+@query(sql("SELECT party, group_id, count(*) FILTER (WHERE same = 1) AS unique_bins, count(*) FILTER (WHERE n < 2) AS rare_bins, count(*) AS bins FROM (SELECT *, count(*) OVER (PARTITION BY party, table_no, n) AS same FROM (SELECT party, table_no, label, group_id, n + m AS n FROM counts)) GROUP BY ALL", "counts"))
+def exposure_noisy_bins(spark, sf_dir):
+    noisy = noise.dummy_counts(scenarios.bench(spark, sf_dir).stats, _groups(spark)).select(*noise.KEYS, (F.col("n") + F.col("m")).alias("n"))
+    return measures.exposure(noisy)
+
+
+@query(sql(f"SELECT group_id, count(*) AS sampled, count(*) FILTER (WHERE sim > 0.8 AND NOT truth) AS fp, count(*) FILTER (WHERE sim <= 0.8 AND truth) AS fn FROM pairs WHERE {u('sample', 'id_a', 'id_b')} < 0.5 GROUP BY group_id", "pairs"))
+def sample_rates(spark, sf_dir):
+    """Original errors on a keyed half of the pairs."""
+    own = classify.threshold(scenarios.plain_pairs(scenarios.bench(spark, sf_dir))).where(rng.uniform(DEFAULT.seed, "sample", "id_a", "id_b") < 0.5)
+    return own.groupBy("group_id").agg(F.count("*").alias("sampled"), F.count_if(F.col("pred") & ~F.col("truth")).alias("fp"), F.count_if(~F.col("pred") & F.col("truth")).alias("fn"))
+
+
+@query()
+def bloom_rounds(spark, sf_dir):
+    """Filters of two encoding rounds, and how full they are."""
+    return rounded(encode.fill_stats(encode.encoded(people.parties(spark, sf_dir), rounds=2)))
+
+
+@query()
+def tuned_both(spark, sf_dir):
+    """Budgets first, then flips."""
+    stats = scenarios.group_stats(scenarios.bench(spark, sf_dir))
+    found = allocate.both(stats, 1.0, 0.4)
+    return spark.createDataFrame([(s.group_id, round(float(e), 6), float(f)) for s, e, f in zip(stats, found.eps, found.flip, strict=True)], "group_id string, eps double, flip double")
