@@ -204,7 +204,7 @@ def win_pick_dummies(spark, sf_dir):
     return rng.pick_k(c, ["c_nationkey"], "k", 7, "c_custkey").select("c_custkey", "c_nationkey")
 
 
-@query("SELECT o_custkey, o_orderkey, rank() OVER w AS r, dense_rank() OVER w AS d, ntile(4) OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS q FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice DESC)")
+@query("SELECT o_custkey, o_orderkey, (rank() OVER w)::INTEGER AS r, (dense_rank() OVER w)::INTEGER AS d, (ntile(4) OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey))::INTEGER AS q FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice DESC)")
 def win_best_match(spark, sf_dir):
     w = Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"))
     return table(spark, sf_dir, "orders").select("o_custkey", "o_orderkey", F.rank().over(w).alias("r"), F.dense_rank().over(w).alias("d"), F.ntile(4).over(Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")).alias("q"))
@@ -252,7 +252,7 @@ def set_except_ids(spark, sf_dir):
 # Functions.
 
 
-@query("SELECT p_partkey, trim(lower(p_name)) AS name, substr(p_brand, 1, 4) AS head, lpad(p_size::VARCHAR, 4, '0') AS padded, levenshtein(p_name, p_brand) AS distance, translate(p_type, 'AEIOU', 'aeiou') AS vowels, length(p_name) AS n FROM part")
+@query("SELECT p_partkey, trim(lower(p_name)) AS name, substr(p_brand, 1, 4) AS head, lpad(p_size::VARCHAR, 4, '0') AS padded, levenshtein(p_name, p_brand)::INTEGER AS distance, translate(p_type, 'AEIOU', 'aeiou') AS vowels, length(p_name)::INTEGER AS n FROM part")
 def fn_string_norm(spark, sf_dir):
     return table(spark, sf_dir, "part").select("p_partkey", F.trim(F.lower("p_name")).alias("name"), F.substring("p_brand", 1, 4).alias("head"), F.lpad(F.col("p_size").cast("string"), 4, "0").alias("padded"), F.levenshtein("p_name", "p_brand").alias("distance"), F.translate("p_type", "AEIOU", "aeiou").alias("vowels"), F.length("p_name").alias("n"))
 
@@ -269,7 +269,7 @@ def fn_hash(spark, sf_dir):
     return table(spark, sf_dir, "customer").select("c_custkey", F.md5(seg).alias("m"), F.sha2(seg, 256).alias("s"), F.round(rng.uniform(7, "fn", "c_custkey"), 9).alias("u"))
 
 
-@query("SELECT o_orderkey, year(o_orderdate) AS y, date_trunc('month', o_orderdate)::DATE::VARCHAR AS m, (o_orderdate + INTERVAL 2 MONTH)::DATE::VARCHAR AS later, date_diff('day', DATE '1990-01-01', o_orderdate::DATE)::INTEGER AS days FROM orders")
+@query("SELECT o_orderkey, year(o_orderdate)::INTEGER AS y, date_trunc('month', o_orderdate)::DATE::VARCHAR AS m, (o_orderdate + INTERVAL 2 MONTH)::DATE::VARCHAR AS later, date_diff('day', DATE '1990-01-01', o_orderdate::DATE)::INTEGER AS days FROM orders")
 def fn_dates_orders(spark, sf_dir):
     d = F.col("o_orderdate")
     return table(spark, sf_dir, "orders").select("o_orderkey", F.year(d).alias("y"), F.to_date(F.date_trunc("month", d)).cast("string").alias("m"), F.add_months(F.to_date(d), 2).cast("string").alias("later"), F.datediff(F.to_date(d), F.lit("1990-01-01").cast("date")).alias("days"))

@@ -74,7 +74,7 @@ STEPS: dict[str, str] = {
     "recs": "SELECT *, gender AS group_id, party || '-' || entity_id::VARCHAR AS rec_id FROM (SELECT *, 'A' AS party FROM people WHERE lot <> 2 UNION ALL SELECT *, 'B' AS party FROM people WHERE lot <> 1)",
     "enc": f"SELECT *, ({ONES})::INTEGER AS n_ones FROM ({encoded('recs')})",
     "lab": "SELECT *, " + ", ".join(f"{label(t)}::BIGINT AS l{t}" for t in range(DEFAULT.label_tables)) + " FROM enc",
-    "blk": "SELECT lab.*, t AS table_no, CASE t " + " ".join(f"WHEN {t} THEN l{t}" for t in range(DEFAULT.label_tables)) + f" END AS label FROM lab, range({DEFAULT.label_tables}) r(t)",
+    "blk": "SELECT lab.*, t::INTEGER AS table_no, CASE t " + " ".join(f"WHEN {t} THEN l{t}" for t in range(DEFAULT.label_tables)) + f" END AS label FROM lab, range({DEFAULT.label_tables}) r(t)",
     "stats": "SELECT party, table_no, label, group_id, count(*) AS n FROM blk GROUP BY ALL",
     "counts": noise_sql().replace("STATS", "stats"),
     "chosen": f"SELECT blk.*, md5('{DEFAULT.seed}|pick|' || rec_id || '|' || table_no::VARCHAR) AS o, m FROM blk JOIN (SELECT party, table_no, label, group_id, m FROM counts WHERE m > 0) USING (party, table_no, label, group_id) QUALIFY row_number() OVER (PARTITION BY party, table_no, label, group_id ORDER BY o) <= m",
