@@ -17,8 +17,7 @@ from __future__ import annotations
 import os
 import re
 import zlib
-from collections.abc import Iterator
-from itertools import chain
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -74,7 +73,7 @@ class LevelPacker:
 
 
 class WordIds:
-    """Ids of texts as little-endian bytes, with a bounded cache of words.
+    """Ids of texts as little-endian bytes, with a bounded cache of words in two generations.
 
     Words of plain Latin text are encoded once; any text with other characters goes through
     the tokenizer as a whole, so that its normalisation rules hold.
@@ -82,7 +81,7 @@ class WordIds:
 
     PLAIN = re.compile("[^\t\n\r\x20-\x7e\xa1-\xbf\xc0-\xff]")
 
-    def __init__(self, path: str, words: int = 800_000):
+    def __init__(self, path: str, words: int = 400_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -95,9 +94,19 @@ class WordIds:
         letter, number = "a-z\xaa\xb5\xba\xdf-\xf6\xf8-\xff", "0-9\xb2\xb3\xb9\xbc-\xbe"
         self.find = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{letter}]+|[{number}]|[^\t\n\r {letter}{number}]+").findall
         self.cache: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
         self.words = words
 
-    def learn(self, fresh: list[str]) -> None:
+    def learn(self, words: Iterable[str]) -> None:
+        """Puts words into the cache: from the one before, or encoded many at a time."""
+        old = self.old.get
+        fresh = []
+        for w in words:
+            ids = old(w)
+            if ids is None:
+                fresh.append(w)
+            else:
+                self.cache[w] = ids
         for at in range(0, len(fresh), 20_000):
             part = fresh[at : at + 20_000]
             ids = np.array(self.tokenizer.encode(" ".join(part), add_special_tokens=False).ids, "<u4")
@@ -110,20 +119,25 @@ class WordIds:
                     self.cache[w] = np.array(self.tokenizer.encode(w, add_special_tokens=False).ids, "<u4").tobytes()
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        plain = [not self.PLAIN.search(t) for t in texts]
-        split = [self.find(t.lower()) if p else [] for t, p in zip(texts, plain, strict=True)]
-        seen = set(chain.from_iterable(split))
-        fresh = seen.difference(self.cache)
-        if len(self.cache) + len(fresh) > self.words:
-            self.cache.clear()
-            fresh = seen
-        if fresh:
-            self.learn(list(fresh))
-        get = self.cache.__getitem__
-        return [
-            b"".join(map(get, words)) if p else np.array(self.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes()
-            for t, p, words in zip(texts, plain, split, strict=True)
-        ]
+        if len(self.cache) > self.words:
+            self.old, self.cache = self.cache, {}
+        get, out, holes = self.cache.get, [], []
+        for text in texts:
+            if self.PLAIN.search(text):
+                out.append([np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()])
+                continue
+            words = self.find(text.lower())
+            found = list(map(get, words))
+            at = -1
+            for _ in range(found.count(None)):
+                at = found.index(None, at + 1)
+                holes.append((found, at, words[at]))
+            out.append(found)
+        if holes:
+            self.learn({w for _, _, w in holes})
+            for found, at, w in holes:
+                found[at] = self.cache[w]
+        return [b"".join(found) for found in out]
 
 
 def encoder(path: str) -> WordIds:
