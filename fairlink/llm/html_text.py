@@ -45,7 +45,7 @@ CLOSES_P = frozenset(
 BESIDE = frozenset(
     "ad ads adv advert adverts advertisement advertising sponsor sponsored sponsors promo promotion banner cookie cookies consent gdpr notice notices alert newsletter subscribe subscription signup "
     "nav navbar navigation menu breadcrumb breadcrumbs sidebar aside widget related recommended recommendations share sharing social comment comments disqus reply replies respond "
-    "footer masthead popup modal overlay toolbar pagination pager login search".split()
+    "footer masthead popup modal overlay toolbar pagination pager login search rail discussion feedback reactions announcement disclaimer legal copyright outbrain taboola".split()
 )
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert".split())
 
