@@ -49,7 +49,8 @@ def flips(stats: list[GroupStats], eps: float, grid=None, model=theory.fp_prob_n
     """Method A: equal budgets, flips that make the groups' predicted rates equal.
 
     Each group's rate is tabled over the grid. Up to three groups all combinations are tried; with more, a
-    sweep over target levels takes each group's nearest flip. Ties: larger least flip, then smaller spread.
+    sweep over target levels takes each group's nearest flip. Many combinations tie where the dummies are clean;
+    then flips nearest to one half are taken, as complements of like records are alike, then the smaller spread.
     """
     grid = [i / 50 for i in range(51)] if grid is None else list(grid)
     table = [[_fpr(s, eps, f, model, sensitivity) for f in grid] for s in stats]
@@ -61,7 +62,7 @@ def flips(stats: list[GroupStats], eps: float, grid=None, model=theory.fp_prob_n
 
     def rank(c):
         chosen = [grid[i] for i in c]
-        return round(loss_of([row[i] for row, i in zip(table, c, strict=True)], stats), 12), -min(chosen), max(chosen) - min(chosen), chosen
+        return round(loss_of([row[i] for row, i in zip(table, c, strict=True)], stats), 12), round(sum(abs(f - 0.5) for f in chosen), 9), max(chosen) - min(chosen), chosen
 
     loss, _, _, chosen = min(map(rank, combos))
     return Knobs((eps,) * len(stats), tuple(chosen), loss, cost_of(stats, (eps,) * len(stats), sensitivity))
