@@ -1,10 +1,11 @@
 """Secret scans with a random forest against false positives, in built-in functions only.
 
-A candidate is a word with a long run of key characters that mixes digits and letters, or an assignment to a
-credential name. Its value is what follows the last = or : and quote. Features of a candidate:
+A candidate is a word with a long run of key characters that mixes digits and letters, a long run of letters, or
+a value of six characters or more that follows a credential name with = or :, in the same word or in the one or two
+words before. Its value is what follows the = or : and quote. Features of a candidate:
 length, shares of digits and capitals, changes between character classes, distinct characters,
 whether it is all hexadecimal, how much of it frequent letter groups cover, marks of paths and
-addresses, known key prefixes, and whether the words before and beside it speak of credentials or of
+addresses, known key prefixes, marks as passwords hold them, whether it is assigned to a credential name, and whether the words before and beside it speak of credentials or of
 digests and versions.
 
 The forest is trained by Spark's own learner on labelled findings that a rule makes from keyed
@@ -38,16 +39,29 @@ CREDENTIAL = r"(?i)(pass(word|wd|phrase)?|pwd|secret|token|api[_-]?key|auth|bear
 BENIGN = r"(?i)(commit|sha-?\d*|md5|checksum|digest|hash|etag|uuid|guid|version|revision|build|isbn|issn|doi|order|invoice|serial|phone|tel|image|file|path|example|sample|placeholder)"
 PREFIXES = r"^(AKIA|ASIA|ghp_|gho_|ghs_|github_pat_|glpat-|sk-|sk_live_|rk_live_|xox[abpr]-|AIza|eyJ|SG\.|npm_|pypi-)"
 GROUPS = r"(?i)(tion|ment|ing|the|and|ent|ion|ter|est|ver|ich|sch|ein|que|con|com|pro|res|ara|ado|eur|ais|elle|user|name|file|page|www|http|html|image|data|test|index)"
-ASSIGNED = r"(?i)(pass(word|wd)?|pwd|secret|token|api[_-]?key|access[_-]?key)[\"']?[=:][\"']?\S{6,}"
+NAMED = CREDENTIAL + r"(?!or|ent|age|eng|ion|iv|ari?[yae])[A-Za-z0-9_.\-]*[\"'`\])]*"
+ASSIGNED = NAMED + r"[=:][=:>]*[\"'`]?\S{6,}"
+AWAITING = NAMED + r" ?[=:][=:>]*[\"'`]?$"
 KEYLIKE = r"(?=[^\s]*[0-9])(?=[^\s]*[A-Za-z])[A-Za-z0-9+/_.\-]{16,}"
+LETTERS = r"[A-Za-z]{20,}"
 
-FEATURES = ("size", "digits", "capitals", "changes", "distinct", "hexadecimal", "covered", "path", "prefix", "credential", "benign", "dashes")
+FEATURES = ("size", "digits", "capitals", "changes", "distinct", "hexadecimal", "covered", "path", "prefix", "credential", "benign", "dashes", "named", "marks")
 
 
-def value_of(word: Column) -> Column:
+def awaited(before: Column, word: Column) -> Column:
+    """Whether the words before are a credential name with = or :, which may begin the word itself."""
+    return before.rlike(AWAITING) | (before.rlike(NAMED + "$") & word.rlike(r"^[=:]"))
+
+
+def value_of(word: Column, before: Column) -> Column:
     """The candidate's value: without the name before = or :, quotes and closing marks."""
     bare = F.regexp_replace(word, r"^[\"'(<\[]+|[^A-Za-z0-9+/_\-]+$", "")
-    return F.regexp_replace(bare, r"^[A-Za-z_][A-Za-z0-9_.\-]*[\"']?[=:]+[\"']?(?=.{6,})", "")
+    free = F.regexp_replace(bare, r"^[A-Za-z_][A-Za-z0-9_.\-]*[\"']?[=:]+[\"']?(?=.{6,})", "")
+    # What is assigned to a credential name may hold any mark, but for the quotes and stops around it.
+    closed = F.regexp_replace(word, r"[\"'`)\]}>,;.]+$", "")
+    after = F.regexp_replace(closed, r"^[=:>]*[\"'`(<\[]*", "")
+    own = F.regexp_replace(closed, "^.*?" + NAMED + r"[=:][=:>]*[\"'`]?(?=.{6,})", "")
+    return F.when(word.rlike(ASSIGNED), own).when(awaited(before, word), after).otherwise(free)
 
 
 def features(value: Column, before: Column, word: Column) -> Column:
@@ -70,6 +84,8 @@ def features(value: Column, before: Column, word: Column) -> Column:
         yes(around.rlike(CREDENTIAL)).alias("credential"),
         yes(around.rlike(BENIGN)).alias("benign"),
         share(r"[\-]").alias("dashes"),
+        yes(word.rlike(ASSIGNED) | awaited(before, word)).alias("named"),
+        share(r"[!@#$%^&*~?]").alias("marks"),
     )
 
 
@@ -86,6 +102,11 @@ def labelled(spark: SparkSession, rows: int = TRAIN_ROWS) -> DataFrame:
     tag = pick("tag", "commit", "sha256:", "md5", "checksum", "uuid", "version", "build", "etag", "file", "order")
     long = F.concat(*(pick(f"w{i}", "thing", "ation", "ment", "heit", "sch", "que", "able", "er", "con", "pro", "lich", "ado") for i in range(5)))
     upper = F.upper(F.regexp_replace(mixed, "[^A-Za-z0-9]", ""))
+    letters = F.regexp_replace(mixed, "[^A-Za-z]", "")
+    plainer = pick("plainer", "required", "string", "optional", "wikipedia", "disabled", "enabled", "Bearer", "session", "expired", "invalid", "Schmidt", "example", "siehe", "unknown", "missing", "password", "changed", "obligatoire", "necesario", "garden")
+    human = F.concat(pick("h", "Summer", "hunter", "dragon", "Tr0ub4dor", "s3cret", "monkey", "letme", "Winter", "p4ss", "qwer", "Sonne", "soleil", "sol", "abc"), pick("hs", "", "!", "&", "@", "_", "#", "Word"), digit("hd", 9999).cast("string"), pick("he", "", "!", "x", "$", "secret", "?"))
+    human = F.rpad(human, F.greatest(F.length(human), F.lit(7)), "7")
+    inner = F.concat(pick("i", "hunter", "dragon", "summer", "abc", "my", "Garten", "winter", "blue"), digit("id", 99).cast("string"), pick("ie", "secret", "word", "house", "moon", "river", "Haus", "xyz"))
     kinds = [  # value, words before, name in the same word, label
         (F.concat(F.lit("AKIA"), F.substr(upper, F.lit(1), F.lit(16))), plain, "", 1),
         (part(hexa, 16, 48), F.concat(name, F.lit(" =")), "", 1),
@@ -103,6 +124,23 @@ def labelled(spark: SparkSession, rows: int = TRAIN_ROWS) -> DataFrame:
         (F.concat(long, F.lit("@mail"), digit("m", 9).cast("string"), F.lit(".example.com")), plain, "", 0),
         (F.concat(F.lit("v"), digit("v1", 30).cast("string"), F.lit("."), digit("v2", 30).cast("string"), F.lit(".0-"), F.substr(long, F.lit(1), F.lit(8))), tag, "", 0),
         (pick("ph", "your_password_here1", "example_token_0000", "xxxxxxxxxxxxxxxx1", "changeme12345678", "REPLACE_ME_00000000"), F.concat(name, F.lit(" =")), "", 0),
+        (human, F.concat(plain, F.lit(" "), name, F.lit(":")), "", 1),
+        (human, F.concat(name, F.lit(" =")), "", 1),
+        (human, plain, "=", 1),
+        (inner, F.concat(plain, F.lit(" "), name, F.lit(":")), "", 1),
+        (inner, plain, "=", 1),
+        (part(hexa, 8, 15), F.concat(plain, F.lit(" "), name, F.lit(":")), "", 1),
+        (part(mixed, 8, 15), F.concat(name, F.lit(" =")), "", 1),
+        (F.substr(F.regexp_replace(upper, "[0-9]", ""), F.lit(1), digit("ul", 20) + 14), F.concat(name, F.lit(" =")), "", 1),
+        (F.substr(letters, F.lit(1), digit("ll", 20) + 12), F.concat(plain, F.lit(" "), name, F.lit(":")), "", 1),
+        (F.substr(letters, F.lit(1), digit("lu", 20) + 24), plain, "", 1),
+        (plainer, F.concat(plain, F.lit(" "), name, F.lit(":")), "", 0),
+        (plainer, F.concat(name, F.lit(" =")), "", 0),
+        (plainer, plain, "=", 0),
+        (F.concat(long, long), plain, "", 0),
+        (F.initcap(F.concat(long, long)), plain, "", 0),
+        (long, F.concat(plain, F.lit(" "), name, F.lit(":")), "", 0),
+        (F.concat(pick("fn", "get_", "os.environ.", "self.", "config.", "read_", "your_", "my_"), pick("fm", "password", "token", "secret", "api_key", "credentials", "settings")), F.concat(name, F.lit(" =")), "", 0),
     ]
     made = spark.range(rows).withColumn("kind", F.pmod(F.xxhash64("id", F.lit("kind")), F.lit(len(kinds))).cast("int"))
     at = lambda options: F.get(F.array(*options), F.col("kind"))
@@ -148,9 +186,9 @@ def findings_of(text: Column, trees: list[str]) -> Column:
 
     def judged(words: Column) -> Column:
         def candidate(word: Column, i: Column) -> Column:
-            likely = (F.length(word) >= SHORTEST) & (word.rlike(KEYLIKE) | word.rlike(ASSIGNED))
             before = F.concat_ws(" ", F.get(words, i - 2), F.get(words, i - 1))
-            return F.when(likely, F.struct(i.alias("place"), value_of(word).alias("value"), before.alias("before"), word.alias("word")))
+            likely = (F.length(word) >= SHORTEST) & (word.rlike(KEYLIKE) | word.rlike(LETTERS)) | (F.length(word) >= 6) & (word.rlike(ASSIGNED) | awaited(before, word))
+            return F.when(likely, F.struct(i.alias("place"), value_of(word, before).alias("value"), before.alias("before"), word.alias("word")))
 
         return F.filter(F.transform(words, candidate), lambda x: x.isNotNull() & (F.length(x["value"]) >= 6))
 

@@ -122,6 +122,18 @@ def test_secrets(spark, odd, empty):
     assert "Python" not in plan and "Exchange" not in plan
 
 
+def test_secrets_after_a_name(spark):
+    texts = {
+        "password: hunter2secret": "hunter2secret", 'db_password = "Tr0ub4dor&3"': "Tr0ub4dor&3", "secret: 9f8e7d6c5b4a": "9f8e7d6c5b4a", "pwd=abc1234": "abc1234",
+        "auth=abc12345xyz": "abc12345xyz", "passphrase=s3cretWord9": "s3cretWord9", "api_key = ABCDEFGHIJKLMNOPQRST": "ABCDEFGHIJKLMNOPQRST",
+    }
+    plain = ["the password: required here", "token = string of words", "Author: Schmidt wrote it", "eine Donaudampfschifffahrtsgesellschaft dort"]
+    docs = spark.createDataFrame([(i, f"so {t} then") for i, t in enumerate([*texts, *plain])], "doc_id long, text string")
+    trees = secrets.train(spark)
+    masked = [r["text"] for r in secrets.masked(docs, trees).orderBy("doc_id").collect()]
+    assert masked == [f"so {t.replace(v, '[SECRET]')} then" for t, v in texts.items()] + [f"so {t} then" for t in plain]
+
+
 def test_bpe_as_the_library(odd, empty):
     import public_tokenizers
     import tiktoken
