@@ -8,7 +8,7 @@ product of reachable states, and a clause is scored by one run. A document's sco
 function of its counts of matches.
 
 The insult lexicon and the weights are learned from labelled rows only. Lexicon: words and word
-beginnings whose share of toxic texts could not come about by chance among so many terms, chosen
+beginnings whose share of toxic texts could not come about by chance among all the terms, rare ones too, chosen
 greedily until each toxic training text is covered several times; a fixed seed list is kept as far as
 the labels do not speak against it. Weights: a logistic fit drawn to prior weights. Learning reads at most TRAIN_ROWS
 labelled rows, the first ones by a hash of doc_id; rows with crc32(doc_id) mod 5 = 0 are never
@@ -30,11 +30,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fairlink.llm.common import RowBuffer, kept, slices
+from fairlink.llm.common import RowBuffer, durable, kept, slices
 
 TRAIN_ROWS = 20_000
 LEXICON = 4_000
-CANDIDATES = 20_000
+TERMS_AT_ONCE = 200_000
 FOLDS = 5
 COVER = 4
 
@@ -190,19 +190,15 @@ def terms(text: str) -> set[str]:
     return words | {w[:k] + "*" for w in words for k in range(4, 9) if len(w) > k}
 
 
-def _tail(hits: int, n: int, share: float) -> float:
-    """Upper bound of the log chance of so many hits among n."""
-    q = hits / n
-    if q <= share:
-        return 0.0
-    return -n * (q * math.log(q / share) + ((1 - q) * math.log((1 - q) / (1 - share)) if q < 1 else 0))
-
-
-def significant(hits: Counter, n_toxic: int, clean: Counter, n_clean: int, tried: int) -> set[str]:
-    """Terms that chance would hardly give to toxic texts so often, were all the tried ones idle."""
+def significant(n_toxic: int, n_clean: int, tried: int) -> F.Column:
+    """Whether chance would hardly give a term to n toxic texts beside `clean` others, were all the tried terms idle."""
     share = (n_toxic + 0.5) / (n_toxic + n_clean + 1)
     least = -math.log(max(1, tried) / 0.5)
-    return {t for t, n in hits.items() if n > 2 and n >= 4 * clean[t] and _tail(n, n + clean[t], share) < least}
+    n, clean = F.col("n"), F.col("clean")
+    q = n / (n + clean)
+    # Upper bound of the log chance of so many hits.
+    tail = F.when(q <= share, 0.0).otherwise(-(n * F.log(q / share) + F.when(clean > 0, clean * F.log((1 - q) / (1 - share))).otherwise(0.0)))
+    return (n > 2) & (n >= 4 * clean) & (tail < least)
 
 
 def choose(toxic: list[set[str]], clean: Counter) -> list[str]:
@@ -274,28 +270,27 @@ def learn(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS) -> Model:
     small = F.broadcast(spark.createDataFrame(sample, "doc_id long, toxic int"))
     train = docs.select("doc_id", "text").join(small, "doc_id").where("text IS NOT NULL").select("text", "toxic")
 
-    def toxic_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         count: Counter = Counter()
+        rows = lambda: pa.record_batch([pa.array(count.keys(), pa.string()), pa.array(count.values(), pa.int64())], names=["term", "n"])
         for (texts,) in slices(batches, "text"):
             for text in set(texts):
                 count.update(terms(text))
-        yield pa.record_batch([pa.array(count.keys(), pa.string()), pa.array(count.values(), pa.int64())], names=["term", "n"])
-
-    found = train.where("toxic = 1").mapInArrow(toxic_terms, "term string, n long").groupBy("term").agg(F.sum("n").alias("n")).where("n > 2")
-    hits: Counter = Counter({r["term"]: r["n"] for r in found.orderBy(F.desc("n"), "term").limit(CANDIDATES).collect()})
-    wanted = hits.keys() | SEEDS
-
-    def clean_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        count: Counter = Counter()
-        for (texts,) in slices(batches, "text"):
-            for text in set(texts):
-                count.update(terms(text) & wanted)
                 count[""] += 1
-        yield pa.record_batch([pa.array(count.keys(), pa.string()), pa.array(count.values(), pa.int64())], names=["term", "n"])
-
-    clean: Counter = Counter({r["term"]: r["n"] for r in train.where("toxic = 0").mapInArrow(clean_counts, "term string, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()})
-    n_clean, n_toxic = clean.pop("", 0), train.where("toxic = 1").count()
-    good = significant(hits, n_toxic, clean, n_clean, len(wanted))
+                if len(count) > TERMS_AT_ONCE:
+                    yield rows()
+                    count.clear()
+        yield rows()
+
+    per_term = lambda toxic: train.where(f"toxic = {toxic}").mapInArrow(counted, "term string, n long").groupBy("term").agg(F.sum("n").alias("n"))
+    # Every term with its counts stays in Spark; the significant ones and the seeds come to the driver.
+    both = durable(per_term(1).where("n > 2 OR term = ''").join(per_term(0).withColumnRenamed("n", "clean"), "term", "full").select("term", F.coalesce("n", F.lit(0)).alias("n"), F.coalesce("clean", F.lit(0)).alias("clean")))
+    n_clean = both.where("term = ''").agg(F.sum("clean")).first()[0] or 0
+    n_toxic, tried = train.where("toxic = 1").count(), both.where("n > 2 AND term <> ''").count()
+    tests = significant(n_toxic, n_clean, tried + len(SEEDS))
+    found = both.where("term <> ''").withColumn("good", tests).where(F.col("good") | F.col("term").isin(*SEEDS)).collect()
+    hits, clean = Counter({r["term"]: r["n"] for r in found}), Counter({r["term"]: r["clean"] for r in found})
+    good = {r["term"] for r in found if r["good"]}
 
     def held(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for (texts,) in slices(batches, "text"):

@@ -1,4 +1,5 @@
 import hashlib
+import random
 import zlib
 from collections import Counter, defaultdict
 
@@ -73,6 +74,14 @@ def test_toxicity_held_out(spark, odd, empty):
     assert toxicity.without_toxic(odd, labels).columns == odd.columns
 
 
+def test_toxicity_learns_rare_terms(spark):
+    rng = random.Random(3)
+    common = " ".join("".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(9)) for _ in range(4500))
+    docs = spark.createDataFrame([(i, f"{i} {common} " + ("zorgblat" if i < 30 else "")) for i in range(180)], "doc_id long, text string").repartition(8)
+    labels = spark.createDataFrame([(i, int(i < 60)) for i in range(180)], "doc_id long, toxic int")
+    assert toxicity.learn(docs, labels).lexicon.holds("zorgblat")
+
+
 @pytest.mark.parametrize("shards", [1, 5, 24])
 def test_shards(odd, shards):
     rows = sharding.shard(odd, shards).toPandas()
