@@ -171,6 +171,22 @@ def test_bpe_splits_any_text(text):
     assert ids == ",".join(map(str, want)) and n == len(want) and data == text.encode()
 
 
+def test_bpe_of_long_words():
+    import public_tokenizers
+    import tiktoken
+
+    rng = random.Random(2)
+    path = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
+    code = bpe.coder(path, public_tokenizers.PATTERN)
+    library = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=code.ranks, special_tokens={})
+    letters = lambda alphabet, n: "".join(rng.choice(alphabet) for _ in range(n))
+    texts = ["a" * 1_000_000, letters("abcdefghijklmnopqrstuvwxyz", 20_000) + ". Some other words, 12345" + "0" * 3000, "he" * 5000 + " " + "the" * 3000 + "!" * 700]
+    texts += [letters(a, rng.randint(60, 400)) for a in ("ab", "the", "éèß", ".,-", "aehnt") for _ in range(30)]
+    for text, (n, ids, data) in zip(texts, code.encode(texts), strict=True):
+        want = library.encode_ordinary(text)
+        assert ids == ",".join(map(str, want)) and n == len(want) and data == text.encode()
+
+
 PAGE = """<!DOCTYPE html><html><head><title>T &amp; t</title><style>p{x:"</p>"}</style><script>var a="<p>no</p>";</script></head><body class="home">
 <header><a href="/">Site</a></header><nav><ul><li><a href="/a">One<li>Two</ul></nav><div class="cookie-notice">We use cookies, really.</div><!-- <p>gone</p> -->
 <div id="ad-top">Buy this now. It is cheap.</div><aside>Side words, many of them, here.</aside>
