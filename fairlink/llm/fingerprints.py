@@ -2,9 +2,11 @@
 
 A window of K code points is an anchor when the smallest of its inner windows of S code points
 lies at either end. That depends on the K code points alone, so an edit elsewhere in the text
-never moves an anchor, unlike minimisers. The fingerprint is a bottom sketch of the anchors'
-hashes: its SKETCH smallest distinct values, as hex. The likeness of two fingerprints is the
-usual estimate of the share of common anchors from the merged sketch.
+never moves an anchor, unlike minimisers. The operator knows a text by all its anchors with their positions. The
+likeness of two texts matches them by position: the n-th anchor of a hash in one with the n-th of it in the other, and of
+these the longest chain that is in the same order in both; the likeness is the chain's share of all anchors of the two. So common
+anchors that come in another order do not count. The fingerprint that is returned keeps SKETCH anchors, those
+of the smallest distinct hashes where they first occur, in the order of the text: hash and position as hex.
 
 Each text is compared with itself after an edit and with the next text in ascending doc_id (ties:
 by text; null doc_ids first; after the last comes the first). Texts travel once, dealt by ranges
@@ -17,6 +19,7 @@ one; a text shorter than K is one anchor.
 from __future__ import annotations
 
 import hashlib
+from bisect import bisect_left
 from collections.abc import Iterator
 
 import numpy as np
@@ -76,42 +79,63 @@ def anchors(codes: np.ndarray, k: int = K, s: int = S) -> tuple[np.ndarray, np.n
     return at, _mixed(value)
 
 
-def sketches(texts: list[str], size: int = SKETCH) -> list[np.ndarray]:
-    """The sketch of each text: sorted distinct hashes, the smallest ones."""
+class Anchors:
+    """The anchors of one text, and the order in which their numbered hashes are looked up."""
+
+    def __init__(self, at: np.ndarray, hashes: np.ndarray):
+        self.at, self.hashes = at, hashes
+        self.order = np.argsort(hashes, kind="stable")
+        ranked = hashes[self.order]
+        new = np.flatnonzero(np.r_[True, ranked[1:] != ranked[:-1]]) if len(ranked) else np.zeros(0, np.int64)
+        self.first = self.order[new]
+        nth = np.arange(len(ranked)) - np.repeat(new, np.diff(np.r_[new, len(ranked)]))
+        self.keys = (ranked.astype(np.uint64) << np.uint64(32)) | nth.astype(np.uint64)
+
+    def fingerprint(self, size: int = SKETCH) -> str:
+        kept = np.sort(self.first[:size])
+        return np.stack([self.hashes[kept], self.at[kept]], 1).astype(">u4").tobytes().hex()
+
+
+def anchored(texts: list[str]) -> list[Anchors]:
+    """The anchors of each text; a text too short for one is one as a whole."""
     codes = np.frombuffer("".join(texts).encode("utf-32-le"), np.uint32)
     at, hashes = anchors(codes)
-    out, start = [], 0
+    out = []
     starts = np.cumsum([0, *map(len, texts)])
     lo = np.searchsorted(at, starts[:-1])
-    hi = np.searchsorted(at, starts[1:] - (K - 1))
+    hi = np.maximum(lo, np.searchsorted(at, starts[1:] - (K - 1)))
     for i, text in enumerate(texts):
-        if len(text) >= K and hi[i] > lo[i]:
-            found = hashes[lo[i] : hi[i]]
-            if len(found) > 8 * size:
-                found = np.partition(found, 4 * size)[: 4 * size] if len(np.unique(found[:512])) > 256 else found
-            u = np.unique(found)
-            out.append(u[:size] if len(u) >= size or len(found) == hi[i] - lo[i] else np.unique(hashes[lo[i] : hi[i]])[:size])
-        elif text:  # too short for an anchor
-            start = starts[i]
-            value = np.zeros(1, np.uint64)
-            for c in codes[start : start + len(text)]:
-                value *= np.uint64(0x100000001B3)
-                value += np.uint64(c)
-            out.append(_mixed(value + np.uint64(len(text))))
-        else:
-            out.append(np.zeros(0, np.uint32))
+        if len(text) >= K or not text:
+            out.append(Anchors(at[lo[i] : hi[i]] - starts[i], hashes[lo[i] : hi[i]]) if text else Anchors(at[:0], hashes[:0]))
+            continue
+        value = np.zeros(1, np.uint64)
+        for c in codes[starts[i] : starts[i + 1]]:
+            value *= np.uint64(0x100000001B3)
+            value += np.uint64(c)
+        out.append(Anchors(np.zeros(1, np.int64), _mixed(value + np.uint64(len(text)))))
     return out
 
 
-def likeness(a: np.ndarray, b: np.ndarray, size: int = SKETCH) -> float:
-    if not len(a) or not len(b):
-        return float(len(a) == len(b))
-    both = np.union1d(a, b)[:size]
-    return float(np.isin(both, np.intersect1d(a, b, assume_unique=True), assume_unique=True).sum()) / len(both)
+def _chain(places: np.ndarray) -> int:
+    """Length of the longest rising part of a row of distinct places."""
+    if (places[1:] > places[:-1]).all():
+        return len(places)
+    tails: list[int] = []
+    for x in places.tolist():
+        k = bisect_left(tails, x)
+        tails[k : k + 1] = [x]
+    return len(tails)
 
 
-def _hex(sketch: np.ndarray) -> str:
-    return sketch.astype(">u4").tobytes().hex()
+def likeness(a: Anchors, b: Anchors) -> float:
+    """Share of the anchors of two texts that match in order; 1.0 for two texts without any, 0.0 where one has none."""
+    if not len(a.at) or not len(b.at):
+        return float(len(a.at) == len(b.at))
+    hit = np.minimum(np.searchsorted(b.keys, a.keys), len(b.keys) - 1)
+    common = np.flatnonzero(b.keys[hit] == a.keys)
+    mine, other = a.order[common], b.order[hit[common]]
+    n = _chain(other[np.argsort(mine)])
+    return n / (len(a.at) + len(b.at) - n)
 
 
 def _ranges(docs: DataFrame) -> DataFrame:
@@ -147,9 +171,9 @@ def fingerprint_rows(rows: Iterator[tuple]) -> Iterator[tuple]:
     def solve(part: list[tuple], following: tuple) -> Iterator[tuple]:
         texts = [r[1] for r in part]
         edited = [t[: len(t) - len(t) // 4] + u[: len(t) // 4] for t, u in zip(texts, [*texts[1:], following[1]], strict=True)]
-        own, changed = sketches([*texts, following[1]]), sketches(edited)
+        own, changed = anchored([*texts, following[1]]), anchored(edited)
         for i, (key, text, _, _) in enumerate(part):
-            yield key, len(text), hashlib.sha256(edited[i].encode()).hexdigest(), _hex(own[i]), _hex(changed[i]), likeness(own[i], changed[i]), likeness(own[i], own[i + 1])
+            yield key, len(text), hashlib.sha256(edited[i].encode()).hexdigest(), own[i].fingerprint(), changed[i].fingerprint(), likeness(own[i], changed[i]), likeness(own[i], own[i + 1])
 
     part: list[tuple] = []
     size, closed = 0, None
