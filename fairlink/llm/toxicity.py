@@ -11,7 +11,7 @@ The insult lexicon and the weights are learned from labelled rows only. Lexicon:
 beginnings whose share of toxic texts could not come about by chance among all the terms, rare ones too, chosen
 greedily until each toxic training text is covered several times; a fixed seed list is kept as far as
 the labels do not speak against it. Weights: a logistic fit drawn to prior weights. Learning reads at most TRAIN_ROWS
-labelled rows, the first ones by a hash of doc_id; rows with crc32(doc_id) mod 5 = 0 are never
+labelled rows, the first ones by a hash of doc_id, each with one text (the least, should a doc_id repeat); rows with crc32(doc_id) mod 5 = 0 are never
 read. Scoring reads every whole text in one pass without a shuffle; what is sent to the tasks is the lexicon, LEXICON terms at most.
 
 Null and empty texts have no matches and get the score of that. Ties and repeated rows do not meet.
@@ -169,17 +169,20 @@ class Scorer:
         return out
 
     def counts(self, text: str) -> tuple[int, ...]:
-        """How often each of MATCHES occurs."""
+        """How often each of MATCHES occurs. Clauses are read whole; the text is passed once."""
         lower = text.lower()
-        hits = [end - size + 1 for end, size in self.find.iter(lower) if end == size - 1 or not lower[end - size].isalpha()]
         total: Counter = Counter()
-        done = -1
-        for at in hits:
-            if at < done:
+        done, begin, marks, mark = -1, 0, None, None
+        for end, size in self.find.iter(lower):
+            at = end - size + 1
+            if at < done or at and lower[at - 1].isalpha():
                 continue
-            begin = max((m.end() for m in _CLAUSE.finditer(lower, max(0, at - 400), at)), default=max(0, at - 400))
-            stop = _CLAUSE.search(lower, at)
-            done = stop.start() if stop else len(lower)
+            if marks is None:
+                marks = _CLAUSE.finditer(lower)
+                mark = next(marks, None)
+            while mark and mark.end() <= at:
+                begin, mark = mark.end(), next(marks, None)
+            done = mark.start() if mark else len(lower)
             total += self.clause(_WORD.findall(lower, begin, done))
         return tuple(total[m] for m in MATCHES)
 
@@ -268,7 +271,8 @@ def learn(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS) -> Model:
         return Model(Lexicon(SEEDS, frozenset()), np.array([*(PRIOR[m] for m in MATCHES), PRIOR_BIAS]))
     # TRAIN_ROWS pairs of numbers at most.
     small = F.broadcast(spark.createDataFrame(sample, "doc_id long, toxic int"))
-    train = docs.select("doc_id", "text").join(small, "doc_id").where("text IS NOT NULL").select("text", "toxic")
+    # One text a doc_id, so that the written table has at most `rows` texts.
+    train = durable(docs.select("doc_id", "text").join(small, "doc_id").where("text IS NOT NULL").groupBy("doc_id").agg(F.min("text").alias("text"), F.min("toxic").alias("toxic")).select("text", "toxic"))
 
     def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         count: Counter = Counter()
