@@ -5,9 +5,9 @@ window never mixes rows of two tasks, so a lost executor repeats its own rows on
 the same windows again. A document longer than a window is cut into whole windows and a rest;
 rests are placed online. The state of a task is an array with the number of open windows at
 each fill level and those windows' pieces. A new rest goes to the level that leaves the sum of
-the squared counts of partly filled windows smallest, or opens a window. When the input ends,
-what is still open is laid end to end and cut anew into full windows, so that a task pads its
-last window only.
+the squared counts of partly filled windows smallest, or opens a window. When the input ends, the open windows
+stay as the rule filled them, the fullest first, and their gaps are closed with ids of the emptiest ones, which
+alone are cut anew; so a task pads its last window only.
 
 Null texts are empty texts; an empty text is its end mark alone. Repeated rows are packed each.
 """
@@ -65,11 +65,36 @@ class LevelPacker:
         self.open[level + size].append(window)
         return None
 
-    def drain(self) -> Iterator:
-        for level in range(self.capacity, 0, -1):
-            for window in self.open[level]:
-                yield from window
-            self.open[level], self.counts[level] = [], 0
+    def drain(self) -> list[tuple[int, list]]:
+        """The open windows with their fill, the fullest first; none is open after."""
+        left = [(level, window) for level in range(self.capacity, 0, -1) for window in self.open[level]]
+        self.open = [[] for _ in self.open]
+        self.counts[:] = 0
+        return left
+
+
+def closed(windows: list[tuple[int, list[tuple]]], capacity: int) -> Iterator[list[tuple]]:
+    """Full windows, and one that may not be, from open ones: the emptiest give their ids to the fullest."""
+    last = len(windows) - 1
+    giver: list[tuple] = []
+    for at, (fill, pieces) in enumerate(windows):
+        if at > last:
+            break
+        if at == last and giver:  # what is left of the giver
+            pieces, fill = giver, sum(len(p[2]) // 4 for p in giver)
+        room = capacity - fill
+        while room and at < last:
+            if not giver:
+                giver = list(windows[last][1])
+            doc, start, data, total = giver.pop()
+            part = data[: 4 * room]
+            pieces.append((doc, start, part, total))
+            room -= len(part) // 4
+            if len(part) < len(data):
+                giver.append((doc, start + len(part) // 4, data[len(part) :], total))
+            if not giver:
+                last -= 1
+        yield pieces
 
 
 class WordIds:
@@ -167,17 +192,7 @@ def pack_task(rows: Iterator[tuple[int, bytes]], first_id: int, window: int, end
             done = packer.place(len(part) // 4, (doc, start, part, total))
             if done:
                 yield from put(done)
-    pieces, room = [], window
-    for doc, start, data, total in packer.drain():
-        while data:
-            part, data = data[: 4 * room], data[4 * room :]
-            pieces.append((doc, start, part, total))
-            start += len(part) // 4
-            room -= len(part) // 4
-            if not room:
-                yield from put(pieces)
-                pieces, room = [], window
-    if pieces:
+    for pieces in closed(packer.drain(), window):
         yield from put(pieces)
 
 
