@@ -2,6 +2,7 @@ import hashlib
 import random
 import zlib
 from collections import Counter, defaultdict
+from html.parser import HTMLParser
 
 import duckdb
 import numpy as np
@@ -14,15 +15,86 @@ from pyspark.sql import functions as F
 from .conftest import odd_rows
 
 
-def test_fingerprints_against_single_texts(spark, odd, empty):
-    rows = sorted(((r[0], r[1] or "") for r in odd_rows()), key=lambda r: (r[0] is not None, r[0] or 0, r[1]))
+M64, M32 = 2**64 - 1, 2**32 - 1
+
+
+def plain_anchors(text, k=16, inner=5):
+    """(position, hash) of closed syncmers, window by window with Python integers."""
+
+    def small(part):
+        h = 0
+        for c in part:
+            h = (h * 0x01000193 + ord(c)) & M32
+        h ^= h >> 15
+        h = h * 0x85EBCA6B & M32
+        return h ^ h >> 13
+
+    def mixed(x):
+        x ^= x >> 31
+        x = x * 0x9E3779B97F4A7C15 & M64
+        x ^= x >> 29
+        return (x * 0xBF58476D1CE4E5B9 & M64) >> 32
+
+    def whole(part):
+        h = 0
+        for c in part:
+            h = (h * 0x100000001B3 + ord(c)) & M64
+        return h
+
+    if 0 < len(text) < k:
+        return [(0, mixed(whole(text) + len(text) & M64))]
+    found = []
+    for i in range(len(text) - k + 1):
+        inside = [small(text[i + j : i + j + inner]) for j in range(k - inner + 1)]
+        if min(inside) in (inside[0], inside[-1]):
+            found.append((i, mixed(whole(text[i : i + k]))))
+    return found
+
+
+def plain_likeness(a, b):
+    """The longest common chain of numbered anchors by the quadratic table."""
+    if not a or not b:
+        return float(len(a) == len(b))
+
+    def numbered(rows):
+        seen = Counter()
+        out = []
+        for _, h in rows:
+            out.append((h, seen[h]))
+            seen[h] += 1
+        return out
+
+    x, y = numbered(a), numbered(b)
+    row = [0] * (len(y) + 1)
+    for u in x:
+        last = 0
+        for j, v in enumerate(y, 1):
+            last, row[j] = row[j], last + 1 if u == v else max(row[j], row[j - 1])
+    return row[-1] / (len(x) + len(y) - row[-1])
+
+
+def plain_fingerprint(rows, size=64):
+    first = {}
+    for at, h in rows:
+        first.setdefault(h, at)
+    return "".join(f"{h:08x}{at:08x}" for at, h in sorted((first[h], h) for h in sorted(first)[:size]))
+
+
+def test_fingerprints_by_brute_force(spark, odd, empty):
+    rows = sorted(((r[0], (r[1] or "")[:1500]) for r in odd_rows()), key=lambda r: (r[0] is not None, r[0] or 0, r[1]))
     want = Counter()
     for (key, text), (_, follow) in zip(rows, [*rows[1:], *rows[:1]], strict=True):
         edited = text[: len(text) - len(text) // 4] + follow[: len(text) // 4]
-        a, b, c = (fingerprints.sketches([t])[0] for t in (text, edited, follow))
-        want[key, len(text), hashlib.sha256(edited.encode()).hexdigest(), fingerprints._hex(a), fingerprints._hex(b), fingerprints.likeness(a, b), fingerprints.likeness(a, c)] += 1
-    assert Counter(tuple(r) for r in fingerprints.fingerprints(odd).collect()) == want
-    assert fingerprints.fingerprints(empty).count() == 0
+        a, b, c = map(plain_anchors, (text, edited, follow))
+        want[key, len(text), hashlib.sha256(edited.encode()).hexdigest(), plain_fingerprint(a), plain_fingerprint(b), plain_likeness(a, b), plain_likeness(a, c)] += 1
+    assert Counter(tuple(r) for r in fingerprints.fingerprints(odd.withColumn("text", F.substring("text", 1, 1500))).collect()) == want
+    assert fingerprints.fingerprints(odd).count() == odd.count() and fingerprints.fingerprints(empty).count() == 0
+
+
+def test_anchors_match_in_order():
+    one, two = "the first half of a text that says this. ", "another half that is quite unlike the first one, really. "
+    a, b = fingerprints.anchored([one * 1 + two, two + one])
+    assert 0.2 < fingerprints.likeness(a, b) < 0.7 and fingerprints.likeness(a, a) == 1.0
 
 
 def test_syncmers_are_context_free():
@@ -63,6 +135,41 @@ def test_grammar():
     assert count("", "insult") == 0 and count("not. idiot", "insult") == 1  # clauses end a negation
 
 
+def plain_counts(text, lexicon):
+    """Matches by rules that are read off a clause's list of symbols, without machines."""
+    import re
+
+    total = Counter()
+    for clause in re.split(r"[.,;:!?\n()]|\band\b|\bbut\b", text.lower()):
+        words = re.findall("[a-z]+", clause)
+        kinds = ["i" if w in lexicon else "h" if w in toxicity.THREATS else "n" if w in toxicity.NEGATIONS else "r" if w in toxicity.REPORTS else "t" if w in toxicity.TARGETS else "x" for w in words]
+        out = []
+        for i, k in enumerate(kinds):
+            negated, told = "n" in kinds[max(0, i - 3) : i], "r" in kinds[:i]
+            out.append(("j" if negated else "q" if told else "i") if k == "i" else ("x" if negated or told else "h") if k == "h" else k)
+        total["insult"] += out.count("i")
+        total["negated"] += out.count("j")
+        total["quoted"] += out.count("q")
+        total["aimed"] += "i" in out and "t" in out
+        total["threat"] += "h" in out and "t" in out
+    return tuple(total[m] for m in toxicity.MATCHES)
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.lists(st.sampled_from("idiot zorg kill not never said you they house runs . , and but".split()), max_size=30))
+def test_grammar_against_rules(words):
+    scorer = toxicity.Scorer(toxicity.Lexicon(frozenset({"idiot", "zorg"}), frozenset()))
+    text = " ".join(words)
+    assert scorer.counts(text) == plain_counts(text, {"idiot", "zorg"})
+
+
+def test_long_clauses():
+    scorer = toxicity.Scorer(toxicity.Lexicon(frozenset({"idiot"}), frozenset()))
+    for n in (5, 80, 5000):
+        assert scorer.counts("you are " + "really " * n + "an idiot")[toxicity.MATCHES.index("aimed")] == 1
+        assert scorer.counts("she said that " + "really " * n + "an idiot")[toxicity.MATCHES.index("quoted")] == 1
+
+
 def test_toxicity_held_out(spark, odd, empty):
     rows = queries.op3_toxicity_grammar(spark, "/root/testdata/sf0.01").join(spark.read.parquet("/root/testdata/sf0.01/labels.parquet"), "doc_id").toPandas()
     held = rows[rows.held_out]
@@ -205,6 +312,57 @@ def test_page_text(spark):
     assert html_text.extract(odd.limit(0)).count() == 0
 
 
+class Article(HTMLParser):
+    """The text of the first article element, block by block, by the library's own parser."""
+
+    def __init__(self):
+        super().__init__()
+        self.depth, self.parts, self.skip = 0, [[]], 0
+
+    def handle_starttag(self, tag, attrs):
+        self.depth += tag == "article"
+        self.skip += tag in ("script", "style", "aside", "nav", "footer", "form")
+        if tag == "br":
+            self.parts[-1].append(" ")
+        elif tag not in html_text.INLINE:
+            self.parts.append([])
+
+    def handle_endtag(self, tag):
+        if tag not in html_text.INLINE:
+            self.parts.append([])
+        self.depth -= tag == "article"
+        self.skip -= tag in ("script", "style", "aside", "nav", "footer", "form")
+
+    def handle_data(self, data):
+        if self.depth and not self.skip:
+            self.parts[-1].append(data)
+
+
+def test_page_text_of_all_pages(spark):
+    rows = queries.op7_page_text(spark, "/root/testdata/sf0.01").join(spark.read.parquet("/root/testdata/sf0.01/pages.parquet"), "page_id").collect()
+    for r in rows:
+        parser = Article()
+        parser.feed(r["html"])
+        want = [" ".join("".join(p).split()) for p in parser.parts]
+        assert r["text"] == "\n".join(p for p in want if p) and r["n_chars"] == len(r["text"])
+
+
+def test_page_text_thresholds():
+    long = "Long text here, with a comma. And more of it, so that it counts. "
+    page = f"<body><div class=story><h1>Head</h1><p>{long * 3}</p><p>{long * 2}</p><ul><li>short</li></ul><div class=tags><span>red</span></div><div class=x1>green</div><div class=x2>blue</div></div></body>"
+    assert html_text.main_text(page) == "\n".join(["Head", (long * 3).strip(), (long * 2).strip(), "short"])
+    assert html_text.main_text(f"<div><button>Go</div><p>{long}</p>") == long.strip()
+
+
+@pytest.mark.parametrize("part", ["<a ", "<div>", "<div>x", "<!-- ", "<a \"'", "<a x='>", "<script>", "</p>", "<blockquote>", "<p><table>", "<button>x", "<a = = "])
+def test_page_scan_is_linear(part):
+    import time
+
+    began = time.process_time()
+    html_text.main_text(part * (1_000_000 // len(part)))
+    assert time.process_time() - began < 20
+
+
 def test_packing(spark, odd, empty):
     import public_tokenizers
     from tokenizers import Tokenizer
@@ -245,7 +403,13 @@ def test_levels(sizes):
     assert all(sum(w) == 16 for w in done)
     open_ = [w for level in packer.open for w in level]
     assert [packer.counts[sum(w)] for w in open_] == [sum(sum(x) == sum(w) for x in open_) for w in open_]
-    assert sum(map(sum, done)) + sum(packer.drain()) == sum(sizes)
+    left = packer.drain()
+    assert sum(map(sum, done)) + sum(level for level, _ in left) == sum(sizes) and all(level == sum(w) for level, w in left)
+    as_bytes = [(level, [(i, 0, bytes([k % 256]) * 4 * n, n) for k, n in enumerate(w)]) for i, (level, w) in enumerate(left)]
+    full = list(packing.closed([(f, list(w)) for f, w in as_bytes], 16))
+    totals = [sum(len(p[2]) // 4 for p in w) for w in full]
+    assert all(n == 16 for n in totals[:-1]) and sum(totals) == sum(f for f, _ in as_bytes)
+    assert all(w[: len(own)] == own for w, (_, own) in zip(full[:-1], as_bytes, strict=False))  # what the rule put together stays
 
 
 def brute_repeats(rows):
