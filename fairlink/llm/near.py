@@ -26,7 +26,6 @@ from __future__ import annotations
 
 import heapq
 import math
-from collections.abc import Iterable
 
 import numpy as np
 import pyarrow as pa
@@ -40,6 +39,7 @@ from fairlink.llm.passages import _mix
 WORDS = 5
 PERCENT = 80
 GROUP = 256
+SALTS = 64
 _P = np.uint64(0x9E3779B97F4A7C15)
 _INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 2**64))
 
@@ -201,7 +201,8 @@ def _rest(held: DataFrame) -> DataFrame:
 
 def linked(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles and component_id of every row."""
-    dealt, buckets = deal(docs)
+    dealt, exchange = deal(docs)
+    buckets = exchange.buckets
 
     def candidates(key: tuple, rows: pa.Table, told: pa.Table) -> pa.Table:
         codes, grades = known(told, buckets)
@@ -226,8 +227,8 @@ def linked(docs: DataFrame) -> DataFrame:
         kinds = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.binary())
         return pa.table([pa.array(v, k) for v, k in zip(out.values(), kinds, strict=True)], names=list(out))
 
-    told = shared(dealt, shingle_sets, buckets)
-    every = durable(dealt.groupBy("block").cogroup(told.groupBy("block")).applyInArrow(candidates, "doc_id long, n long, same long, own double, entries array<long>, places array<int>, data binary"))
+    told = shared(dealt, shingle_sets, exchange)
+    every = durable(dealt.groupBy("block").cogroup(told.groupBy("a")).applyInArrow(candidates, "doc_id long, n long, same long, own double, entries array<long>, places array<int>, data binary"))
     some = every.where("data IS NOT NULL")
     sets = some.select("doc_id", "data")
     held = some.select("doc_id", "n", "own", F.explode(F.arrays_zip("entries", "places")).alias("e")).select("doc_id", "n", "own", F.col("e.entries").alias("entry"), F.col("e.places").alias("place"))
@@ -241,7 +242,10 @@ def linked(docs: DataFrame) -> DataFrame:
         at = lambda c: comp.select(F.col("doc_id").alias(c), F.col("comp").alias(f"{c}c"))
         joined = more.join(at("a"), "a").join(at("b"), "b").select(F.col("ac").alias("a"), F.col("bc").alias("b"))
         lower = classes(comp.select(F.col("comp").alias("doc_id")).distinct(), joined).select(F.col("doc_id").alias("comp"), F.col("comp").alias("lowest"))
-        comp = durable(comp.join(lower, "comp").select("doc_id", F.col("lowest").alias("comp")))
+        # A class may hold a third of all rows: its rows meet its new name in SALTS tasks.
+        salted = lower.where("comp <> lowest").withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        spread = comp.withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int"))
+        comp = durable(spread.join(salted, ["comp", "salt"], "left").select("doc_id", F.coalesce("lowest", "comp").alias("comp")))
     return every.join(comp, "doc_id", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("comp", "doc_id").alias("component_id"))
 
 
@@ -251,11 +255,6 @@ def _digest(data: bytes) -> bytes:
     return hashlib.blake2b(data, digest_size=16).digest()
 
 
-def representatives(components: Iterable) -> set:
-    """The doc_ids that stand for their classes."""
-    return {r["component_id"] for r in components}
-
-
 #: The same in DuckDB: overlaps by counting shared shingles, classes by a recursive walk.
 ORACLE = r"""
 WITH RECURSIVE split AS (

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from fairlink.llm.blocks import chunks, code, deal, known, packed, shared, unpacked, within
+from fairlink.llm.blocks import LETTERS, Exchange, chunks, code, deal, known, opened, shared, within
 from fairlink.llm.common import give_back
 from fairlink.llm.fingerprints import _least
 
@@ -36,6 +36,8 @@ LENGTH = 50
 K = 20
 SPREAD = LENGTH - K + 1  # places of an anchor in a window
 WIDTH = 2 * LENGTH - K  # bytes of a segment at most
+#: Types of what blocks send (windows, smallest doc_id, whether more than one, bytes) and are told (name, first window, windows, holder).
+SEGMENTS, HOLDERS = ("u1", "i8", "u1", f"{WIDTH}u1"), ("u8", "u1", "u1", "i8")
 _P = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -150,12 +152,10 @@ def _spread(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
     return np.repeat(starts - (np.cumsum(counts) - counts), counts) + np.arange(total)
 
 
-def _meet(table: pa.Table) -> tuple[list[int], list[bytes]]:
-    """For each block the first holders of its segments' windows."""
-    parts = [unpacked(x) for x in table.column("payload").to_pylist()]
-    windows, doc, several = (np.concatenate([p[i] for p in parts]) for i in (0, 1, 2))
+def _meet(table: pa.Table, exchange: Exchange) -> pa.Table:
+    """For each block the first holders of its segments' windows, as runs: segment's name, first window, windows, holder."""
+    block, bucket, windows, doc, several, contents = opened(table, *SEGMENTS)
     windows = windows.astype(np.int64)
-    contents = np.concatenate([p[3].reshape(-1, WIDTH) for p in parts])
     name = names(contents, windows)
     every, first, inverse = np.unique(name, return_index=True, return_inverse=True)
     if not (contents == contents[first[inverse]]).all() or (windows != windows[first[inverse]]).any():
@@ -178,22 +178,18 @@ def _meet(table: pa.Table) -> tuple[list[int], list[bytes]]:
     runs_from = np.searchsorted(run, begin)
     runs = np.diff(np.r_[runs_from, len(run)])
     least = np.minimum.reduceat(earliest, begin)
-    to, rows, at = [], [], 0
-    for block, part in zip(table.column("block").to_pylist(), parts, strict=True):
-        own = inverse[at : at + len(part[0])]
-        told = (least[own] < part[1]) | (part[2] > 0)
-        at += len(own)
-        own = own[told]
-        if len(own):
-            picks = _spread(runs_from[own], runs[own])
-            to.append(block)
-            rows.append(packed(every[own], runs[own].astype(np.uint8), length[picks].astype(np.uint8), earliest[run[picks]]))
-    return to, rows
+    told = np.flatnonzero((least[inverse] < doc) | (several > 0))
+    own = inverse[told]
+    picks = _spread(runs_from[own], runs[own])
+    each = lambda values: np.repeat(values, runs[own])
+    into = run[picks] - each(begin[own])
+    return exchange.letters(exchange.steps - 1, each(block[told]), each(bucket[told]), each(every[own]), into.astype(np.uint8), length[picks].astype(np.uint8), earliest[run[picks]])
 
 
 def without_repeats(docs: DataFrame, carry: tuple[str, ...] = ()) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept (bytes) and the carried columns of every row."""
-    dealt, buckets = deal(docs, carry)
+    dealt, exchange = deal(docs, carry)
+    buckets = exchange.buckets
 
     def send(key: tuple, rows: pa.Table, told: pa.Table) -> pa.Table:
         codes, _ = known(told, buckets)
@@ -207,41 +203,31 @@ def without_repeats(docs: DataFrame, carry: tuple[str, ...] = ()) -> DataFrame:
             chosen = np.flatnonzero((within(codes, code(s.anchor, buckets)) >= 0) & own[s.doc])
             contents = s.contents(chosen)
             found.append((s.windows[chosen], ids[s.doc[chosen]], contents, names(contents, s.windows[chosen]), (s.anchor[chosen] % np.uint64(buckets)).astype(np.int32)))
-        to, out = [], []
-        if any(len(f[0]) for f in found):
-            windows, ids, contents, name, bucket = (np.concatenate(x) for x in zip(*found, strict=True))
-            order = np.lexsort((ids, name))
-            ids, name = ids[order], name[order]
-            starts = np.flatnonzero(np.r_[True, name[1:] != name[:-1]]) if len(name) else np.zeros(0, np.int64)
-            last = np.r_[starts[1:], len(name)] - 1
-            several = (ids[last] != ids[starts]).astype(np.uint8)
-            pick = order[starts]
-            by = np.argsort(bucket[pick], kind="stable")
-            edges = np.searchsorted(bucket[pick][by], np.arange(buckets + 1))
-            for b in range(buckets):
-                some = by[edges[b] : edges[b + 1]]
-                if len(some):
-                    to.append(b)
-                    out.append(packed(windows[pick[some]].astype(np.uint8), ids[starts[some]], several[some], contents[pick[some]].ravel()))
-        return pa.table({"bucket": pa.array(to, pa.int32()), "block": pa.array([key[0].as_py()] * len(to), pa.int32()), "payload": pa.array(out, pa.binary())})
+        none = [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros((0, WIDTH), np.uint8), np.zeros(0, np.uint64), np.zeros(0, np.int64))]
+        windows, ids, contents, name, bucket = (np.concatenate(x) for x in zip(*(found or none), strict=True))
+        order = np.lexsort((ids, name))
+        ids, name = ids[order], name[order]
+        starts = np.flatnonzero(np.r_[True, name[1:] != name[:-1]]) if len(name) else np.zeros(0, np.int64)
+        last = (np.r_[starts[1:], len(name)] - 1)[: len(starts)]
+        several = (ids[last] != ids[starts]).astype(np.uint8)
+        pick = order[starts]
+        return exchange.letters(1, np.full(len(pick), key[0].as_py()), bucket[pick], windows[pick].astype(np.uint8), ids[starts], several, contents[pick])
 
     def meet(key: tuple, table: pa.Table) -> pa.Table:
-        to, rows = _meet(table)
+        told = _meet(table, exchange)
         give_back()
-        return pa.table({"block": pa.array(to, pa.int32()), "bucket": pa.array([key[0].as_py()] * len(to), pa.int32()), "payload": pa.array(rows, pa.binary())})
+        return told
 
     kept = T.StructType(
         [T.StructField("doc_id", T.LongType()), *(T.StructField(n, T.LongType()) for n in ("n_bytes", "n_removed", "n_spans")), T.StructField("kept", T.BinaryType()), *(docs.schema[c] for c in carry)]
     )
 
     def remove(key: tuple, rows: pa.Table, told: pa.Table) -> pa.Table:
-        parts = [unpacked(x) for x in told.column("payload").to_pylist()]
-        none = (np.zeros(0, np.uint64), np.zeros(0, np.uint8), np.zeros(0, np.uint8), np.zeros(0, np.int64))
-        name, runs, length, earliest = (np.concatenate([none[i], *(p[i] for p in parts)]) for i in range(4))
-        runs, length = runs.astype(np.int64), length.astype(np.int64)
-        begin = np.cumsum(runs) - runs
-        order = np.argsort(name)
-        ranked = name[order]
+        _, _, name, into, length, earliest = opened(told, *HOLDERS)
+        order = np.lexsort((into, name))
+        name, into, length, earliest = name[order], into[order].astype(np.int64), length[order].astype(np.int64), earliest[order]
+        begin = np.flatnonzero(np.r_[True, name[1:] != name[:-1]]) if len(name) else np.zeros(0, np.int64)
+        ranked, runs = name[begin], np.diff(np.r_[begin, len(name)])[: len(begin)]
         done: dict[str, list] = {f.name: [] for f in kept}
         for texts, keys, *more in chunks(rows, "doc_id", *carry):
             data = [t.encode() for t in texts]
@@ -251,14 +237,12 @@ def without_repeats(docs: DataFrame, carry: tuple[str, ...] = ()) -> DataFrame:
                 every = np.arange(len(s.first))
                 hit = within(ranked, names(s.contents(every), s.windows))
                 mine = np.flatnonzero(hit >= 0)
-                entry = order[hit[mine]]
+                entry = hit[mine]
                 picks = _spread(begin[entry], runs[entry])
                 owner = np.repeat(mine, runs[entry])
-                step = np.cumsum(length[picks]) - length[picks]
-                into = step - np.repeat(step[np.cumsum(runs[entry]) - runs[entry]], runs[entry]) if len(picks) else step
                 ids = np.array([np.iinfo(np.int64).min if k is None else k for k in keys], np.int64)
                 earlier = earliest[picks] < ids[s.doc[owner]]
-                first = s.first[owner][earlier] + into[earlier]
+                first = s.first[owner][earlier] + into[picks][earlier]
                 np.add.at(cover, first, 1)
                 np.add.at(cover, first + length[picks][earlier] + LENGTH - 1, -1)
             gone = np.cumsum(cover[:-1]) > 0
@@ -279,9 +263,9 @@ def without_repeats(docs: DataFrame, carry: tuple[str, ...] = ()) -> DataFrame:
         return pa.table(done, schema=to_arrow_schema(kept))
 
     by = dealt.groupBy("block")
-    asked = by.cogroup(shared(dealt, anchors, buckets).groupBy("block")).applyInArrow(send, "bucket int, block int, payload binary")
-    told = asked.groupBy("bucket").applyInArrow(meet, "block int, bucket int, payload binary")
-    return by.cogroup(told.groupBy("block")).applyInArrow(remove, kept)
+    asked = by.cogroup(shared(dealt, anchors, exchange).groupBy("a")).applyInArrow(send, LETTERS)
+    met = exchange.relayed(asked, *SEGMENTS).groupBy("a", "b").applyInArrow(meet, LETTERS)
+    return by.cogroup(exchange.relayed(met, *HOLDERS, back=True).groupBy("a")).applyInArrow(remove, kept)
 
 
 def repeats(docs: DataFrame) -> DataFrame:

@@ -6,6 +6,7 @@ from html.parser import HTMLParser
 
 import duckdb
 import numpy as np
+import pyarrow as pa
 import pytest
 from fairlink.llm import bpe, fingerprints, html_text, near, packing, passages, quality, queries, secrets, sharding, toxicity
 from hypothesis import given, settings
@@ -444,8 +445,9 @@ def test_repeats_over_many_blocks(spark, odd, monkeypatch):
     from fairlink.llm import blocks
 
     want = brute_repeats([(r[0], r[1] or "") for r in odd_rows()])
-    monkeypatch.setattr(passages, "deal", lambda docs, carry=(): blocks.deal(docs, carry, 4000))
-    assert Counter(tuple(r) for r in passages.repeats(odd).collect()) == want
+    for fan in (8192, 3):  # straight, and over relays
+        monkeypatch.setattr(passages, "deal", lambda docs, carry=(), fan=fan: blocks.deal(docs, carry, 4000, fan))
+        assert Counter(tuple(r) for r in passages.repeats(odd).collect()) == want
 
 
 def brute_classes(rows):
@@ -492,9 +494,47 @@ def test_classes_over_many_blocks(spark, monkeypatch):
         base[rng.randrange(90)] = f"x{i}"
         rows.append((i, " ".join(base)))
     rows += [(100 + i, " ".join(f"w{rng.randrange(90)}" for _ in range(60))) for i in range(20)]
-    monkeypatch.setattr(near, "deal", lambda docs: blocks.deal(docs, (), 3000))
     docs = spark.createDataFrame(rows, "doc_id long, text string")
-    assert Counter(tuple(r) for r in near.linked(docs).collect()) == brute_classes(rows)
+    for fan in (8192, 3):
+        monkeypatch.setattr(near, "deal", lambda docs, fan=fan: blocks.deal(docs, (), 3000, fan))
+        assert Counter(tuple(r) for r in near.linked(docs).collect()) == brute_classes(rows)
+
+
+def test_messages_grow_with_blocks():
+    from fairlink.llm import blocks
+
+    rng = np.random.default_rng(1)
+
+    def messages(n):
+        ex = blocks.Exchange(n, max(1, n // 3), 16)
+        rows = [(np.full(200, b), rng.integers(0, ex.buckets, 200), rng.integers(0, 9, 200).astype(np.uint32)) for b in range(n)]
+        total, held = 0, [ex.letters(1, *r) for r in rows]
+        sent = np.concatenate([np.stack(r) for r in rows], 1)
+        for step in range(2, ex.steps + 1):
+            table = pa.concat_tables(held)
+            total += table.num_rows
+            held = [ex.letters(step, *blocks.opened(part, "u4")) for part in by_relay(table)]
+        table = pa.concat_tables(held)
+        arrived = np.stack(blocks.opened(table, "u4"))
+        assert (table.column("a").to_numpy() == 0).all() and sorted(map(tuple, arrived.T)) == sorted(map(tuple, sent.T))
+        assert max(table.column("b").to_pylist()) < ex.buckets
+        return total + table.num_rows, ex.steps
+
+    def by_relay(table):
+        keys = sorted(set(zip(table.column("a").to_pylist(), table.column("b").to_pylist(), strict=True)))
+        a, b = table.column("a").to_numpy(), table.column("b").to_numpy()
+        return [table.filter(pa.array((a == x) & (b == y))) for x, y in keys]
+
+    (few, steps), (many, more) = messages(250), messages(1000)
+    assert many / more <= 4.5 * few / steps
+
+
+def test_rows_without_id_spread(spark):
+    from fairlink.llm import blocks
+
+    docs = spark.range(400).select(F.when(F.col("id") % 2 == 0, F.lit(None).cast("long")).otherwise(F.lit(7)).alias("doc_id"), F.concat(F.lit("x" * 100), F.col("id").cast("string")).alias("text"))
+    dealt, _ = blocks.deal(docs, (), 2000)
+    assert max(r["count"] for r in dealt.groupBy("block").count().collect()) < 60
 
 
 @settings(max_examples=80, deadline=None)

@@ -1,7 +1,6 @@
 """The pipeline on a small fixture against stages by brute force."""
 
 import corpus_pipeline
-from fairlink.llm import near
 from pyspark.sql import functions as F
 
 from .conftest import odd_rows
@@ -46,6 +45,3 @@ def test_empty_tables(spark, tmp_path):
     spark.createDataFrame([], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
     assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
 
-
-def test_representatives():
-    assert near.representatives([{"component_id": 1}, {"component_id": 1}, {"component_id": 4}]) == {1, 4}
