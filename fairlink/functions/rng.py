@@ -45,7 +45,8 @@ def geometric(u: Column, v: Column, eps: Column | float, sensitivity: float = 1.
     return (one(u) - one(v)).cast("long")
 
 
-def pick_k(df: DataFrame, keys: list[str], count: str, seed: int, *columns: str) -> DataFrame:
-    """Without replacement `count` rows of every key, chosen by keyed order."""
-    rank = F.row_number().over(Window.partitionBy(*keys).orderBy(order(seed, "pick", *columns)))
-    return df.withColumn("_rank", rank).where(F.col("_rank") <= F.col(count)).drop("_rank")
+def pick_k(df: DataFrame, keys: list[str], count: str, seed: int, *columns: str, rank: str | None = None) -> DataFrame:
+    """Without replacement `count` rows of every key, chosen by keyed order; their ranks stay in a column `rank`."""
+    place = F.row_number().over(Window.partitionBy(*keys).orderBy(order(seed, "pick", *columns)))
+    found = df.withColumn(rank or "_place", place).where(F.col(rank or "_place") <= F.col(count))
+    return found if rank else found.drop("_place")

@@ -1,7 +1,7 @@
-"""SQL functions of the method, inlined by the optimiser, and table and aggregate functions."""
+"""SQL functions of the method, inlined by the optimiser, and a table function."""
 
 from pyspark.sql import SparkSession
-from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.functions import udtf
 
 
 @udtf(returnType="token: string")
@@ -14,17 +14,6 @@ class Tokens:
             yield (value[i : i + q],)
 
 
-def middle():
-    """The exact median of a group, as an aggregate over Arrow batches."""
-    import pandas as pd
-
-    @pandas_udf("double")
-    def median(values: pd.Series) -> float:
-        return float(values.median())
-
-    return median
-
-
 def register(spark: SparkSession) -> None:
     """fl_dice, fl_laplace and fl_tokens for SQL users."""
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION fl_dice(a BIGINT, b BIGINT) RETURNS DOUBLE RETURN CASE WHEN bit_count(a) + bit_count(b) = 0 THEN 0D ELSE 2D * bit_count(a & b) / (bit_count(a) + bit_count(b)) END")

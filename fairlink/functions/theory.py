@@ -7,6 +7,9 @@ import math
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+#: Fixed coefficients of the rational approximation of the error function.
+ERF = (0.254829592, -0.284496736, 1.421413741, -1.453152027, 1.061405429)
+
 
 def expected_dummies(eps: float, sensitivity: float = 1.0, cap: int | None = None, rounding: str | None = None) -> float:
     """Mean dummies of a bin and group: no deletions, optionally capped and rounded."""
@@ -49,6 +52,19 @@ def fp_prob_normal(flip: float, threshold: float = 0.8, n_bits: int = 300, fill:
     return 0.5 * (1 - math.erf((cut - n_bits * fill) / math.sqrt(2 * n_bits * fill * (1 - fill))))
 
 
+def fp_prob_tabled(flip: float, threshold: float = 0.8, n_bits: int = 300, fill: float = 0.5) -> float:
+    """The normal law by the approximation that the columns use, so that tuners and their SQL agree to the last digits."""
+    cut = ones_cutoff(flip, threshold, n_bits)
+    return 0.0 if math.isinf(cut) else 0.5 * (1 - erf_plain((cut - n_bits * fill) / math.sqrt(2 * n_bits * fill * (1 - fill))))
+
+
+def erf_plain(x: float) -> float:
+    a = ERF
+    t = 1 / (1 + 0.3275911 * abs(x))
+    poly = t * (a[0] + t * (a[1] + t * (a[2] + t * (a[3] + t * a[4]))))
+    return math.copysign(1.0, x) * (1 - poly * math.exp(-x * x)) if x else 0.0
+
+
 def fp_prob_flip_noise(flip: float, threshold: float = 0.8, n_bits: int = 300, fill: float = 0.5) -> float:
     """With the flips' own variance: closer to what is measured."""
     if flip <= 0:
@@ -92,8 +108,8 @@ def predicted_fpr(p_fp: float, dummy_pairs: float, original_fp: float, original_
 
 
 def erf(x: Column) -> Column:
-    """Rational approximation, absolute error 1.5e-7. Fixed coefficients."""
-    a = (0.254829592, -0.284496736, 1.421413741, -1.453152027, 1.061405429)
+    """Rational approximation, absolute error 1.5e-7."""
+    a = ERF
     t = 1 / (1 + 0.3275911 * F.abs(x))
     poly = t * (a[0] + t * (a[1] + t * (a[2] + t * (a[3] + t * a[4]))))
     return F.signum(x) * (1 - poly * F.exp(-x * x))

@@ -45,27 +45,32 @@ def cost_of(stats: list[GroupStats], eps, sensitivity: float = 1.0) -> float:
     return sum(theory.fake_pairs_collapsed(s.n_a, s.n_b, s.bins, e, sensitivity) for s, e in zip(stats, eps, strict=True))
 
 
-def flips(stats: list[GroupStats], eps: float, grid=None, model=theory.fp_prob_normal, sensitivity: float = 1.0) -> Knobs:
+def flips(stats: list[GroupStats], eps: float, grid=None, model=theory.fp_prob_tabled, sensitivity: float = 1.0) -> Knobs:
     """Method A: equal budgets, flips that make the groups' predicted rates equal.
 
     Each group's rate is tabled over the grid. Up to three groups all combinations are tried; with more, a
     sweep over target levels takes each group's nearest flip. Many combinations tie where the dummies are clean;
     then flips nearest to one half are taken, as complements of like records are alike, then the smaller spread.
     """
+    loss, chosen = _best_flips(stats, (eps,) * len(stats), grid, model, sensitivity)
+    return Knobs((eps,) * len(stats), chosen, loss, cost_of(stats, (eps,) * len(stats), sensitivity))
+
+
+def _best_flips(stats: list[GroupStats], eps: tuple[float, ...], grid, model, sensitivity: float) -> tuple[float, tuple[float, ...]]:
     grid = [i / 50 for i in range(51)] if grid is None else list(grid)
-    table = [[_fpr(s, eps, f, model, sensitivity) for f in grid] for s in stats]
+    table = [[_fpr(s, e, f, model, sensitivity) for f in grid] for s, e in zip(stats, eps, strict=True)]
     if len(stats) <= 3:
         combos = product(range(len(grid)), repeat=len(stats))
     else:
         levels = sorted({v for row in table for v in row})
-        combos = (tuple(min(range(len(grid)), key=lambda i, r=row: (abs(r[i] - level), -grid[i])) for row in table) for level in levels)
+        combos = (tuple(min(range(len(grid)), key=lambda i, r=row: (abs(r[i] - level), abs(grid[i] - 0.5))) for row in table) for level in levels)
 
     def rank(c):
         chosen = [grid[i] for i in c]
-        return round(loss_of([row[i] for row, i in zip(table, c, strict=True)], stats), 12), round(sum(abs(f - 0.5) for f in chosen), 9), max(chosen) - min(chosen), chosen
+        return round(loss_of([row[i] for row, i in zip(table, c, strict=True)], stats), 9), round(sum(abs(f - 0.5) for f in chosen), 9), round(max(chosen) - min(chosen), 9), chosen
 
     loss, _, _, chosen = min(map(rank, combos))
-    return Knobs((eps,) * len(stats), tuple(chosen), loss, cost_of(stats, (eps,) * len(stats), sensitivity))
+    return loss, tuple(chosen)
 
 
 def _bounds(overall: float, groups: int, eps_max: float | None) -> tuple[float, float]:
@@ -73,7 +78,7 @@ def _bounds(overall: float, groups: int, eps_max: float | None) -> tuple[float,
     return 1 / overall, 1 / (eps_max or 10 * overall * groups)
 
 
-def budgets(stats: list[GroupStats], overall: float, flip: float, objective: str = "fairness", eps_max: float | None = None, weight: float = 0.5, model=theory.fp_prob_normal, sensitivity: float = 1.0) -> Knobs:
+def budgets(stats: list[GroupStats], overall: float, flip: float, objective: str = "fairness", eps_max: float | None = None, weight: float = 0.5, model=theory.fp_prob_tabled, sensitivity: float = 1.0) -> Knobs:
     """Method B: one flip, budgets under their harmonic sum that minimise fairness loss, cost, or both weighted."""
     total, least = _bounds(overall, len(stats), eps_max)
     rate = lambda s, x: _fpr(s, 1 / x, flip, model, sensitivity)
@@ -87,11 +92,7 @@ def budgets(stats: list[GroupStats], overall: float, flip: float, objective: str
     if objective == "cost":
         return finish(_cheapest(stats, total, least, sensitivity))
     if objective == "weighted":
-        steps = 200
-        if len(stats) != 2:
-            raise ValueError("the weighted objective is for two groups")
-        tried = (finish([least + (total - 2 * least) * i / steps, total - least - (total - 2 * least) * i / steps]) for i in range(steps + 1))
-        return min(tried, key=lambda k: k.loss + weight * k.cost / base)
+        return _weighted(len(stats), total, least, finish, lambda k: k.loss + weight * k.cost / base)
     # Every group's rate is monotone in x: find the common level at which the shares sum to the total.
     falling = [rate(s, total) < rate(s, least) for s in stats]
 
@@ -133,6 +134,25 @@ def budgets(stats: list[GroupStats], overall: float, flip: float, objective: str
     return finish([least + (x - least) * scale for x in xs])
 
 
+def _weighted(groups: int, total: float, least: float, finish, value, steps: int = 200) -> Knobs:
+    """The best point of a grid over the shares; for more than two groups pairs of groups trade in turn until none gains."""
+    xs = [total / groups] * groups
+    best = finish(xs)
+    for _ in range(50):
+        before = value(best)
+        for i in range(groups):
+            for j in range(i + 1, groups):
+                sum_ = xs[i] + xs[j]
+                parts = [least + (sum_ - 2 * least) * n / steps for n in range(steps + 1)]
+                tried = [[part if g == i else sum_ - part if g == j else x for g, x in enumerate(xs)] for part in parts]
+                found = min(tried, key=lambda t: value(finish(t)))
+                if value(finish(found)) < value(best) - 1e-15:
+                    best, xs = finish(found), found
+        if value(best) >= before - 1e-12:
+            break
+    return best
+
+
 def _cheapest(stats: list[GroupStats], total: float, least: float, sensitivity: float) -> list[float]:
     """Minimum of sum(a x + c x^2) on the simplex: x = max(least, (nu - a) / 2c), nu by bisection."""
     a = [(s.n_a + s.n_b) * sensitivity / 2 for s in stats]
@@ -151,12 +171,8 @@ def _cheapest(stats: list[GroupStats], total: float, least: float, sensitivity:
 def both(stats: list[GroupStats], overall: float, flip: float, **options) -> Knobs:
     """Budgets first, then flips at those budgets."""
     first = budgets(stats, overall, flip, **options)
-    grid = [i / 50 for i in range(51)]
-    table = [[_fpr(s, e, f, theory.fp_prob_normal, 1.0) for f in grid] for s, e in zip(stats, first.eps, strict=True)]
-    combos = product(range(len(grid)), repeat=len(stats)) if len(stats) <= 3 else [tuple([grid.index(min(grid, key=lambda g: abs(g - flip)))] * len(stats))]
-    best = min(combos, key=lambda c: (round(loss_of([r[i] for r, i in zip(table, c, strict=True)], stats), 12), -min(grid[i] for i in c)))
-    fprs = [r[i] for r, i in zip(table, best, strict=True)]
-    return Knobs(first.eps, tuple(grid[i] for i in best), loss_of(fprs, stats), first.cost, first.at_border)
+    loss, chosen = _best_flips(stats, first.eps, None, options.get("model", theory.fp_prob_tabled), options.get("sensitivity", 1.0))
+    return Knobs(first.eps, chosen, loss, first.cost, first.at_border)
 
 
 def harmonic(knobs: Knobs) -> float:

@@ -62,6 +62,21 @@ def k_anonymous(blocked: DataFrame, k: int) -> DataFrame:
     return sizes.select("party", *BIN, "n", F.floor(before / k).cast("long").alias("bin"))
 
 
+def merged(blocked: DataFrame, k: int) -> DataFrame:
+    """Bins of each table merged in label order until the parties hold k records together; the same bins for all parties."""
+    sizes = blocked.groupBy(*BIN).agg(F.count("*").alias("n"))
+    before = F.coalesce(F.sum("n").over(Window.partitionBy("table_no").orderBy("label").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    into = sizes.select(*BIN, F.floor(before / k).cast("long").alias("_bin"))
+    return blocked.join(into, BIN).withColumn("label", F.col("_bin")).drop("_bin")
+
+
+def tiles(encoded: DataFrame, side: int = 8) -> DataFrame:
+    """All pairs of two parties without one hot bin: a grid of side x side cells, in which each pair meets once."""
+    own, cells = F.pmod(F.xxhash64("rec_id"), F.lit(side)), F.sequence(F.lit(0), F.lit(side - 1))
+    label = F.when(F.col("party") == "A", own * side + F.col("_c")).otherwise(F.col("_c") * side + own)
+    return encoded.withColumn("_c", F.explode(cells)).withColumn("table_no", F.lit(0)).withColumn("label", label.cast("long")).drop("_c")
+
+
 def quality(stats: DataFrame, found_truth: DataFrame, all_truth: DataFrame, n_a: Column, n_b: Column) -> DataFrame:
     """Reduction ratio and pair completeness of a blocking."""
     return comparisons(stats).crossJoin(found_truth).crossJoin(all_truth).select(

@@ -46,11 +46,25 @@ def bloom(df: DataFrame, token_array: Column, settings: Linkage = DEFAULT, round
     return made.withColumn("n_ones", bits.ones().cast("int")).drop("_tokens", "_places")
 
 
-def bloom_attributes(df: DataFrame, settings: Linkage = DEFAULT, k_hash: int = 30) -> DataFrame:
-    """One filter per attribute, each as an array of words named f_<attribute>."""
-    for c, p in VOTER:
-        df = df.withColumn("_places", token_positions(tokens.qgrams(F.col(c), p, settings.q), k_hash, settings.n_bits, settings.secret))
-        df = df.withColumn(f"f_{c}", F.array(*[bits.word_of(F.col("_places"), i) for i in range(WORDS)])).drop("_places")
+#: Attributes of the learned classifiers, each with its tokens: q-grams, whole values, or one token an element.
+ATTRIBUTES = {
+    False: (("given", "g:", "grams"), ("surname", "s:", "grams"), ("suburb", "b:", "grams"), ("postcode", "p:", "grams"), ("gender", "x:", "whole")),
+    True: (("area", "a:", "whole"), ("mesh", "m:", "whole"), ("gender", "x:", "whole"), ("full_time", "f:", "whole"), ("industries", "i:", "each")),
+}
+ATTRIBUTE_HASHES = 30
+
+
+def attribute_tokens(name: str, prefix: str, kind: str, q: int = 2) -> Column:
+    if kind == "grams":
+        return tokens.qgrams(F.col(name), prefix, q)
+    return tokens.exact(F.col(name).cast("string"), prefix) if kind == "whole" else tokens.each(F.col(name), prefix)
+
+
+def bloom_attributes(df: DataFrame, settings: Linkage = DEFAULT, census: bool = False, k_hash: int = ATTRIBUTE_HASHES) -> DataFrame:
+    """One filter per attribute: words t0w0, t0w1, .. of the first, t1w0, .. of the second, and so on."""
+    for j, spec in enumerate(ATTRIBUTES[census]):
+        df = df.withColumn("_places", token_positions(attribute_tokens(*spec, settings.q), k_hash, settings.n_bits, settings.secret))
+        df = df.withColumns({f"t{j}w{i}": bits.word_of(F.col("_places"), i) for i in range(WORDS)}).drop("_places")
     return df
 
 
@@ -78,7 +92,10 @@ def sign_bits(vector: Column, words: int = 2) -> list[Column]:
     return out
 
 
-def encoded(parties: DataFrame, settings: Linkage = DEFAULT, census: bool = False, rounds: int = 1) -> DataFrame:
-    """party, rec_id, entity_id (tests only), group_id, w0.., n_ones."""
+def encoded(parties: DataFrame, settings: Linkage = DEFAULT, census: bool = False, rounds: int = 1, attributes: bool = False) -> DataFrame:
+    """party, rec_id, entity_id (tests only), group_id, w0.., n_ones, and t0w0.. where attributes are asked for."""
+    if attributes:
+        parties = bloom_attributes(parties, settings, census)
     made = bloom(parties, census_tokens() if census else voter_tokens(settings.q), settings, rounds)
-    return made.select("party", "rec_id", "entity_id", "group_id", *bits.names(), "n_ones")
+    own = [c for c in made.columns if c[0] == "t" and c[1:2].isdigit()]
+    return made.select("party", "rec_id", "entity_id", "group_id", *bits.names(), "n_ones", *own)

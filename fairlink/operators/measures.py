@@ -38,8 +38,9 @@ def ratio(top: Column, bottom: Column) -> Column:
 def rates(counts: DataFrame) -> DataFrame:
     """False-positive and false-negative rate, precision, recall, F* and F1 per group."""
     tp, fp, tn, fn = (F.col(c) for c in ("tp", "fp", "tn", "fn"))
+    keys = [c for c in counts.columns if c not in ("tp", "fp", "tn", "fn")]
     return counts.select(
-        "group_id", "tp", "fp", "tn", "fn",
+        *keys, "tp", "fp", "tn", "fn",
         ratio(fp, fp + tn).alias("fpr"), ratio(fn, fn + tp).alias("fnr"), ratio(tp, tp + fp).alias("precision"),
         ratio(tp, tp + fn).alias("recall"), ratio(tp, tp + fp + fn).alias("fstar"), ratio(2 * tp, 2 * tp + fp + fn).alias("f1"),
     )
@@ -55,6 +56,19 @@ def fairness(group_rates: DataFrame) -> DataFrame:
     return group_rates.agg(gap("fpr").alias("fpr_gap"), gap("fnr").alias("fnr_gap")).withColumn("loss", F.greatest("fpr_gap", "fnr_gap")).withColumn("fairness", 1 - F.col("loss"))
 
 
+def by_run(counts: DataFrame, keys: list[str]) -> DataFrame:
+    """Per run: rates over all groups, the gaps of both error rates between groups, loss and fairness."""
+    each = rates(counts.select(*keys, "group_id", "tp", "fp", "tn", "fn"))
+    gap = lambda c: F.max(c) - F.min(c)
+    sums = each.groupBy(*keys).agg(*(F.sum(c).alias(c) for c in ("tp", "fp", "tn", "fn")), gap("fpr").alias("fpr_gap"), gap("fnr").alias("fnr_gap"))
+    tp, fp, tn, fn = (F.col(c) for c in ("tp", "fp", "tn", "fn"))
+    loss = F.greatest("fpr_gap", "fnr_gap")
+    return sums.select(
+        *keys, ratio(fp, fp + tn).alias("fpr"), ratio(tp, tp + fn).alias("recall"), ratio(tp, tp + fp).alias("precision"), ratio(tp, tp + fp + fn).alias("fstar"),
+        "fpr_gap", "fnr_gap", loss.alias("loss"), (1 - loss).alias("fairness"),
+    )
+
+
 def parity(counts: DataFrame) -> DataFrame:
     """Demographic parity and equal opportunity gaps."""
     total = F.col("tp") + F.col("fp") + F.col("tn") + F.col("fn")
@@ -62,15 +76,16 @@ def parity(counts: DataFrame) -> DataFrame:
     return rows.agg((F.max("rate") - F.min("rate")).alias("parity_gap"), (F.max("tpr") - F.min("tpr")).alias("opportunity_gap"))
 
 
-def cost(noisy_stats: DataFrame) -> DataFrame:
+def cost(noisy_stats: DataFrame, runs: list[str] | None = None) -> DataFrame:
     """Per group the pairs that same-group comparison makes, real and fake, from bin sizes alone.
 
-    noisy_stats: party, bin, group, n (originals), m (dummies).
+    noisy_stats: party, bin, group, n (originals), m (dummies); runs: further columns to keep apart.
     """
+    runs = runs or []
     side = lambda p, c: F.coalesce(F.sum(F.when(F.col("party") == p, F.col(c))), F.lit(0))
-    wide = noisy_stats.groupBy(*BIN, "group_id").agg(side("A", "n").alias("na"), side("B", "n").alias("nb"), side("A", "m").alias("ma"), side("B", "m").alias("mb"))
+    wide = noisy_stats.groupBy(*runs, *BIN, "group_id").agg(side("A", "n").alias("na"), side("B", "n").alias("nb"), side("A", "m").alias("ma"), side("B", "m").alias("mb"))
     plain, every = F.col("na") * F.col("nb"), (F.col("na") + F.col("ma")) * (F.col("nb") + F.col("mb"))
-    out = wide.groupBy("group_id").agg(F.sum(plain).cast("long").alias("real"), F.sum(every - plain).cast("long").alias("fake"))
+    out = wide.groupBy(*runs, "group_id").agg(F.sum(plain).cast("long").alias("real"), F.sum(every - plain).cast("long").alias("fake"))
     return out.withColumn("pairs", F.col("real") + F.col("fake")).withColumn("overhead", ratio(F.col("fake"), F.col("real")))
 
 

@@ -18,7 +18,30 @@ def _side(rows: DataFrame, mark: str, tables: int) -> DataFrame:
     dummy = F.col("is_dummy") if "is_dummy" in has else F.lit(False)
     labels = [F.col(f"l{t}").alias(f"{mark}l{t}") for t in range(tables) if f"l{t}" in has]
     entity = F.col("entity_id") if "entity_id" in has else F.lit(None).cast("long")
-    return rows.select(*BIN, F.col("group_id").alias(f"group_{mark}"), F.col("rec_id").alias(f"id_{mark}"), entity.alias(f"entity_{mark}"), dummy.alias(f"dummy_{mark}"), *[F.col(f"w{i}").alias(f"{mark}{i}") for i in range(5)], F.col("n_ones").alias(f"ones_{mark}"), *labels)
+    source = F.coalesce("parent_id", "rec_id") if "parent_id" in has else F.col("rec_id")
+    extra = [F.col(c).alias(f"{mark}{c}") for c in rows.columns if c[0] == "t" and c[1:2].isdigit() or c == "tokens"]
+    run = [F.col("run").alias(f"run_{mark}")] if "run" in has else []
+    return rows.select(
+        *BIN, F.col("group_id").alias(f"group_{mark}"), F.col("rec_id").alias(f"id_{mark}"), entity.alias(f"entity_{mark}"), dummy.alias(f"dummy_{mark}"), source.alias(f"source_{mark}"),
+        *[F.col(f"w{i}").alias(f"{mark}{i}") for i in range(5)], F.col("n_ones").alias(f"ones_{mark}"), *labels, *extra, *run,
+    )
+
+
+def _compared(joined: DataFrame, *more: Column) -> DataFrame:
+    """A joined row's marks and similarities; of each attribute where both sides carry its filter."""
+    both = bits.common("a", "b")
+    fake = F.col("dummy_a") | F.col("dummy_b")
+    sims, j = [], 0
+    while f"at{j}w0" in joined.columns:
+        sims.append(bits.dice(bits.common(f"at{j}w", f"bt{j}w"), bits.ones(f"at{j}w"), bits.ones(f"bt{j}w")).alias(f"sim{j}"))
+        j += 1
+    if "atokens" in joined.columns:
+        sims.append(token_dice(F.col("atokens"), F.col("btokens")).alias("plain"))
+    return joined.select(
+        *more, "table_no", "label", "id_a", "id_b", F.col("group_a").alias("group_id"), fake.alias("fake"),
+        (~fake & (F.col("entity_a") == F.col("entity_b"))).alias("truth"), both.alias("common"), "ones_a", "ones_b",
+        bits.dice(both, F.col("ones_a"), F.col("ones_b")).alias("sim"), "source_a", *sims,
+    )
 
 
 def candidates(a: DataFrame, b: DataFrame, scope: str = "same_group", settings: Linkage = DEFAULT, first_table_only: bool = True, least: float | None = None) -> DataFrame:
@@ -38,19 +61,30 @@ def candidates(a: DataFrame, b: DataFrame, scope: str = "same_group", settings:
         joined = joined.where(fake | ~earlier)
     if least is not None:
         joined = joined.where(2.0 * F.least("ones_a", "ones_b") > least * (F.col("ones_a") + F.col("ones_b")))
-    both = bits.common("a", "b")
-    return joined.select(
-        *BIN,
-        "id_a",
-        "id_b",
-        F.col("group_a").alias("group_id"),
-        fake.alias("fake"),
-        (~fake & (F.col("entity_a") == F.col("entity_b"))).alias("truth"),
-        both.alias("common"),
-        "ones_a",
-        "ones_b",
-        bits.dice(both, F.col("ones_a"), F.col("ones_b")).alias("sim"),
-    )
+    return _compared(joined)
+
+
+def fakes(originals: DataFrame, dummies: DataFrame, settings: Linkage = DEFAULT) -> DataFrame:
+    """Same-group pairs with a dummy, of many runs at once: dummies carry a column run, originals belong to all runs."""
+    (oa, ob), (da, db) = split(originals), split(dummies)
+    side = lambda rows, mark: _side(rows, mark, settings.label_tables)
+    same = F.col("group_a") == F.col("group_b")
+    made = [
+        _compared(side(da, "a").join(side(ob, "b"), BIN).where(same), F.col("run_a").alias("run")),
+        _compared(side(oa, "a").join(side(db, "b"), BIN).where(same), F.col("run_b").alias("run")),
+        _compared(side(da, "a").join(side(db, "b"), BIN).where(same & (F.col("run_a") == F.col("run_b"))), F.col("run_a").alias("run")),
+    ]
+    return reduce(DataFrame.unionByName, made)
+
+
+def near_candidates(a: DataFrame, b: DataFrame, strategy: DataFrame, settings: Linkage = DEFAULT, radius: int = 1) -> DataFrame:
+    """Pairs of originals whose bins a strategy pairs (table_no, label_a, label_b), once each: in the first table where labels are so near."""
+    left = _side(a, "a", settings.label_tables).withColumnRenamed("label", "label_a")
+    right = _side(b, "b", settings.label_tables).withColumnRenamed("label", "label_b")
+    joined = left.join(strategy, ["table_no", "label_a"]).join(right, ["table_no", "label_b"]).where(F.col("group_a") == F.col("group_b"))
+    near = lambda t: F.bit_count(F.col(f"al{t}").bitwiseXOR(F.col(f"bl{t}"))) <= radius
+    earlier = reduce(lambda x, y: x | y, [(F.col("table_no") > t) & near(t) for t in range(settings.label_tables)])
+    return _compared(joined.where(~earlier).withColumn("label", F.col("label_a")))
 
 
 def split(rows: DataFrame) -> tuple[DataFrame, DataFrame]:

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from fairlink.functions import bits, rng, theory, tokens
 from fairlink.operators import allocate, block, classify, corrupt, encode, measures, noise, pairs
 from fairlink.plans import scenarios
-from fairlink.plans.oracle import CENSUS, COMMON, EARLIER, ONES, RATES, SEED, TOKENS, _conf, _pairs, encoded, grams, noise_sql, rate, sql, u
+from fairlink.plans.oracle import CENSUS, COMMON, EARLIER, ONES, RATES, SEED, STEPS, TOKENS, _conf, _pairs, encoded, expected_fakes, false_match, grams, group_rate, noise_sql, rate, runs_sql, sql, u
 from fairlink.plans.registry import query, r6, rounded
 from fairlink.settings import DEFAULT
 from fairlink.sources import people
@@ -110,7 +110,7 @@ _SURNAME = f"SELECT party, rec_id, w0, w1, w2, w3, w4 FROM ({encoded('recs', gra
 
 @query(sql(_SURNAME, "recs"))
 def bloom_attribute(spark, sf_dir):
-    return encode.bloom_attributes(people.parties(spark, sf_dir)).select("party", "rec_id", *[F.get("f_surname", i).alias(f"w{i}") for i in range(5)])
+    return encode.bloom_attributes(people.parties(spark, sf_dir)).select("party", "rec_id", *[F.col(f"t1w{i}").alias(f"w{i}") for i in range(5)])
 
 
 @query(sql("SELECT party, count(*) AS n, round(avg(n_ones / 300.0), 6) AS fill, round(stddev_pop(n_ones / 300.0), 6) AS fill_sd FROM enc GROUP BY party", "enc"))
@@ -292,16 +292,17 @@ def bit_similarities(spark, sf_dir):
 
 
 _PLAIN = f"""SELECT a.rec_id AS id_a, b.rec_id AS id_b, round(2.0 * len(list_intersect(a.t, b.t)) / (len(a.t) + len(b.t)), 6) AS dice, round(1 - levenshtein(a.surname, b.surname) / greatest(length(a.surname), length(b.surname))::DOUBLE, 6) AS surname_sim
-FROM (SELECT *, {TOKENS} AS t FROM recs WHERE party = 'A') a JOIN (SELECT *, {TOKENS} AS t FROM recs WHERE party = 'B') b ON a.suburb = b.suburb AND a.group_id = b.group_id AND a.surname = b.surname"""
+FROM (SELECT *, {TOKENS} AS t FROM recs WHERE party = 'A') a JOIN (SELECT *, {TOKENS} AS t FROM recs WHERE party = 'B') b ON a.suburb = b.suburb AND a.group_id = b.group_id AND substr(a.given, 1, 1) = substr(b.given, 1, 1)"""
 
 
 @query(sql(_PLAIN, "recs"))
 def plain_scores(spark, sf_dir):
-    rows = people.parties(spark, sf_dir).withColumn("t", encode.voter_tokens())
-    left = rows.where("party = 'A'").select("suburb", "group_id", "surname", F.col("rec_id").alias("id_a"), F.col("t").alias("ta"))
-    right = rows.where("party = 'B'").select("suburb", "group_id", "surname", F.col("rec_id").alias("id_b"), F.col("t").alias("tb"))
-    joined = left.join(right, ["suburb", "group_id", "surname"])
-    return joined.select("id_a", "id_b", r6(pairs.token_dice(F.col("ta"), F.col("tb")), "dice"), r6(pairs.edit_similarity(F.col("surname"), F.col("surname")), "surname_sim"))
+    """Clear-text similarities of pairs of one suburb, group and first letter: token sets, and surnames by edits."""
+    rows = people.parties(spark, sf_dir).withColumn("t", encode.voter_tokens()).withColumn("first", F.substring("given", 1, 1))
+    key = ["suburb", "group_id", "first"]
+    left = rows.where("party = 'A'").select(*key, F.col("surname").alias("sa"), F.col("rec_id").alias("id_a"), F.col("t").alias("ta"))
+    right = rows.where("party = 'B'").select(*key, F.col("surname").alias("sb"), F.col("rec_id").alias("id_b"), F.col("t").alias("tb"))
+    return left.join(right, key).select("id_a", "id_b", r6(pairs.token_dice(F.col("ta"), F.col("tb")), "dice"), r6(pairs.edit_similarity(F.col("sa"), F.col("sb")), "surname_sim"))
 
 
 @query(sql("SELECT id_a, id_b, round(sim, 6) AS sim FROM pairs WHERE sim > 0.8", "pairs"))
@@ -314,23 +315,20 @@ def mutual_best(spark, sf_dir):
     return classify.mutual_best(classify.threshold(scenarios.plain_pairs(scenarios.bench(spark, sf_dir))).where("pred")).select("id_a", "id_b")
 
 
-def _learned(spark, sf_dir, kind, weight=None):
-    own = scenarios.plain_pairs(scenarios.bench(spark, sf_dir, "dirty"))
-    train, test = classify.split(own)
-    features = ["sim", "ones_a", "ones_b"]
-    if weight:
-        train = classify.group_weights(train, weight)
-    return rounded(measures.rates(measures.confusion(classify.predict(classify.model(kind, train, features, weight="weight" if weight else None), test, features))))
+def _learned(spark, sf_dir, kind):
+    """Rates of a learned classifier on the test half of dirty records, from the similarities of attributes and of the record."""
+    counts = scenarios.grid(spark, sf_dir, [scenarios.Run("b1")], "dirty", classifiers=(kind,))
+    return rounded(measures.rates(counts.select("group_id", "tp", "fp", "tn", "fn")))
 
 
 @query()
 def logistic_links(spark, sf_dir):
-    return _learned(spark, sf_dir, "logistic")
+    return _learned(spark, sf_dir, "logistic_plain")
 
 
 @query()
 def logistic_weighted(spark, sf_dir):
-    return _learned(spark, sf_dir, "logistic", ["truth", "group_id"])
+    return _learned(spark, sf_dir, "logistic")
 
 
 @query()
@@ -348,10 +346,13 @@ def svm_links(spark, sf_dir):
     return _learned(spark, sf_dir, "svm")
 
 
-@query(sql("SELECT parties, count(*) AS n FROM (" + " UNION ALL ".join(f"SELECT '{p}{q}' AS parties FROM three a JOIN three b ON a.who = '{p}' AND b.who = '{q}' AND a.table_no = b.table_no AND a.label = b.label AND a.group_id = b.group_id WHERE NOT ({EARLIER})" for p, q in ("AB", "AC", "BC")) + ") GROUP BY parties", "blk", three="SELECT *, 'A' AS who FROM blk WHERE party = 'A' UNION ALL SELECT *, 'B' FROM blk WHERE party = 'B' UNION ALL SELECT *, 'C' FROM blk WHERE party = 'B' AND entity_id % 2 = 0"))
+_THREE = "SELECT *, gender AS group_id, party || '-' || entity_id::VARCHAR AS rec_id FROM (" + " UNION ALL ".join(f"SELECT *, '{p}' AS party FROM people WHERE lot <> {n}" for p, n in (("A", 2), ("B", 1), ("C", 0))) + ")"
+
+
+@query(sql("SELECT parties, count(*) AS n FROM (" + " UNION ALL ".join(f"SELECT '{p}{q}' AS parties FROM blk a JOIN blk b ON a.party = '{p}' AND b.party = '{q}' AND a.table_no = b.table_no AND a.label = b.label AND a.group_id = b.group_id WHERE NOT ({EARLIER})" for p, q in ("AB", "AC", "BC")) + ") GROUP BY parties", "blk", recs=_THREE))
 def three_parties(spark, sf_dir):
-    a, b = pairs.split(_blocked(spark, sf_dir))
-    return pairs.multi_party({"A": a, "B": b, "C": b.where("entity_id % 2 = 0")}).groupBy("parties").agg(F.count("*").alias("n"))
+    blocked = block.bit_labels(encode.encoded(people.three_parties(spark, sf_dir)))
+    return pairs.multi_party({p: blocked.where(F.col("party") == p) for p in "ABC"}).groupBy("parties").agg(F.count("*").alias("n"))
 
 
 # Measures.
@@ -427,9 +428,9 @@ def exposure_rare_bins(spark, sf_dir):
     return measures.exposure(scenarios.bench(spark, sf_dir).stats)
 
 
-@query(sql(f"SELECT count(*) AS dummies, round(avg((CASE WHEN 2.0 * {COMMON} / (a.n_ones + b.n_ones) > 0.8 THEN 1.0 ELSE 0.0 END)), 6) AS measured, 0.4 AS flip FROM dums a JOIN enc b ON a.parent_id = b.rec_id", "dums", "enc").replace("0.4 AS flip", "0.4::DOUBLE AS flip"))
+@query(sql(f"SELECT count(*) AS dummies, round(avg((CASE WHEN 2.0 * {COMMON} / (a.n_ones + b.n_ones) > 0.8 THEN 1.0 ELSE 0.0 END)), 6) AS measured, 0.2::DOUBLE AS flip FROM dums a JOIN enc b ON a.parent_id = b.rec_id", "enc", "chosen", dums=STEPS["dums"].replace(f"< {DEFAULT.flip} THEN", "< 0.2 THEN")))
 def dummy_fp_measured(spark, sf_dir):
-    return rounded(scenarios.measured_dummy_fp(spark, scenarios.bench(spark, sf_dir), [0.4]))
+    return rounded(scenarios.dummy_fp_curve(spark, scenarios.bench(spark, sf_dir)).where("round(flip, 4) = 0.2").select("dummies", "measured", "flip"))
 
 
 # Theory.
@@ -527,35 +528,45 @@ def budget_overall(spark, sf_dir):
 # Tuners, as grids over a few rows and as the driver's solvers.
 
 
-@query(sql("SELECT round(m.fpr - w.fpr, 6) AS gap, m.flip AS flip_m, w.flip AS flip_w FROM grid m JOIN grid w ON m.group_id = 'm' AND w.group_id = 'w' ORDER BY round(abs(m.fpr - w.fpr), 9), least(m.flip, w.flip) DESC, greatest(m.flip, w.flip) - least(m.flip, w.flip), m.flip LIMIT 1", "conf", "stats", g=_G, grid="SELECT group_id, f / 20.0::DOUBLE AS flip, " + _predicted("2.0::DOUBLE", "(f / 20.0::DOUBLE)") + " AS fpr FROM g, range(20) r(f)"))
+_TUNED = [scenarios.Run("a"), scenarios.Run("b"), scenarios.Run("cost")]
+
+
+@query(runs_sql("SELECT group_id, kn.eps, kn.flip FROM kn JOIN runs USING (run) WHERE scenario = 'a'", _TUNED))
 def method_a_flips(spark, sf_dir):
-    grid = _group_table(spark, sf_dir).crossJoin(F.broadcast(spark.range(20).select((F.col("id") / 20).alias("flip"))))
-    grid = grid.select("group_id", "flip", _predicted_column(F.lit(2.0), F.col("flip")).alias("fpr"))
-    m = grid.where("group_id = 'm'").select(F.col("flip").alias("flip_m"), F.col("fpr").alias("fm"))
-    w = grid.where("group_id = 'w'").select(F.col("flip").alias("flip_w"), F.col("fpr").alias("fw"))
-    both = m.crossJoin(w)
-    order = [F.round(F.abs(F.col("fm") - F.col("fw")), 9), F.desc(F.least("flip_m", "flip_w")), F.greatest("flip_m", "flip_w") - F.least("flip_m", "flip_w"), F.col("flip_m")]
-    return both.orderBy(*order).limit(1).select(r6(F.col("fm") - F.col("fw"), "gap"), "flip_m", "flip_w")
+    """What Method A chooses at budget 1."""
+    stats = scenarios.group_stats(scenarios.bench(spark, sf_dir, keep=True))
+    return scenarios.knobs_of(spark, stats, allocate.flips(stats, theory.split_equal(1.0, len(stats))))
 
 
 def _solved(spark, sf_dir, **options):
-    stats = scenarios.group_stats(scenarios.bench(spark, sf_dir))
+    stats = scenarios.group_stats(scenarios.bench(spark, sf_dir, keep=True))
     found = allocate.budgets(stats, 1.0, 0.4, **options)
     rows = [(s.group_id, round(float(e), 6), round(allocate.harmonic(found), 6), bool(found.at_border)) for s, e in zip(stats, found.eps, strict=True)]
     return spark.createDataFrame(rows, "group_id string, eps double, overall double, at_border boolean")
 
 
-@query()
+def _solved_sql(scenario: str) -> str:
+    return runs_sql(f"SELECT group_id, round(kn.eps, 6) AS eps, 1.0::DOUBLE AS overall, 1 / kn.eps <= 0.05 * (1 + 1e-9) OR 1 - 1 / kn.eps <= 0.05 * (1 + 1e-9) AS at_border FROM kn JOIN runs USING (run) WHERE scenario = '{scenario}'", _TUNED)
+
+
+@query(_solved_sql("b"))
 def method_b_budgets(spark, sf_dir):
     return _solved(spark, sf_dir)
 
 
-@query()
+@query(_solved_sql("cost"))
 def method_b_cost(spark, sf_dir):
     return _solved(spark, sf_dir, objective="cost")
 
 
-@query()
+def _weighted_sql() -> str:
+    p, cost = false_match("0.4::DOUBLE"), lambda x: f"({expected_fakes('1', x)} + {expected_fakes('2', f'(1 - ({x}))')})"
+    loss = f"greatest(abs({group_rate('1', 'x', p)} - {group_rate('2', '(1 - x)', p)}), fnr_gap)"
+    best = f"SELECT g1, g2, x FROM two, (SELECT 0.05 + 0.9 * i / 200.0::DOUBLE AS x FROM range(201) r(i)) ORDER BY round({loss} + 0.5 * {cost('x')} / {cost('0.5')}, 12) LIMIT 1"
+    return runs_sql(f"SELECT unnest([g1, g2]) AS group_id, round(unnest([1 / x, 1 / (1 - x)]), 6) AS eps, 1.0::DOUBLE AS overall, x <= 0.05 * (1 + 1e-9) OR 1 - x <= 0.05 * (1 + 1e-9) AS at_border FROM ({best})", _TUNED)
+
+
+@query(_weighted_sql())
 def method_b_weighted(spark, sf_dir):
     return _solved(spark, sf_dir, objective="weighted")
 
@@ -588,25 +599,29 @@ def scenario_b2(spark, sf_dir):
 _B3_CHOSEN = f"SELECT blk.*, m FROM blk JOIN (SELECT party, table_no, label, m FROM counts WHERE m > 0) USING (party, table_no, label) QUALIFY row_number() OVER (PARTITION BY party, table_no, label ORDER BY md5('7|pick|' || rec_id || '|' || table_no::VARCHAR)) <= m"
 
 
-@query(sql(f"{RATES} FROM nconf", "stats", "truth", "blk", **{"counts": _RECORD, "chosen": _B3_CHOSEN}, dums=__import__("fairlink.plans.oracle", fromlist=["STEPS"]).STEPS["dums"], noisy=__import__("fairlink.plans.oracle", fromlist=["STEPS"]).STEPS["noisy"], npairs="PAIRS(noisy)", nconf="CONF(npairs)"))
+@query(sql(f"{RATES} FROM nconf", "stats", "truth", "blk", **{"counts": _RECORD, "chosen": _B3_CHOSEN}, dums=STEPS["dums"], noisy=STEPS["noisy"], npairs="PAIRS(noisy)", nconf="CONF(npairs)"))
 def scenario_b3(spark, sf_dir):
     return rounded(measures.rates(scenarios.run(spark, sf_dir, "b3")))
 
 
-@query()
+def _cells(scenario: str, **steps: str) -> str:
+    return runs_sql(f"{RATES} FROM cells", [scenarios.Run(scenario)], **steps)
+
+
+@query(_cells("a"))
 def scenario_a(spark, sf_dir):
     return rounded(measures.rates(scenarios.run(spark, sf_dir, "a")))
 
 
-@query()
+@query(_cells("b"))
 def scenario_b(spark, sf_dir):
     return rounded(measures.rates(scenarios.run(spark, sf_dir, "b")))
 
 
 @query(sql(f"{RATES} FROM c", "truth", "enc", p=f"SELECT a.group_id, a.entity_id = b.entity_id AS truth, CASE WHEN a.n_ones + b.n_ones = 0 THEN 0 ELSE 2.0 * {COMMON} / (a.n_ones + b.n_ones) END AS sim FROM enc a JOIN enc b ON a.party = 'A' AND b.party = 'B' AND a.group_id = b.group_id", c=_conf("p")))
 def scenario_all_pairs(spark, sf_dir):
-    """All pairs of a group: the ceiling of recall, for small parties only."""
-    rows = block.none(encode.encoded(people.parties(spark, sf_dir)))
+    """All pairs of a group, in tiles: the ceiling of cost and recall."""
+    rows = block.tiles(encode.encoded(people.parties(spark, sf_dir)))
     a, b = pairs.split(rows)
     return rounded(measures.rates(measures.confusion(classify.threshold(pairs.candidates(a, b)), measures.truth_pairs(a, b))))
 
@@ -629,52 +644,6 @@ def scenario_cost(spark, sf_dir):
     return rounded(b2.unionByName(b1))
 
 
-@query()
-def scenario_cost_b(spark, sf_dir):
-    """Cost per group of equal budgets and of both objectives of Method B at two overall budgets."""
-    b = scenarios.bench(spark, sf_dir)
-    stats, out = scenarios.group_stats(b), []
-    for eps in (0.1, 10.0):
-        for name in ("equal", "fairness", "cost"):
-            found = allocate.Knobs((theory.split_equal(eps, len(stats)),) * len(stats), (0.4,) * len(stats), 0.0, 0.0) if name == "equal" else allocate.budgets(stats, eps, 0.4, name)
-            counts = noise.dummy_counts(b.stats, scenarios.knobs_of(spark, stats, found))
-            out.append(measures.cost(counts).select(F.lit(name).alias("objective"), F.lit(eps).alias("eps"), "*"))
-    return rounded(reduce(DataFrame.unionByName, out))
-
-
-@query()
-def sweep_flip(spark, sf_dir):
-    """Measured and predicted chance of a dummy's false match over flips."""
-    flips = [0.0, 0.1, 0.16, 0.2, 0.24, 0.28, 0.4, 0.7, 1.0]
-    measured = scenarios.measured_dummy_fp(spark, scenarios.bench(spark, sf_dir), flips)
-    known = theory.curve(spark)
-    return rounded(measured.join(F.broadcast(known), F.round(measured["flip"], 4) == F.round(known["flip"], 4)).select(measured["flip"], "dummies", "measured", "exact", "normal", "flip_noise"))
-
-
-@query()
-def sweep_eps(spark, sf_dir):
-    """False-positive rate over budgets, with clean flips."""
-    return rounded(scenarios.sweep(spark, sf_dir, names=("b2",), eps=(0.1, 1.0, 10.0)))
-
-
-@query()
-def sweep_scenarios(spark, sf_dir):
-    """Fairness and F* of all scenarios on biased records."""
-    return rounded(scenarios.sweep(spark, sf_dir, eps=(1.0,), flavours=("biased",)))
-
-
-_DOCS = "SELECT CASE WHEN regexp_extract(source, '(\\d+)$', 1)::INTEGER % 2 = 0 THEN 'A' ELSE 'B' END AS party, md5(text) AS truth, CASE WHEN lang = 'en' THEN 'en' ELSE 'other' END AS group_id, array_to_string(string_split(text, ' ')[1:8], ' ') AS head, doc_id FROM documents WHERE text IS NOT NULL"
-
-
-@query(f"WITH d AS ({_DOCS}) SELECT group_id, count(*) AS pairs, count(*) FILTER (WHERE same) AS true_pairs FROM (SELECT a.group_id, a.truth = b.truth AS same FROM d a JOIN d b ON a.party = 'A' AND b.party = 'B' AND a.head = b.head AND a.group_id = b.group_id) GROUP BY group_id")
-def doc_copies(spark, sf_dir):
-    rows = people.documents_as_records(spark, sf_dir)
-    a = rows.where("party = 'A'").select("group_id", "head", F.col("truth").alias("ta"))
-    b = rows.where("party = 'B'").select("group_id", "head", F.col("truth").alias("tb"))
-    found = a.join(b, ["group_id", "head"])
-    return found.groupBy("group_id").agg(F.count("*").alias("pairs"), F.count_if(F.col("ta") == F.col("tb")).alias("true_pairs"))
-
-
 @query("WITH r AS (SELECT p_partkey::BIGINT AS entity_id, p_brand, p_type, p_size, lower(substr(p_type, 1, 1)) AS group_id, (('0x' || substr(md5('7|part|' || p_partkey::VARCHAR), 1, 13))::BIGINT % 3) AS lot FROM part) SELECT a.group_id, count(*) AS pairs, count(*) FILTER (WHERE a.entity_id = b.entity_id) AS true_pairs FROM r a JOIN r b ON a.lot <> 2 AND b.lot <> 1 AND a.p_brand = b.p_brand AND a.p_type = b.p_type AND a.p_size = b.p_size GROUP BY a.group_id")
 def part_records(spark, sf_dir):
     rows = people.parts_as_records(spark, sf_dir)
@@ -741,12 +710,12 @@ def scenario_b2_large_budget(spark, sf_dir):
     return _rates_of(spark, sf_dir, "b2", eps=10.0)
 
 
-@query()
+@query(_cells("a", recs=_BIASED))
 def scenario_a_biased(spark, sf_dir):
     return _rates_of(spark, sf_dir, "a", flavour="biased")
 
 
-@query()
+@query(_cells("b", recs=_BIASED))
 def scenario_b_biased(spark, sf_dir):
     return _rates_of(spark, sf_dir, "b", flavour="biased")
 
@@ -796,6 +765,6 @@ def bloom_rounds(spark, sf_dir):
 @query()
 def tuned_both(spark, sf_dir):
     """Budgets first, then flips."""
-    stats = scenarios.group_stats(scenarios.bench(spark, sf_dir))
+    stats = scenarios.group_stats(scenarios.bench(spark, sf_dir, keep=True))
     found = allocate.both(stats, 1.0, 0.4)
     return spark.createDataFrame([(s.group_id, round(float(e), 6), float(f)) for s, e, f in zip(stats, found.eps, found.flip, strict=True)], "group_id string, eps double, flip double")

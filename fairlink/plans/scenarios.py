@@ -1,4 +1,9 @@
-"""The scenarios that the method is compared in, from records to measures."""
+"""The scenarios that the method is compared in, from records to measures.
+
+A bench holds the blocked records of both parties, written once. Any number of runs (a scenario with its budget and
+flip) is judged in one pass: pairs of originals are compared once for all runs, every run adds the pairs of its own dummies
+only, and what comes out is one row of counts per run, classifier and group.
+"""
 
 from __future__ import annotations
 
@@ -8,12 +13,14 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fairlink.functions import rng, theory
+from fairlink.functions import bits, rng, theory
 from fairlink.operators import allocate, block, classify, encode, measures, noise, pairs
 from fairlink.settings import DEFAULT, Linkage
 from fairlink.sources import people
+from fairlink.sources.steps import written
 
 SCENARIOS = ("b1", "b2", "b3", "a", "b")
+LEARNED = ("logistic", "logistic_plain", "tree", "forest", "svm")
 
 
 @dataclass(frozen=True)
@@ -24,102 +31,216 @@ class Bench:
     stats: DataFrame
     truth: DataFrame
     settings: Linkage
+    attributes: int = 0
+
+
+@dataclass(frozen=True)
+class Run:
+    """b1 no noise, b2 equal knobs, b3 noise without groups, a tuned flips, b tuned budgets, cost budgets for least cost."""
+
+    scenario: str
+    eps: float = 1.0
+    flip: float = 0.4
 
 
-def bench(spark: SparkSession, sf_dir: str, flavour: str = "clean", features: tuple[str, ...] = ("gender",), settings: Linkage = DEFAULT) -> Bench:
-    records = people.parties(spark, sf_dir, flavour, features)
-    encoded = encode.encoded(records, settings, census=flavour == "census")
+def bench(
+    spark: SparkSession, sf_dir: str, flavour: str = "clean", features: tuple[str, ...] = ("gender",), settings: Linkage = DEFAULT,
+    keep: bool = False, attributes: bool = False, rounds: int = 1, share: float = 1.0,
+) -> Bench:
+    """With `keep` the blocked rows are written, for plans that read them more than once."""
+    records = people.parties(spark, sf_dir, flavour, features, share)
+    encoded = encode.encoded(records, settings, flavour == "census", rounds, attributes)
     blocked = block.bit_labels(encoded, settings)
-    truth = measures.truth_pairs(*pairs.split(encoded))
-    return Bench(blocked, block.bin_stats(blocked), truth, settings)
+    if keep:
+        blocked = written(blocked, "blocked")
+    stats = block.bin_stats(blocked)
+    if keep:
+        stats = written(stats, "bins")
+    truth = measures.truth_pairs(*pairs.split(blocked.where("table_no = 0") if keep else encoded))
+    return Bench(blocked, stats, truth, settings, len(encode.ATTRIBUTES[flavour == "census"]) if attributes else 0)
 
 
 def plain_pairs(b: Bench) -> DataFrame:
     return pairs.candidates(*pairs.split(b.blocked), settings=b.settings)
 
 
-def group_stats(b: Bench, sample: float = 1.0) -> list[allocate.GroupStats]:
+def group_sizes(b: Bench) -> DataFrame:
+    """Rows of each party per group, and the number of bins."""
+    side = lambda p: F.sum(F.when(F.col("party") == p, F.col("n")).otherwise(0))
+    bins = b.stats.select(*block.BIN).distinct().agg(F.count("*").alias("bins"))
+    return b.stats.groupBy("group_id").agg(side("A").alias("na"), side("B").alias("nb")).crossJoin(F.broadcast(bins))
+
+
+def group_stats(b: Bench, sample: float = 1.0, found: DataFrame | None = None) -> list[allocate.GroupStats]:
     """Sizes and original error rates of the groups; one row a group reaches the driver.
 
-    With a sample below 1 the rates come from a keyed share of the original pairs.
+    With a sample below 1 the rates come from a keyed share of the original pairs; `found` are counts made before.
     """
-    own = plain_pairs(b).where(rng.uniform(b.settings.seed, "sample", "id_a", "id_b") < sample)
-    counted = measures.confusion(classify.threshold(own, b.settings.threshold))
-    sizes = b.stats.groupBy("group_id").agg(F.sum(F.when(F.col("party") == "A", F.col("n")).otherwise(0)).alias("na"), F.sum(F.when(F.col("party") == "B", F.col("n")).otherwise(0)).alias("nb"))
-    bins = b.stats.select(*block.BIN).distinct().count()
-    rows = sizes.join(counted, "group_id", "left").orderBy("group_id").collect()
+    if found is None:
+        own = plain_pairs(b).where(rng.uniform(b.settings.seed, "sample", "id_a", "id_b") < sample)
+        found = measures.confusion(classify.threshold(own, b.settings.threshold))
     made = []
-    for r in rows:
+    for r in group_sizes(b).join(found, "group_id", "left").orderBy("group_id").collect():
         tp, fp, tn, fn = (r[c] or 0 for c in ("tp", "fp", "tn", "fn"))
-        made.append(allocate.GroupStats(r["group_id"], r["na"], r["nb"], bins, fp / sample, (fp + tn) / sample, fn / max(1, fn + tp)))
+        made.append(allocate.GroupStats(r["group_id"], r["na"], r["nb"], r["bins"], fp / sample, (fp + tn) / sample, fn / max(1, fn + tp)))
     return made
 
 
+def tuned(run: Run, groups: list[str], stats: list[allocate.GroupStats] | None) -> allocate.Knobs | None:
+    n = len(groups)
+    equal = theory.split_equal(run.eps, n)
+    if run.scenario == "b2":
+        return allocate.Knobs((equal,) * n, (run.flip,) * n, float("nan"), float("nan"))
+    if run.scenario == "a":
+        return allocate.flips(stats, equal)
+    if run.scenario in ("b", "cost"):
+        return allocate.budgets(stats, run.eps, run.flip, "cost" if run.scenario == "cost" else "fairness")
+    return None
+
+
+def knobs_of_runs(spark: SparkSession, b: Bench, runs: list[Run], sample: float = 1.0) -> DataFrame:
+    """(run, group_id, eps, flip) of the runs with group noise: as many rows as runs and groups."""
+    groups = [r[0] for r in b.stats.select("group_id").distinct().orderBy("group_id").collect()]
+    stats = group_stats(b, sample) if any(r.scenario in ("a", "b", "cost") for r in runs) else None
+    rows = []
+    for i, run in enumerate(runs):
+        found = tuned(run, groups, stats)
+        if found:
+            rows += [(i, g, float(e), float(f)) for g, e, f in zip(groups, found.eps, found.flip, strict=True)]
+    return spark.createDataFrame(rows, "run int, group_id string, eps double, flip double")
+
+
 def knobs_of(spark: SparkSession, stats: list[allocate.GroupStats], found: allocate.Knobs) -> DataFrame:
     rows = [(s.group_id, float(e), float(f)) for s, e, f in zip(stats, found.eps, found.flip, strict=True)]
     return spark.createDataFrame(rows, "group_id string, eps double, flip double")
 
 
-def noisy_rows(spark: SparkSession, b: Bench, name: str, eps: float, flip: float, objective: str = "fairness") -> tuple[DataFrame, allocate.Knobs | None]:
-    """The rows that a scenario sends to the linkage unit, and its knobs."""
-    s = replace(b.settings, eps=eps, flip=flip)
-    if name == "b1":
-        return b.blocked.withColumn("is_dummy", F.lit(False)), None
-    if name == "b3":
-        return noise.record_dp(b.blocked, eps, flip, s), None
-    stats = group_stats(b)
-    if name == "b2":
-        n = len(stats)
-        found = allocate.Knobs((theory.split_equal(eps, n),) * n, (flip,) * n, float("nan"), allocate.cost_of(stats, [theory.split_equal(eps, n)] * n))
-    elif name == "a":
-        found = allocate.flips(stats, theory.split_equal(eps, len(stats)))
-    else:
-        found = allocate.budgets(stats, eps, flip, objective)
-    return noise.feature_dp(b.blocked, knobs_of(spark, stats, found), s), found
-
-
-def run(spark: SparkSession, sf_dir: str, name: str, eps: float = 1.0, flip: float = 0.4, flavour: str = "clean", features: tuple[str, ...] = ("gender",), classifier: str = "threshold", settings: Linkage = DEFAULT) -> DataFrame:
-    """Counts per group of one scenario: group_id, tp, fp, tn, fn."""
-    b = bench(spark, sf_dir, flavour, features, settings)
-    rows, _ = noisy_rows(spark, b, name, eps, flip)
-    found = pairs.candidates(*pairs.split(rows), settings=settings)
-    if classifier == "threshold":
-        judged = classify.threshold(found, settings.threshold)
-    else:
-        train, _ = classify.split(plain_pairs(b))
-        judged = classify.predict(classify.model(classifier, train, ["sim", "ones_a", "ones_b"]), found, ["sim", "ones_a", "ones_b"])
-    return measures.confusion(judged, b.truth)
-
-
-def summary(counts: DataFrame, **tags) -> DataFrame:
-    """One row: fairness, F* and the scenario's tags."""
-    loss = measures.fairness(measures.rates(counts)).select("loss", "fairness")
-    total = measures.overall(counts).select("fpr", "recall", "precision", "fstar")
-    return total.crossJoin(loss).select(*[F.lit(v).alias(k) for k, v in tags.items()], "*")
-
-
-def sweep(spark: SparkSession, sf_dir: str, names=SCENARIOS, eps=(0.1, 1.0, 10.0), flavours=("clean",), classifiers=("threshold",), seeds=(7,), flip: float = 0.4) -> DataFrame:
-    """One row per combination; averages over seeds are left to the caller."""
-    rows = [
-        summary(run(spark, sf_dir, n, e, flip, f, classifier=c, settings=replace(DEFAULT, seed=s)), scenario=n, eps=float(e), flavour=f, classifier=c, seed=s)
-        for n in names for e in eps for f in flavours for c in classifiers for s in seeds
-    ]
-    return reduce(DataFrame.unionByName, rows)
-
-
-def measured_dummy_fp(spark: SparkSession, b: Bench, flips: list[float]) -> DataFrame:
-    """Share of dummies that exceed the threshold with their own source, per flip."""
+def dummies_of_runs(spark: SparkSession, b: Bench, runs: list[Run], settings: Linkage, sample: float = 1.0) -> DataFrame:
+    made = noise.feature_runs(b.blocked, b.stats, knobs_of_runs(spark, b, runs, sample), settings)
+    blind = [(i, float(r.eps), float(r.flip)) for i, r in enumerate(runs) if r.scenario == "b3"]
+    if blind:
+        more = noise.record_runs(b.blocked, spark.createDataFrame(blind, "run int, eps double, flip double"), settings)
+        made = made.select(*more.columns).unionByName(more)
+    return made
+
+
+def features_of(b: Bench) -> list[str]:
+    """What learned classifiers see: the similarity of each attribute and of the whole record."""
+    return [*(f"sim{j}" for j in range(b.attributes)), "sim"]
+
+
+def tested() -> F.Column:
+    """Pairs of the half of A's records that no learner is trained on; a dummy belongs to its source's half."""
+    return rng.uniform(DEFAULT.seed, "split", "source_a") >= 0.5
+
+
+def learner(b: Bench, own: DataFrame, kind: str):
+    """A classifier trained on the original pairs of the training half; balanced by class and group, but for the plain one."""
+    train = own.where(~tested())
+    if kind == "logistic":
+        train = classify.group_weights(train, ["truth", "group_id"])
+    return classify.model(kind.split("_")[0], train, features_of(b), weight="weight" if kind == "logistic" else None)
+
+
+def grid(
+    spark: SparkSession, sf_dir: str, runs: list[Run], flavour: str = "clean", features: tuple[str, ...] = ("gender",), classifiers: tuple[str, ...] = ("threshold",),
+    settings: Linkage = DEFAULT, seed: int | None = None, rounds: int = 1, share: float = 1.0, sample: float = 1.0, b: Bench | None = None,
+) -> DataFrame:
+    """Counts of every run, classifier and group: scenario, eps, flip, classifier, group_id, tp, fp, tn, fn, real, fake.
+
+    Learned classifiers are judged on the test half, truth included. `seed` is that of the noise.
+    """
+    learned = any(c in LEARNED for c in classifiers)
+    b = b or bench(spark, sf_dir, flavour, features, settings, True, learned, rounds, share)
+    s = b.settings if seed is None else replace(b.settings, seed=seed)
+    own = plain_pairs(b)
+    noisy = any(r.scenario != "b1" for r in runs)
+    fake = pairs.fakes(b.blocked, written(dummies_of_runs(spark, b, runs, s, sample), "dummies"), s) if noisy else None
+    if learned:
+        own = written(own, "pairs")
     out = []
-    for f in flips:
-        s = replace(b.settings, flip=f)
-        stats = b.stats.select("group_id").distinct().orderBy("group_id")
-        knobs = noise.equal_knobs(spark, [r[0] for r in stats.collect()], s)
-        counts = noise.dummy_counts(b.stats, knobs, s)
-        chosen = noise.picked(b.blocked, counts, settings=s).withColumn("flip", F.lit(f))
-        made = noise.dummies(chosen, s)
-        source = b.blocked.where("table_no = 0").select(F.col("rec_id").alias("parent_id"), *[F.col(f"w{i}").alias(f"s{i}") for i in range(5)], F.col("n_ones").alias("s_ones"))
-        from fairlink.functions import bits
-
-        sim = bits.dice(bits.common("w", "s"), F.col("n_ones"), F.col("s_ones"))
-        out.append(made.join(source, "parent_id").agg(F.count("*").alias("dummies"), F.avg((sim > b.settings.threshold).cast("double")).alias("measured")).withColumn("flip", F.lit(f)))
+    for kind in classifiers:
+        plain, other, truth = own, fake, b.truth
+        if kind in LEARNED:
+            model = learner(b, own, kind)
+            judge = lambda rows, model=model: classify.predict(model, rows.where(tested()), features_of(b))
+            truth = truth.withColumn("source_a", F.col("id_a")).where(tested())
+        else:
+            judge = lambda rows: classify.threshold(rows, s.threshold)
+        counts = measures.confusion(judge(plain), truth).withColumn("real", F.col("tp") + F.col("fp") + F.col("tn"))
+        found = judge(plain).groupBy("group_id").agg(F.count("*").alias("real"))
+        counts = counts.drop("real").join(found, "group_id", "left")
+        if other is not None:
+            added = judge(other).groupBy("run", "group_id").agg(F.count_if("pred").alias("dfp"), F.count_if(~F.col("pred")).alias("dtn"))
+        else:
+            added = spark.createDataFrame([], "run int, group_id string, dfp long, dtn long")
+        named = spark.createDataFrame([(i, r.scenario, float(r.eps), float(r.flip)) for i, r in enumerate(runs)], "run int, scenario string, eps double, flip double")
+        # Counts per group and runs: small tables whatever the data.
+        joined = counts.crossJoin(F.broadcast(named)).join(added, ["run", "group_id"], "left")
+        zero = lambda c: F.coalesce(F.col(c), F.lit(0).cast("long"))
+        out.append(joined.select(
+            "scenario", "eps", "flip", F.lit(kind).alias("classifier"), "group_id", "tp", (F.col("fp") + zero("dfp")).alias("fp"), (F.col("tn") + zero("dtn")).alias("tn"), "fn",
+            zero("real").alias("real"), (zero("dfp") + zero("dtn")).alias("fake"),
+        ))
     return reduce(DataFrame.unionByName, out)
+
+
+def summaries(counts: DataFrame) -> DataFrame:
+    """One row a run and classifier: error rates, F*, fairness and comparisons."""
+    keys = ["scenario", "eps", "flip", "classifier"]
+    size = counts.groupBy(*keys).agg((F.sum("real") + F.sum("fake")).alias("comparisons"), F.sum("fake").alias("fake"))
+    return measures.by_run(counts, keys).join(size, keys)
+
+
+def run(spark: SparkSession, sf_dir: str, name: str, eps: float = 1.0, flip: float = 0.4, flavour: str = "clean", features: tuple[str, ...] = ("gender",), classifier: str = "threshold", settings: Linkage = DEFAULT, **options) -> DataFrame:
+    """Counts per group of one scenario: group_id, tp, fp, tn, fn."""
+    found = grid(spark, sf_dir, [Run(name, eps, flip)], flavour, features, (classifier,), settings, **options)
+    return found.select("group_id", "tp", "fp", "tn", "fn")
+
+
+def sweep(spark: SparkSession, sf_dir: str, names=SCENARIOS, eps=(0.1, 1.0, 10.0), flavours=("clean",), classifiers=("threshold",), seeds=(None,), flip: float = 0.4, features: tuple[str, ...] = ("gender",), **options) -> DataFrame:
+    """One row per flavour, scenario, budget and classifier, averaged over the noise's seeds. Each flavour is blocked once."""
+    out = []
+    for flavour in flavours:
+        b = bench(spark, sf_dir, flavour, features, keep=True, attributes=any(c in LEARNED for c in classifiers))
+        runs = [Run(n, e, flip) for n in names for e in eps]
+        for seed in seeds:
+            out.append(summaries(grid(spark, sf_dir, runs, flavour, features, classifiers, seed=seed, b=b, **options)).withColumn("flavour", F.lit(flavour)))
+    every = reduce(DataFrame.unionByName, out)
+    keys = ["flavour", "scenario", "eps", "flip", "classifier"]
+    return every.groupBy(*keys).agg(*(F.avg(c).alias(c) for c in every.columns if c not in keys)) if len(seeds) > 1 else every
+
+
+def dummy_fp_curve(spark: SparkSession, b: Bench, steps: int = 50, eps: float | None = None) -> DataFrame:
+    """flip, dummies, measured: the share of dummies above the threshold with their own source, for all flips 0, 1/steps, .., 1.
+
+    A bit's draw does not depend on the flip, so one pass tells from which flip on it flips: counts of flipped ones and
+    zeros by step, summed up along the steps, give every flip's similarity.
+    """
+    s = b.settings if eps is None else replace(b.settings, eps=eps)
+    groups = [r[0] for r in b.stats.select("group_id").distinct().orderBy("group_id").collect()]
+    chosen = noise.picked(b.blocked, noise.dummy_counts(b.stats, noise.equal_knobs(spark, groups, s), s), settings=s)
+    drawn = chosen.select("rec_id", "table_no", "n_ones", *bits.names(), F.explode(F.sequence(F.lit(0), F.lit(s.n_bits - 1))).alias("bit"))
+    word, place = F.floor(F.col("bit") / 60).cast("int"), F.col("bit") % 60
+    key = F.concat_ws("|", F.lit(f"{s.seed}|flip"), "rec_id", F.col("table_no").cast("string"), word.cast("string"), F.floor(place / 2).cast("string"))
+    u = (F.when(place % 2 == 0, rng.whole(key, 1)).otherwise(rng.whole(key, rng.DIGITS + 1)) + 0.5) / rng.RANGE
+    own = F.expr("array(w0, w1, w2, w3, w4)")
+    one = F.call_function("shiftright", F.get(own, word), place.cast("int")).bitwiseAND(F.lit(1).cast("long"))
+    # The first step whose flip is above the draw.
+    step = F.floor(u * steps).cast("int") + 1
+    cells = drawn.select("rec_id", "table_no", "n_ones", step.alias("step"), one.alias("one")).groupBy("rec_id", "table_no", "n_ones", "step").agg(F.sum("one").alias("ones"), F.sum(1 - F.col("one")).alias("zeros"))
+    rows = cells.groupBy("rec_id", "table_no", "n_ones").agg(F.map_from_entries(F.collect_list(F.struct("step", F.struct("ones", "zeros")))).alias("at"))  # at most steps + 1 entries
+    flat = rows.select("n_ones", F.posexplode(_running(steps)).alias("step", "c"))
+    kept = F.col("n_ones") - F.col("c.ones")
+    sim = bits.dice(kept, F.col("n_ones"), kept + F.col("c.zeros"))
+    return flat.groupBy((F.col("step") / steps).alias("flip")).agg(F.count("*").alias("dummies"), F.avg((sim > s.threshold).cast("double")).alias("measured"))
+
+
+def _running(steps: int) -> F.Column:
+    """Of every step the flipped ones and zeros up to it."""
+    zero = F.struct(F.lit(0).cast("long").alias("ones"), F.lit(0).cast("long").alias("zeros"))
+    at = lambda i: F.coalesce(F.try_element_at(F.col("at"), i), zero)
+    add = lambda acc, i: F.struct((acc["last"]["ones"] + at(i)["ones"]).alias("ones"), (acc["last"]["zeros"] + at(i)["zeros"]).alias("zeros"))
+    start = F.struct(zero.alias("last"), F.array(zero).alias("all"))
+    grown = lambda acc, i: F.struct(add(acc, i).alias("last"), F.concat(acc["all"], F.array(add(acc, i))).alias("all"))
+    return F.aggregate(F.sequence(F.lit(1), F.lit(steps)), start, grown, lambda acc: acc["all"])

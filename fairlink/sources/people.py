@@ -34,8 +34,8 @@ def _word(words: Column, purpose: str, *keys: str) -> Column:
     return F.get(words, F.floor(u * u * F.size(words)).cast("int"))
 
 
-def persons(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One row per customer with all attributes of the person view."""
+def persons(spark: SparkSession, sf_dir: str, copies: int = 1) -> DataFrame:
+    """One row per customer with all attributes of the person view; with more copies, each customer stands for so many persons of other names."""
     # LEXICON words at most.
     words = lexicon(spark, sf_dir).agg(F.sort_array(F.collect_list(F.struct("place", "word"))).alias("s")).select(F.col("s.word").alias("words"))
     region, nation = table(spark, sf_dir, "region"), table(spark, sf_dir, "nation")
@@ -48,6 +48,8 @@ def persons(spark: SparkSession, sf_dir: str) -> DataFrame:
         .join(orders, F.col("c_custkey") == F.col("o_custkey"), "left")
         .join(F.broadcast(words))
     )
+    if copies > 1:
+        base = base.withColumn("_copy", F.explode(F.sequence(F.lit(0), F.lit(copies - 1)))).withColumn("c_custkey", F.col("c_custkey").cast("long") + F.col("_copy") * 1_000_000_000_000)
     return base.select(
         F.col("c_custkey").cast("long").alias("entity_id"),
         _word(F.col("words"), "given", "c_custkey").alias("given"),
@@ -70,14 +72,16 @@ def with_groups(df: DataFrame, features: list[str]) -> DataFrame:
     return made.withColumn("group_id", F.concat_ws("/", *features)).drop("age_band")
 
 
-def parties(spark: SparkSession, sf_dir: str, flavour: str = "clean", features: tuple[str, ...] = ("gender",)) -> DataFrame:
+def parties(spark: SparkSession, sf_dir: str, flavour: str = "clean", features: tuple[str, ...] = ("gender",), share: float = 1.0, copies: int = 1) -> DataFrame:
     """Records of both parties: party, rec_id, entity_id, attributes, group_id.
 
     Flavours: clean; dirty, where half of B's records have one edited attribute; biased, where name,
     suburb and postcode of B's records are replaced, more often for group w; census, as clean
-    (its encoding uses the categorical attributes only).
+    (its encoding uses the categorical attributes only). A share below 1 takes a keyed part of the persons: the smaller pair.
     """
-    people = persons(spark, sf_dir)
+    people = persons(spark, sf_dir, copies)
+    if share < 1:
+        people = people.where(rng.uniform(SEED, "share", "entity_id") < share)
     people = people.withColumn("age_band", F.when(F.col("age") <= 45, "young").otherwise("old")).withColumn("group_id", F.concat_ws("/", *features)).drop("age_band")
     a, b = people.where("lot <> 2").withColumn("party", F.lit("A")), people.where("lot <> 1").withColumn("party", F.lit("B"))
     if flavour == "dirty":
@@ -87,15 +91,29 @@ def parties(spark: SparkSession, sf_dir: str, flavour: str = "clean", features:
     return a.unionByName(b).drop("lot").withColumn("rec_id", F.concat_ws("-", "party", "entity_id"))
 
 
-def documents_as_records(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Texts as records: the first eight words, party by the parity of the source, truth by equal text."""
+def three_parties(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Records of parties A, B and C; the keyed draw that makes two parties leaves every person with two of the three."""
+    people = persons(spark, sf_dir).withColumn("group_id", F.col("gender"))
+    made = [people.where(F.col("lot") != skip).withColumn("party", F.lit(p)) for p, skip in (("A", 2), ("B", 1), ("C", 0))]
+    return reduce(DataFrame.unionByName, made).drop("lot").withColumn("rec_id", F.concat_ws("-", "party", "entity_id"))
+
+
+def documents_as_records(spark: SparkSession, sf_dir: str, tokens: int = 16) -> DataFrame:
+    """Whole texts as records: party by the parity of the source, truth by equal text, tokens by a sketch of all shingles.
+
+    Tokens are the smallest digests of the text's runs of five words (of all its words, where it has fewer), so that a filter
+    of fixed length holds long texts too and near copies share most of them.
+    """
     docs = table(spark, sf_dir, "documents").where("text IS NOT NULL")
     number = F.regexp_extract("source", r"(\d+)$", 1).cast("int")
-    return docs.select(
+    words = F.split("text", "[ \n]+")
+    runs = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size("words") - 4)), lambda i: F.md5(F.array_join(F.slice(F.col("words"), i, 5), " ").cast("binary")))
+    return docs.withColumn("words", words).select(
         F.when(number % 2 == 0, "A").otherwise("B").alias("party"),
+        F.concat(F.lit("doc-"), F.col("doc_id").cast("string")).alias("rec_id"),
         F.col("doc_id").alias("entity_id"),
         F.md5(F.col("text").cast("binary")).alias("truth"),
-        F.concat_ws(" ", F.slice(F.split("text", " "), 1, 8)).alias("head"),
+        F.slice(F.array_sort(F.array_distinct(runs)), 1, tokens).alias("tokens"),
         F.when(F.col("lang") == "en", "en").otherwise("other").alias("group_id"),
     )
 

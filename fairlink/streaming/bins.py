@@ -7,7 +7,6 @@ batch. State and results go below the folder that spark.checkpoint.dir names.
 from __future__ import annotations
 
 import os
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -15,12 +14,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fairlink.functions import rng
+from fairlink.sources import steps
 
 
 def _folder(spark: SparkSession) -> str:
-    """A fresh folder that driver and executors share; a local one only where none is named."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    return f"{named.rstrip('/')}/streams/{uuid.uuid4().hex}" if named else tempfile.mkdtemp(prefix="fairlink-stream-")
+    """A fresh folder that driver and executors share."""
+    return steps.folder(spark, "stream")
 
 
 def source(spark: SparkSession, path: str) -> DataFrame:
