@@ -4,8 +4,6 @@ from __future__ import annotations
 
 import os
 import sys
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 from pathlib import Path
 
@@ -13,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from fairlink.sources import steps
+
 #: Rows that an operator turns into Python objects at a time; Arrow batches themselves hold at
 #: most spark.sql.execution.arrow.maxBytesPerBatch bytes.
 SLICE_ROWS = 256
@@ -86,14 +86,10 @@ class RowBuffer:
 def durable(df: DataFrame) -> DataFrame:
     """Writes the rows as a table in the folder that the cluster names, and reads them from there.
 
-    That cuts the lineage: lost executors repeat nothing before it. spark.checkpoint.dir is read
-    from the session; only where it is unset (tests on one machine) a folder is made here.
+    That cuts the lineage: lost executors repeat nothing before it. The folder is in spark.checkpoint.dir, or in the
+    warehouse where that is unset, never on one machine of a cluster, and goes when the session's process ends.
     """
-    spark = df.sparkSession
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    path = f"{named.rstrip('/')}/fairlink-{uuid.uuid4().hex}" if named else tempfile.mkdtemp(prefix="fairlink-") + "/table"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return steps.written(df, "fairlink")
 
 
 def text_or_empty(name: str = "text"):

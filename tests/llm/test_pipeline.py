@@ -45,3 +45,21 @@ def test_empty_tables(spark, tmp_path):
     spark.createDataFrame([], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
     assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
 
+
+
+def test_cuts_keep_own_replacement_characters(spark, tmp_path):
+    same = "this passage is long enough to be found again in the other text, é"
+    rows = [(1, "start � " + same + "x"), (2, "other � head " + same + "� tail é"), (3, "é" * 20 + "ab" + "ü" * 30), (4, "à" * 3 + "é" * 19 + "ab" + "ü" * 29 + "è")]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    got = {r["doc_id"]: r["text"] for r in corpus_pipeline.cut_repeated_passages(spark, docs, str(tmp_path)).collect()}
+    first: dict = {}
+    for key, text in rows:
+        data = text.encode()
+        for i in range(len(data) - 49):
+            first.setdefault(data[i : i + 50], key)
+    for key, text in rows:
+        data = text.encode()
+        gone = {j for i in range(len(data) - 49) if first[data[i : i + 50]] < key for j in range(i, i + 50)}
+        marked = data.replace("�".encode(), b"\x00\x00\x00")  # as many bytes, valid on their own
+        left = bytes(b for j, b in enumerate(marked) if j not in gone).decode(errors="ignore").replace("\x00\x00\x00", "�")
+        assert got[key] == left
