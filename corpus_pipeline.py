@@ -30,9 +30,12 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 def cut_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     left = passages.without_repeats(docs, ("lang", "source"))
-    # A cut may leave half a character at either side; such halves go too.
+    # A cut may leave half a character at either side; such halves go too. Replacement characters that the text has of its
+    # own are kept: they are spelt as a private sign, which valid text does not hold twice, while halves are looked for.
+    own, sign = F.lit("\ufffd"), F.lit("\U0010fffe\U0010ffff")
     text = F.col("kept").cast("string")
-    text = F.when(F.col("n_removed") == 0, text).otherwise(F.replace(F.make_valid_utf8(text), F.lit("�"), F.lit("")))
+    whole = F.replace(F.replace(F.make_valid_utf8(F.replace(text, own, sign)), own, F.lit("")), sign, own)
+    text = F.when(F.col("n_removed") == 0, text).otherwise(whole)
     return left.withColumn("text", text).withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
 
 
