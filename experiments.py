@@ -8,43 +8,21 @@ from __future__ import annotations
 import sys
 import time
 
-from fairlink.operators import allocate, block, classify, measures, noise, pairs
-from fairlink.plans import scenarios
-from fairlink.settings import DEFAULT
+from fairlink.plans import grids, scenarios
 from pyspark.sql import SparkSession
 
-EPS = (0.1, 1.0, 10.0)
-
 
 def main(sf_dir: str, flavours: list[str]) -> None:
     spark = SparkSession.builder.master("local[8]").config("spark.sql.shuffle.partitions", "8").config("spark.driver.memory", "8g").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
-    print("flavour | feature | scenario | eps | classifier | comparisons | fake pairs | FPR | recall | F* | fairness | seconds")
+    print("flavour | feature | classifier | scenario | eps | comparisons | fake pairs | FPR | recall | F* | fairness")
     for flavour in flavours:
         for feature in ("gender",) if flavour == "census" else ("gender", "age_band"):
-            b = scenarios.bench(spark, sf_dir, flavour, (feature,))
-            b = scenarios.Bench(b.blocked.cache(), b.stats.cache(), b.truth.cache(), b.settings)
-            train, _ = classify.split(scenarios.plain_pairs(b))
-            features = ["sim", "ones_a", "ones_b"]
-            logistic = classify.model("logistic", train, features)
-            for name in ("b1", "b2", "a", "b"):
-                for eps in EPS[:1] if name == "b1" else EPS:
-                    began = time.time()
-                    rows, _ = scenarios.noisy_rows(spark, b, name, eps, DEFAULT.flip)
-                    found = pairs.candidates(*pairs.split(rows)).cache()
-                    total, fake = found.count(), found.where("fake").count()
-                    for kind in ("threshold", "logistic"):
-                        judged = classify.threshold(found) if kind == "threshold" else classify.predict(logistic, found, features)
-                        r = scenarios.summary(measures.confusion(judged, b.truth)).first()
-                        print(f"{flavour} | {feature} | {name} | {eps} | {kind} | {total} | {fake} | {r['fpr']:.5f} | {r['recall']:.4f} | {r['fstar']:.4f} | {r['fairness']:.4f} | {time.time() - began:.1f}", flush=True)
-                    found.unpersist()
-            stats = scenarios.group_stats(b)
-            for eps in (0.1, 10.0):
-                for objective in ("equal", "fairness", "cost"):
-                    knobs = allocate.Knobs((eps * len(stats),) * len(stats), (DEFAULT.flip,) * len(stats), 0, 0) if objective == "equal" else allocate.budgets(stats, eps, DEFAULT.flip, objective)
-                    cost = measures.cost(noise.dummy_counts(b.stats, scenarios.knobs_of(spark, stats, knobs))).orderBy("group_id").collect()
-                    print(f"{flavour} | {feature} | cost of {objective} budgets | {eps} | " + ", ".join(f"{r['group_id']}: {r['pairs']} pairs, {r['fake']} fake" for r in cost), flush=True)
-    print("bins", b.stats.select(*block.BIN).distinct().count())
+            began = time.time()
+            counts = scenarios.grid(spark, sf_dir, grids.four(), flavour, (feature,), ("threshold", "logistic"))
+            for r in scenarios.summaries(counts).orderBy("classifier", "scenario", "eps").collect():
+                print(f"{flavour} | {feature} | {r['classifier']} | {r['scenario']} | {r['eps']} | {r['comparisons']} | {r['fake']} | {r['fpr']:.5f} | {r['recall']:.4f} | {r['fstar']:.4f} | {r['fairness']:.5f}", flush=True)
+            print(f"{flavour} | {feature} | {time.time() - began:.0f} seconds for {len(grids.four())} runs and both classifiers", flush=True)
 
 
 if __name__ == "__main__":

@@ -172,6 +172,59 @@ def test_no_python_and_no_cartesian_product_in_the_pair_plan(bench):
     assert "CartesianProduct" not in plan and "EvalPython" not in plan and "MapIn" not in plan
 
 
+def test_many_runs_are_the_single_ones(spark, bench):
+    runs = [scenarios.Run("b1"), scenarios.Run("b2", 0.2, 0.3), scenarios.Run("b2", 1.0, 0.0), scenarios.Run("b3", 0.5)]
+    counts = {(r["scenario"], r["eps"], r["group_id"]): (r["tp"], r["fp"], r["tn"], r["fn"]) for r in scenarios.grid(spark, "", runs, b=bench).collect()}
+    single = {
+        ("b1", 1.0): bench.blocked.withColumn("is_dummy", F.lit(False)),
+        ("b2", 0.2): noise.feature_dp(bench.blocked, knobs(spark, 0.4, 0.3)),
+        ("b2", 1.0): noise.feature_dp(bench.blocked, knobs(spark, 2.0, 0.0)),
+        ("b3", 0.5): noise.record_dp(bench.blocked, 0.5, 0.4),
+    }
+    for (name, eps), rows in single.items():
+        for r in measures.confusion(classify.threshold(pairs.candidates(*pairs.split(rows))), bench.truth).collect():
+            assert counts[name, eps, r["group_id"]] == (r["tp"], r["fp"], r["tn"], r["fn"])
+
+
+def test_learners_are_judged_on_other_records(spark, small):
+    b = scenarios.bench(spark, small, "dirty", keep=True, attributes=True)
+    own = scenarios.plain_pairs(b)
+    assert scenarios.features_of(b) == ["sim0", "sim1", "sim2", "sim3", "sim4", "sim"] and set(scenarios.features_of(b)) <= set(own.columns)
+    judged = own.where(scenarios.tested()).select("id_a").distinct()
+    assert own.where(~scenarios.tested()).join(judged, "id_a").count() == 0
+    counts = scenarios.grid(spark, small, [scenarios.Run("b1"), scenarios.Run("b2", 0.2)], "dirty", classifiers=("logistic",), b=b).collect()
+    half = b.truth.withColumn("source_a", F.col("id_a")).where(scenarios.tested()).count()
+    assert sum(r["tp"] + r["fn"] for r in counts if r["scenario"] == "b1") == half
+
+
+def test_padded_bins(spark, bench):
+    rows = noise.padded(bench.blocked, 4, 0.3)
+    sizes = rows.groupBy("party", *block.BIN).agg(F.count("*").alias("n"), F.count_if(~F.col("is_dummy")).alias("own"))
+    assert sizes.where("n <> greatest(own, 4)").count() == 0
+    made = rows.where("is_dummy")
+    assert made.select("rec_id", "table_no").distinct().count() == made.count()
+
+
+def test_tiles_hold_every_pair_once(spark, bench):
+    rows = bench.blocked.where("table_no = 0").select("party", "rec_id", "entity_id", "group_id", *bits.names(), "n_ones")
+    found = pairs.candidates(*pairs.split(block.tiles(rows, 3)), scope="all")
+    sides = {r["party"]: r["count"] for r in rows.groupBy("party").count().collect()}
+    assert found.count() == found.select("id_a", "id_b").distinct().count() == sides["A"] * sides["B"]
+
+
+def test_near_labels_by_brute_force(spark, bench):
+    rows = {r["rec_id"]: r for r in bench.blocked.where("table_no = 0").collect()}
+    near = lambda x, y: any((x[f"l{t}"] ^ y[f"l{t}"]).bit_count() <= 1 for t in range(5))
+    want = {(x["rec_id"], y["rec_id"]) for x in rows.values() for y in rows.values() if x["party"] == "A" and y["party"] == "B" and x["group_id"] == y["group_id"] and near(x, y)}
+    found = pairs.near_candidates(*pairs.split(bench.blocked), block.near_labels(bench.stats, DEFAULT.label_bits)).collect()
+    assert len(found) == len(want) and {(r["id_a"], r["id_b"]) for r in found} == want
+
+
+def test_ratio_of_neighbours_stays_near_the_bound(spark):
+    for r in noise.empirical_ratio(spark, 20, 1.0, 20_000).where("own > 800 AND neighbour > 800").collect():
+        assert 1 / (r["bound"] * 1.15) < r["ratio"] < r["bound"] * 1.15
+
+
 def test_bucketed_sink_joins_without_exchange(spark, bench, tmp_path):
     spark.sql(f"CREATE DATABASE IF NOT EXISTS fl LOCATION '{tmp_path}/fl'")
     for p in ("A", "B"):

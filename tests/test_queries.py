@@ -2,11 +2,10 @@
 
 import datetime
 import math
-import os
 
 import duckdb
 import pytest
-from fairlink.plans import catalogue, methods, registry  # noqa: F401
+from fairlink.plans import catalogue, grids, methods, registry  # noqa: F401
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
@@ -29,10 +28,7 @@ def plain(v):
     return f"{float(v):.6g}" if v else "0"
 
 
-NAMES = sorted(registry.ORACLES) if os.environ.get("FAIRLINK_ALL") else sorted(registry.ORACLES)[::3]
-
-
-@pytest.mark.parametrize("name", NAMES)
+@pytest.mark.parametrize("name", sorted(registry.ORACLES))
 def test_matches_sql(spark, small, duck, name):
     found = registry.QUERIES[name](spark, small)
     wanted = duck.execute(registry.ORACLES[name])

@@ -95,3 +95,23 @@ def test_more_than_two_groups():
         assert allocate.harmonic(found) == pytest.approx(0.5, rel=1e-3)
     assert len(allocate.flips(stats, 2.0).flip) == 4
     assert allocate.both(stats[:2], 1.0, 0.4).loss >= 0
+
+
+def test_tuners_of_many_groups():
+    stats = [allocate.GroupStats(f"g{i}", 300 + 90 * i, 310 + 80 * i, 2000, 10 + 25 * i, 8000 + 900 * i, 0.01 * (i % 2)) for i in range(4)]
+    for n in (2, 3, 4):
+        some = stats[:n]
+        both = allocate.both(some, 1.0, 0.1)
+        first = allocate.budgets(some, 1.0, 0.1)
+        fprs = [allocate._fpr(s, e, 0.1, theory.fp_prob_tabled, 1.0) for s, e in zip(some, first.eps, strict=True)]
+        assert both.eps == first.eps and both.loss <= allocate.loss_of(fprs, some) + 1e-9
+        heavy = allocate.budgets(some, 1.0, 0.4, "weighted", weight=100.0)
+        assert abs(allocate.harmonic(heavy) - 1.0) < 1e-9
+        assert heavy.cost <= allocate.budgets(some, 1.0, 0.4, "cost").cost * 1.001
+    tied = [allocate.GroupStats("a", 500, 500, 900, 9, 9000, 0.3), allocate.GroupStats("b", 400, 400, 900, 9, 9000, 0.0)]
+    assert allocate.both(tied, 1.0, 0.4).flip == allocate.flips(tied, 2.0).flip == (0.5, 0.5)
+
+
+def test_tabled_law_is_the_normal_one():
+    for i in range(51):
+        assert abs(theory.fp_prob_tabled(i / 50) - theory.fp_prob_normal(i / 50)) < 2e-7
