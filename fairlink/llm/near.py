@@ -8,8 +8,10 @@ all. Those candidates' sets are written out once, and whatever follows reads the
 
 Documents that share an entry are compared, but not all with all. First each entry's most central
 document (that with the smallest share of hashes of its own) is the query for the entry's other
-documents; what links is joined to classes. Then all pairs of different classes that share an
-entry and could be alike by size are compared, so no link between classes is lost.
+documents; what links is joined to classes. Then pairs of different classes that share an
+entry and could be alike by size are compared, so no link between classes is lost: entries of at most LIGHT documents list
+their pairs, so many a document at most; the documents of a frequent entry are cut by a hash into parts of about GROUP,
+and every two parts meet in a task of their own, in which each document of one is a query to the inverted lists of the other.
 
 A query is answered by DivideSkip over groups of at most GROUP candidates: the inverted lists of the
 query's hashes over the group are divided, the longest are set aside, the short ones are merged on
@@ -39,6 +41,7 @@ from fairlink.llm.passages import _mix
 WORDS = 5
 PERCENT = 80
 GROUP = 256
+LIGHT = 64
 SALTS = 64
 _P = np.uint64(0x9E3779B97F4A7C15)
 _INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 2**64))
@@ -191,14 +194,41 @@ def _central(held: DataFrame) -> DataFrame:
     return found.select("query", F.col("doc_id").alias("member")).distinct()
 
 
-def _rest(held: DataFrame) -> DataFrame:
-    """All pairs of different classes that may be alike by their first common entry."""
-    mixed = held.groupBy("entry").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("entry")
-    left = held.join(mixed, "entry").select("entry", F.col("doc_id").alias("query"), F.col("n").alias("qn"), F.col("comp").alias("qc"), F.col("place").alias("qplace"))
-    found = left.join(held, "entry").where((F.col("query") < F.col("doc_id")) & (F.col("qc") != F.col("comp"))).where(_fits("n", "place", "qn", "qplace"))
+def _mixed(held: DataFrame) -> DataFrame:
+    """Holders of the entries that documents of different classes hold, with the entry's number of holders."""
+    mixed = held.groupBy("entry").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("holders")).where("lo <> hi").select("entry", "holders")
+    return held.join(mixed, "entry")
+
+
+def _rest(holders: DataFrame) -> DataFrame:
+    """The pairs of different classes in entries of LIGHT documents at most that may be alike by their common entry."""
+    light = holders.where(F.col("holders") <= LIGHT)
+    left = light.select("entry", F.col("doc_id").alias("query"), F.col("n").alias("qn"), F.col("comp").alias("qc"), F.col("place").alias("qplace"))
+    found = left.join(light, "entry").where((F.col("query") < F.col("doc_id")) & (F.col("qc") != F.col("comp"))).where(_fits("n", "place", "qn", "qplace"))
     return found.select("query", F.col("doc_id").alias("member")).distinct()
 
 
+def _search_tile(key: tuple, table: pa.Table) -> pa.Table:
+    """Every document of one part asks the lists of the other; of one part alone, each asks those after it."""
+    _, low, high = (k.as_py() for k in key)
+    rows = sorted(zip(*(table.column(c).to_pylist() for c in ("doc_id", "part", "comp", "n", "place", "data")), strict=True), key=lambda r: r[0])
+    found = []
+    for doc, part, comp, n, place, data in rows:
+        if part != low:
+            continue
+        others = [r for r in rows if r[1] == high and r[2] != comp and (low != high or r[0] > doc) and min(n - place, r[3] - r[4]) >= required(n, r[3])]
+        found += [(doc, others[i][0]) for i in alike(np.frombuffer(data, np.uint64), [np.frombuffer(r[5], np.uint64) for r in others])]
+    return pa.table({"a": pa.array([a for a, _ in found], pa.int64()), "b": pa.array([b for _, b in found], pa.int64())})
+
+
+def _searched(holders: DataFrame, sets: DataFrame) -> DataFrame:
+    """The linked pairs of different classes in frequent entries, as (a, b): two parts of an entry's holders a task."""
+    heavy = holders.where(F.col("holders") > LIGHT).withColumn("parts", F.ceil(F.col("holders") / GROUP).cast("int"))
+    own = heavy.withColumn("part", F.pmod(F.xxhash64("doc_id"), "parts").cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    dealt = own.select("entry", F.least("part", "other").alias("low"), F.greatest("part", "other").alias("high"), "doc_id", "part", "comp", "n", "place").join(sets, "doc_id")
+    return dealt.groupBy("entry", "low", "high").applyInArrow(_search_tile, "a long, b long")
+
+
 def linked(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles and component_id of every row."""
     dealt, exchange = deal(docs)
@@ -237,7 +267,8 @@ def linked(docs: DataFrame) -> DataFrame:
     first = verified(durable(_central(held.withColumn("comp", F.col("doc_id")))), sets)
     links = durable(links.unionByName(first))
     comp = durable(classes(vertices, links))
-    more = durable(verified(durable(_rest(held.join(comp, "doc_id"))), sets))
+    holders = durable(_mixed(held.join(comp, "doc_id")))
+    more = durable(verified(durable(_rest(holders)), sets).unionByName(_searched(holders, sets)).distinct())
     if more.take(1):  # classes of classes
         at = lambda c: comp.select(F.col("doc_id").alias(c), F.col("comp").alias(f"{c}c"))
         joined = more.join(at("a"), "a").join(at("b"), "b").select(F.col("ac").alias("a"), F.col("bc").alias("b"))

@@ -560,6 +560,26 @@ def test_classes_over_many_blocks(spark, monkeypatch):
         assert Counter(tuple(r) for r in near.linked(docs).collect()) == brute_classes(rows)
 
 
+def test_frequent_entries_in_tiles(spark, monkeypatch):
+    rng = random.Random(9)
+    # One stock opening that no other part of the texts repeats often, and families of near copies around it.
+    stock = " ".join(f"s{i}" for i in range(12))
+    rows = []
+    for f in range(40):
+        tail = [f"t{f}x{i}" for i in range(rng.randint(0, 3))]
+        for c in range(3):
+            rows.append((len(rows), f"{stock} {' '.join(tail)} {'' if c == 0 else f'c{f}x{c}'}"))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    want = brute_classes(rows)
+    assert Counter(tuple(r) for r in near.linked(docs).collect()) == want
+    monkeypatch.setattr(near, "LIGHT", 3)
+    monkeypatch.setattr(near, "GROUP", 16)
+    assert Counter(tuple(r) for r in near.linked(docs).collect()) == want
+    # Without the first pass every link has to come from the tiles.
+    monkeypatch.setattr(near, "_central", lambda held: held.limit(0).select(F.col("doc_id").alias("query"), F.col("doc_id").alias("member")))
+    assert Counter(tuple(r) for r in near.linked(docs).collect()) == want
+
+
 def test_messages_grow_with_blocks():
     from fairlink.llm import blocks
 
