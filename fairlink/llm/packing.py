@@ -106,7 +106,7 @@ class WordIds:
 
     PLAIN = re.compile("[^\t\n\r\x20-\x7e\xa1-\xbf\xc0-\xff]")
 
-    def __init__(self, path: str, words: int = 400_000):
+    def __init__(self, path: str, words: int = 250_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 

@@ -275,6 +275,7 @@ def learn(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS) -> Model:
     train = durable(docs.select("doc_id", "text").join(small, "doc_id").where("text IS NOT NULL").groupBy("doc_id").agg(F.min("text").alias("text"), F.min("toxic").alias("toxic")).select("text", "toxic"))
 
     def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept("toxicity", dict)  # what another operator left in the worker goes
         count: Counter = Counter()
         rows = lambda: pa.record_batch([pa.array(count.keys(), pa.string()), pa.array(count.values(), pa.int64())], names=["term", "n"])
         for (texts,) in slices(batches, "text"):
@@ -304,8 +305,8 @@ def learn(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS) -> Model:
     toxic = [set(r["terms"]) for r in train.where("toxic = 1").mapInArrow(held, "terms array<string>").collect()]
     toxic.sort(key=sorted)
     chosen = choose(toxic, clean)
-    kept = {s for s in SEEDS if clean[s] < 3 or hits[s] >= clean[s]}
-    lexicon = Lexicon(frozenset(kept | {t for t in chosen if not t.endswith("*")}), frozenset(t[:-1] for t in chosen if t.endswith("*")))
+    held_on = {s for s in SEEDS if clean[s] < 3 or hits[s] >= clean[s]}
+    lexicon = Lexicon(frozenset(held_on | {t for t in chosen if not t.endswith("*")}), frozenset(t[:-1] for t in chosen if t.endswith("*")))
     matched = _matches(train, lexicon, "toxic").groupBy("toxic", *MATCHES).agg(F.count("*").alias("n")).orderBy("toxic", *MATCHES).collect()
     counts = np.array([[r[m] for m in MATCHES] for r in matched], float).reshape(-1, len(MATCHES))
     return Model(lexicon, fit(counts, np.array([r["toxic"] for r in matched], float), np.array([r["n"] for r in matched], float)))
