@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from fairlink.functions import bits, rng
 from fairlink.operators.block import BIN, bin_stats
 from fairlink.settings import DEFAULT, WORD_BITS, WORDS, Linkage
+from fairlink.sources.steps import spread
 
 KEYS = ["party", "table_no", "label", "group_id"]
 
@@ -72,8 +73,10 @@ def fast_mask(name: str, flip: Column, seed: int, *keys: str) -> Column:
 def dummies(chosen: DataFrame, settings: Linkage = DEFAULT) -> DataFrame:
     """Dummy records: the chosen ones with flipped bits, in the same bin whatever the bits say.
 
-    Needs a column flip. The parent stays with the owner.
+    Needs a column flip. The parent stays with the owner. The chosen rows are few but take a digest for every two bits,
+    so they are spread over all tasks.
     """
+    chosen = spread(chosen, "rec_id", "table_no")
     masked = chosen.withColumns({f"w{i}": F.col(f"w{i}").bitwiseXOR(flip_mask(i, F.col("flip"), settings.seed, "rec_id", "table_no")) for i in range(WORDS)})
     own = [c for c in chosen.columns if c[0] == "t" and c[1:2].isdigit()]
     if own:  # the filters of attributes

@@ -17,7 +17,7 @@ from fairlink.functions import bits, rng, theory
 from fairlink.operators import allocate, block, classify, encode, measures, noise, pairs
 from fairlink.settings import DEFAULT, Linkage
 from fairlink.sources import people
-from fairlink.sources.steps import written
+from fairlink.sources.steps import spread, written
 
 SCENARIOS = ("b1", "b2", "b3", "a", "b")
 LEARNED = ("logistic", "logistic_plain", "tree", "forest", "svm")
@@ -49,7 +49,7 @@ def bench(
 ) -> Bench:
     """With `keep` the blocked rows are written, for plans that read them more than once."""
     records = people.parties(spark, sf_dir, flavour, features, share)
-    encoded = encode.encoded(records, settings, flavour == "census", rounds, attributes)
+    encoded = encode.encoded(spread(records, "rec_id") if keep else records, settings, flavour == "census", rounds, attributes)
     blocked = block.bit_labels(encoded, settings)
     if keep:
         blocked = written(blocked, "blocked")

@@ -21,3 +21,11 @@ def written(df: DataFrame, name: str = "step") -> DataFrame:
     path = folder(df.sparkSession, name)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def spread(df: DataFrame, *keys: str) -> DataFrame:
+    """Rows dealt by keys to as many tasks as the session shuffles to, for work that is heavy per byte.
+
+    Adaptive execution merges small partitions by their bytes; digests per bit or token would then be left to a few tasks.
+    """
+    return df.repartition(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), *keys)
