@@ -30,8 +30,8 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 def cut_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     left = passages.without_repeats(docs, ("lang", "source"))
-    # A cut may leave half a character at either side; such halves go too. Replacement characters that the text has of its
-    # own are kept: they are spelt as a private sign, which valid text does not hold twice, while halves are looked for.
+    # A cut may leave half a character at either side; such halves go too. Replacement characters that a text has of its
+    # own stay: while halves are looked for, a pair of code points that stand for no character takes their place.
     own, sign = F.lit("\ufffd"), F.lit("\U0010fffe\U0010ffff")
     text = F.col("kept").cast("string")
     whole = F.replace(F.replace(F.make_valid_utf8(F.replace(text, own, sign)), own, F.lit("")), sign, own)
