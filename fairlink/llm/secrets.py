@@ -234,15 +234,20 @@ def train(docs: DataFrame, findings: DataFrame | None = None, trees: int = TREES
 def findings_of(text: Column, forest: Forest) -> Column:
     """The candidates of a text with their votes: structs of place, value, votes."""
 
-    def judged(words: Column) -> Column:
+    def judged(words: Column, names: bool) -> Column:
         def candidate(word: Column, i: Column) -> Column:
             before = F.concat_ws(" ", F.get(words, i - 2), F.get(words, i - 1))
-            likely = (F.length(word) >= SHORTEST) & (word.rlike(KEYLIKE) | word.rlike(LETTERS)) | (F.length(word) >= 6) & (word.rlike(ASSIGNED) | awaited(before, word) | word.rlike(LOGIN))
+            likely = (F.length(word) >= SHORTEST) & (word.rlike(KEYLIKE) | word.rlike(LETTERS))
+            if names:
+                likely = likely | (F.length(word) >= 6) & (word.rlike(ASSIGNED) | awaited(before, word) | word.rlike(LOGIN))
             return F.when(likely, F.struct(i.alias("place"), value_of(word, before).alias("value"), before.alias("before"), word.alias("word")))
 
         return F.filter(F.transform(words, candidate), lambda x: x.isNotNull() & ((F.length(x["value"]) >= 6) | x["word"].rlike(LOGIN)))
 
-    scored = F.transform(bound(words_of(text), judged), lambda c: F.struct(c["place"].alias("place"), c["value"].alias("value"), features(c["value"], c["before"], c["word"], forest.words).alias("f")))
+    # Only a text with a credential name before = or :, or with an address, can hold what those patterns find word by word.
+    may = text.rlike(NAMED + r"\s*[=:]") | text.contains("://")
+    found = bound(words_of(text), lambda words: F.when(may, judged(words, True)).otherwise(judged(words, False)))
+    scored = F.transform(found, lambda c: F.struct(c["place"].alias("place"), c["value"].alias("value"), features(c["value"], c["before"], c["word"], forest.words).alias("f")))
 
     def voted(c: Column) -> Column:
         total = sum((tree_column(t, c["f"]) for t in forest.trees), F.lit(0.0))
