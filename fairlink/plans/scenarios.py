@@ -167,9 +167,7 @@ def grid(
             truth = truth.withColumn("source_a", F.col("id_a")).where(tested())
         else:
             judge = lambda rows: classify.threshold(rows, s.threshold)
-        counts = measures.confusion(judge(plain), truth).withColumn("real", F.col("tp") + F.col("fp") + F.col("tn"))
-        found = judge(plain).groupBy("group_id").agg(F.count("*").alias("real"))
-        counts = counts.drop("real").join(found, "group_id", "left")
+        counts = measures.confusion(judge(plain), truth).join(judge(plain).groupBy("group_id").agg(F.count("*").alias("real")), "group_id", "left")
         if other is not None:
             added = judge(other).groupBy("run", "group_id").agg(F.count_if("pred").alias("dfp"), F.count_if(~F.col("pred")).alias("dtn"))
         else:
