@@ -33,7 +33,7 @@ from fairlink.llm.common import give_back, kept, text_or_empty
 
 BLOCK_BYTES = 4_000_000
 BLOCKS_PER_BUCKET = 3
-SLICE_BYTES = 1_000_000
+SLICE_BYTES = 500_000
 FAN = 8192
 #: a, b: the relay, bucket (a is 0) or block (b is 0) that a message is for.
 LETTERS = "a long, b long, payload binary"

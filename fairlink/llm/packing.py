@@ -28,6 +28,7 @@ from fairlink.llm.common import RowBuffer, kept, slices
 
 WINDOW = 2048
 END_ID = 1
+CACHED_WORDS = 400_000
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 _SCHEMA = pa.schema([(x.split()[0], pa.int64()) for x in PIECES.split(", ")])
 
@@ -106,7 +107,7 @@ class WordIds:
 
     PLAIN = re.compile("[^\t\n\r\x20-\x7e\xa1-\xbf\xc0-\xff]")
 
-    def __init__(self, path: str, words: int = 250_000):
+    def __init__(self, path: str, words: int):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -165,9 +166,9 @@ class WordIds:
         return [b"".join(found) for found in out]
 
 
-def encoder(path: str) -> WordIds:
+def encoder(path: str, words: int) -> WordIds:
     """One encoder a worker process, kept from task to task."""
-    return kept(("words", path), lambda: WordIds(path))
+    return kept(("words", path, words), lambda: WordIds(path, words))
 
 
 def pack_task(rows: Iterator[tuple[int, bytes]], first_id: int, window: int, end_id: int) -> Iterator[tuple]:
@@ -196,11 +197,14 @@ def pack_task(rows: Iterator[tuple[int, bytes]], first_id: int, window: int, end
         yield from put(pieces)
 
 
-def pack(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_id: int = END_ID) -> DataFrame:
-    """One row per piece: where its ids lie in the document and in which window at which offset."""
+def pack(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_id: int = END_ID, words: int = CACHED_WORDS) -> DataFrame:
+    """One row per piece: where its ids lie in the document and in which window at which offset.
+
+    words: how many words a worker keeps the ids of, in each of two generations; rows do not depend on it.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids = encoder(vocabulary)
+        ids = encoder(vocabulary, words)
         out = RowBuffer(_SCHEMA)
 
         def rows() -> Iterator[tuple[int, bytes]]:
