@@ -46,7 +46,8 @@ def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 def pack_windows(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
-    return packing.pack(docs, public_tokenizers.path("word_bpe_49k.json"))
+    # Executors that have run the stages before have less memory left for the cache of words.
+    return packing.pack(docs, public_tokenizers.path("word_bpe_49k.json"), words=120_000)
 
 
 STAGES = [
