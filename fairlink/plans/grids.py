@@ -118,7 +118,7 @@ _FPR = "(CASE WHEN c.fp + c.tn = 0 THEN 0.0 ELSE c.fp / (c.fp + c.tn)::DOUBLE EN
 _P_FPR = f"(({false_match('c.flip')} * {_EXPECTED} + g.fp) / ({_EXPECTED} + neg))"
 
 
-@query(runs_sql(f"SELECT c.flip, c.eps, c.group_id, round({_FPR}, 6) AS fpr, round({_P_FPR}, 6) AS predicted_fpr, round({_P_FPR} - {_FPR}, 6) AS fpr_error, c.fake, round({_EXPECTED}, 6) AS predicted_fake, round({_EXPECTED} - c.fake, 6) AS fake_error FROM cells c JOIN gst g USING (group_id)", rising()))
+@query(runs_sql(f"SELECT c.flip, c.eps, c.group_id, round({_FPR}, 6) AS fpr, round({_P_FPR}, 6) AS predicted_fpr, round({_P_FPR} - {_FPR}, 6) + 0::DOUBLE AS fpr_error, c.fake, round({_EXPECTED}, 6) AS predicted_fake, round({_EXPECTED} - c.fake, 6) + 0::DOUBLE AS fake_error FROM cells c JOIN gst g USING (group_id)", rising()))
 def curve_fpr_eps(spark, sf_dir):
     """False-positive rate over budgets for three clean flips, threshold classifier."""
     return _curve_eps(spark, sf_dir, "threshold")
@@ -139,7 +139,7 @@ _MEASURED = f"""SELECT flip, count(*) AS dummies, avg(CASE WHEN 2.0 * kept / (n_
 _NORMAL = f"(CASE WHEN cut IS NULL THEN 0.0 ELSE 0.5 * (1 - {_erf('((cut - 150) / sqrt(150.0::DOUBLE))')}) END)"
 
 
-@query(sql(f"SELECT flip, dummies, round(measured, 6) AS measured, round({_NORMAL}, 6) AS normal, round({_NORMAL} - measured, 6) AS error FROM measured JOIN {_FLIPS} USING (flip)", "chosen", recs=_HALF, draws=_DRAWS, measured=_MEASURED))
+@query(sql(f"SELECT flip, dummies, round(measured, 6) AS measured, round({_NORMAL}, 6) AS normal, round({_NORMAL} - measured, 6) + 0::DOUBLE AS error FROM measured JOIN {_FLIPS} USING (flip)", "chosen", recs=_HALF, draws=_DRAWS, measured=_MEASURED))
 def curve_dummy_fp(spark, sf_dir):
     """Chance of a dummy's false match over flips 0, 0.02, .., 1 on the smaller pair of parties: measured, predicted, error."""
     found = scenarios.dummy_fp_curve(spark, scenarios.bench(spark, sf_dir, share=0.5))
