@@ -8,12 +8,12 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fairlink.functions import rng, theory
+from fairlink.functions import theory
 from fairlink.operators import block, classify, encode, measures, noise, pairs
 from fairlink.plans import scenarios
 from fairlink.plans.methods import _AGE, _BIASED, _DIRTY, _FLIPS, _RECS, _edit_sql
-from fairlink.plans.oracle import CENSUS, COMMON, EARLIER, ONES, RATES, STEPS, SUMMARY, TOKENS, _conf, _erf, encoded, expected_fakes, false_match, label, rate, runs_sql, sql, u
-from fairlink.plans.registry import query, r6, rounded
+from fairlink.plans.oracle import CENSUS, COMMON, EARLIER, ONES, RATES, STEPS, SUMMARY, TOKENS, _conf, _erf, encoded, false_match, label, rate, runs_sql, sql, u
+from fairlink.plans.registry import query, rounded
 from fairlink.plans.scenarios import Run
 from fairlink.settings import DEFAULT
 from fairlink.sources import people
