@@ -113,7 +113,7 @@ def deal(docs: DataFrame, carry: tuple[str, ...] = (), block_bytes: int = BLOCK_
     """(block, doc_id, text, carried columns) and the exchange between so many blocks."""
     total = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     blocks = max(1, math.ceil(total / block_bytes))
-    dealt = docs.select(F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)).cast("int").alias("block"), "doc_id", text_or_empty().alias("text"), *carry)
+    dealt = docs.select(F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)).cast("long").alias("block"), "doc_id", text_or_empty().alias("text"), *carry)
     return dealt, Exchange(blocks, max(1, math.ceil(blocks / BLOCKS_PER_BUCKET)), fan)
 
 

@@ -609,6 +609,22 @@ def test_messages_grow_with_blocks():
     assert many / more <= 4.5 * few / steps
 
 
+@pytest.fixture
+def apart(spark, monkeypatch):
+    """Small blocks, and partitions that stay apart: small inputs are joined to one partition else, where all keys meet."""
+    from fairlink.llm import blocks
+
+    for operator in (passages, near):
+        monkeypatch.setattr(operator, "deal", lambda docs, carry=(): blocks.deal(docs, carry, 4000))
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    yield
+    spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+
+
+def test_repeats_in_partitions_apart(odd, apart):
+    assert Counter(tuple(r) for r in passages.repeats(odd).collect()) == brute_repeats([(r[0], r[1] or "") for r in odd_rows()])
+
+
 def test_rows_without_id_spread(spark):
     from fairlink.llm import blocks
 
