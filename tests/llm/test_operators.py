@@ -625,6 +625,10 @@ def test_repeats_in_partitions_apart(odd, apart):
     assert Counter(tuple(r) for r in passages.repeats(odd).collect()) == brute_repeats([(r[0], r[1] or "") for r in odd_rows()])
 
 
+def test_classes_in_partitions_apart(odd, apart):
+    assert Counter(tuple(r) for r in near.linked(odd).collect()) == brute_classes([(r[0], r[1] or "") for r in odd_rows()])
+
+
 def test_rows_without_id_spread(spark):
     from fairlink.llm import blocks
 
