@@ -40,6 +40,11 @@ def test_matches_sql(spark, small, duck, name):
     assert left == right
 
 
+@pytest.mark.parametrize("name", ["budget_overall"])
+def test_reads_a_table(spark, small, name):
+    assert registry.QUERIES[name](spark, small).inputFiles()
+
+
 def test_stateful_stream(spark, tmp_path):
     from fairlink.streaming import bins
 
