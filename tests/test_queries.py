@@ -40,7 +40,7 @@ def test_matches_sql(spark, small, duck, name):
     assert left == right
 
 
-@pytest.mark.parametrize("name", ["budget_overall", "dp_ratio", "dummy_dice_curve", "expected_dummies", "fn_erf", "fn_laplace", "fp_prob_exact", "fp_prob_flip_noise"])
+@pytest.mark.parametrize("name", ["budget_overall", "dp_ratio", "dummy_dice_curve", "expected_dummies", "fn_erf", "fn_laplace", "fp_prob_exact", "fp_prob_flip_noise", "fp_prob_normal"])
 def test_reads_a_table(spark, small, name):
     assert registry.QUERIES[name](spark, small).inputFiles()
 
