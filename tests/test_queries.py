@@ -45,6 +45,14 @@ def test_reads_a_table(spark, small, name):
     assert registry.QUERIES[name](spark, small).inputFiles()
 
 
+def test_statistics_of_equal_balances(spark, tmp_path):
+    rows = [(k, "x", b) for k, b in ((9, 1.0), (4, 1.0), (7, 5.0), (2, 5.0), (5, 3.0), (1, None))]
+    for order in (rows, rows[::-1]):
+        spark.createDataFrame(order, "c_custkey long, c_mktsegment string, c_acctbal double").coalesce(1).write.mode("overwrite").parquet(f"{tmp_path}/customer.parquet")
+        found = catalogue.agg_statistics(spark, str(tmp_path)).first()
+        assert (found["poorest"], found["richest"]) == (4, 2)
+
+
 def test_stateful_stream(spark, tmp_path):
     from fairlink.streaming import bins
 
