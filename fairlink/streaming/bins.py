@@ -36,9 +36,9 @@ def _glob(folder: str, name: str) -> str:
     return f"{folder}/{name[:-1]}[{name[-1]}]"
 
 
-def run(stream: DataFrame, spark: SparkSession, mode: str = "append") -> DataFrame:
-    """The stream's output over all that is there. Append writes files, complete a memory table."""
-    folder = _folder(spark)
+def run(stream: DataFrame, spark: SparkSession, mode: str = "append", folder: str | None = None) -> DataFrame:
+    """The stream's output over all that is there. Append writes files, complete a memory table. In a folder of an earlier run it goes on."""
+    folder = folder or _folder(spark)
     writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True)
     if mode == "append":
         writer.format("parquet").option("path", f"{folder}/out").start().awaitTermination()
@@ -55,10 +55,26 @@ def windowed(spark: SparkSession, path: str, size: str, slide: str | None = None
     return run(counts, spark, "complete").select("w.start", "event_type", "n")
 
 
+#: Every row of a table counts, however late it comes: so long a session's state is kept open.
+LATEST = "36500 days"
+
+
 def sessions(spark: SparkSession, path: str, gap: str) -> DataFrame:
-    """Events per user and session."""
-    counts = source(spark, path).withWatermark("ts", "1 hour").groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n"))
-    return run(counts, spark, "complete").select("user_id", "w.start", "n")
+    """Events per user and session.
+
+    Append mode writes sessions to files from the executors, none to the driver, but closed ones only. So the stream
+    reads a second folder too: it is empty at first, and when all events are in the state it gets one row
+    of no user, later than any event, with which the stream goes on, and which closes them.
+    """
+    folder = _folder(spark)
+    end = spark.sql("SELECT CAST(NULL AS BIGINT) AS user_id, TIMESTAMP'9999-01-01' AS ts, true AS closing")
+    end.limit(0).write.parquet(f"{folder}/end")
+    events = source(spark, path).select(F.col("user_id").cast("long").alias("user_id"), "ts", F.lit(False).alias("closing"))
+    both = events.unionByName(spark.readStream.schema(end.schema).parquet(f"{folder}/end")).withWatermark("ts", LATEST)
+    counts = both.groupBy(F.session_window("ts", gap).alias("w"), "user_id", "closing").agg(F.count("*").alias("n"))
+    run(counts, spark, folder=folder)
+    end.write.mode("append").parquet(f"{folder}/end")
+    return run(counts, spark, folder=folder).where("NOT closing").select("user_id", "w.start", "n")
 
 
 def deduplicated(spark: SparkSession, path: str) -> DataFrame:

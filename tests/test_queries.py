@@ -53,6 +53,18 @@ def test_statistics_of_equal_balances(spark, tmp_path):
         assert (found["poorest"], found["richest"]) == (4, 2)
 
 
+def test_sessions_of_late_files(spark, tmp_path):
+    """Sessions over several files out of order, kept in files and not in a table of the driver."""
+    from fairlink.streaming import bins
+
+    at = lambda day, hour: datetime.datetime(2024, 1, day, hour)
+    for rows in ([(1, at(20, 0)), (1, at(20, 7)), (2, at(20, 1))], [(1, at(2, 0)), (1, at(20, 3)), (None, at(3, 0))], [(2, at(20, 6))]):
+        spark.createDataFrame(rows, "user_id long, ts timestamp").coalesce(1).write.mode("append").parquet(f"{tmp_path}/events.parquet")
+    found = bins.sessions(spark, f"{tmp_path}/events.parquet", "6 hours")
+    assert found.inputFiles()
+    assert sorted((r["user_id"] or 0, r["n"]) for r in found.collect()) == [(0, 1), (1, 1), (1, 3), (2, 2)]
+
+
 def test_stateful_stream(spark, tmp_path):
     from fairlink.streaming import bins
 
