@@ -10,7 +10,7 @@ Documents that share an entry are compared, but not all with all. First each ent
 document (that with the smallest share of hashes of its own) is the query for the entry's other
 documents; what links is joined to classes. Then pairs of different classes that share an
 entry and could be alike by size are compared, so no link between classes is lost: entries of at most LIGHT documents list
-their pairs, so many a document at most; the documents of a frequent entry are cut by a hash into parts of about GROUP,
+their pairs, so many a document at most; the documents of a frequent entry are cut by a hash into parts of about 2 * GROUP,
 and every two parts meet in a task of their own, in which each document of one is a query to the inverted lists of the other.
 
 A query is answered by DivideSkip over groups of at most GROUP candidates: the inverted lists of the
@@ -19,6 +19,10 @@ a heap, and what occurs there often enough is probed in the long lists by binary
 reaches the required overlap is checked with whole sizes. Groups are cut by a hash, so a query
 with very many candidates is spread over tasks.
 
+Before sets travel, pairs are held against parities: a set of n hashes has as many bits as the power of two from n on, and
+each says whether an odd number of its hashes falls there. Two parities differ in no more bits than the sets in hashes, so
+a pair that differs in more bits than alike sets may is none; no link is lost, and few sets of other pairs are sent.
+
 Words are runs without ASCII white space with A-Z in lower case. A text with fewer words than
 five is one shingle, its words in sequence; without words or with null text the set is empty and
 links with nothing. Rows of one doc_id are one vertex; rows without doc_id keep a null class.
@@ -43,6 +47,7 @@ PERCENT = 80
 GROUP = 256
 LIGHT = 64
 SALTS = 64
+FEW = 100_000
 _P = np.uint64(0x9E3779B97F4A7C15)
 _INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 2**64))
 
@@ -137,9 +142,47 @@ def alike(query: np.ndarray, sets: list[np.ndarray], percent: int = PERCENT) ->
     return [i for i, n in divide_skip(lists, min(need.values())) if n >= need[i]]
 
 
+def parities(own: np.ndarray) -> np.ndarray:
+    """Words of 64 bits; bit i says whether an odd number of hashes is i modulo the number of bits, a power of two from len(own) on."""
+    size = 64
+    while size < len(own):
+        size *= 2
+    odd = np.bincount((own & np.uint64(size - 1)).astype(np.int64), minlength=size) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.int64)
+
+
+def differing(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """In how many parities one row differs from each of many; the longer are folded to as many words as the shorter have."""
+    sides = []
+    for words in (a, b):
+        while words.shape[-1] > min(a.shape[-1], b.shape[-1]):
+            half = words.shape[-1] // 2
+            words = words[..., :half] ^ words[..., half:]
+        sides.append(words)
+    # Of a negative number bitwise_count counts the bits of its absolute value.
+    return np.bitwise_count((sides[0] ^ sides[1]).view(np.uint64)).sum(-1, dtype=np.int64)
+
+
+def _at_odds(a: str, b: str, n: str, m: str) -> Column:
+    """Whether sets of n and m hashes differ in more parities than alike sets may. Alike sizes' parities differ by a factor of two at most."""
+    size = F.least(F.size(a), F.size(b))
+    xor = lambda x, y: x.bitwiseXOR(y)
+    half = lambda c: F.when(F.size(c) > size, F.zip_with(F.slice(c, F.lit(1), size), F.slice(c, size + 1, size), xor)).otherwise(F.col(c))
+    differ = F.aggregate(F.zip_with(half(a), half(b), xor), F.lit(0), lambda total, x: total + F.bit_count(x).cast("int"))
+    far = F.expr(f"100 * least({n}, {m}) < {PERCENT} * greatest({n}, {m})")
+    return far | (differ > F.expr(f"({n} + {m}) - 2 * (({PERCENT} * ({n} + {m}) + {99 + PERCENT}) div {100 + PERCENT})"))
+
+
+def plausible(pairs: DataFrame, marks: DataFrame) -> DataFrame:
+    """The pairs (query, member) whose parities do not rule them out; marks: doc_id, n, parity."""
+    own = pairs.join(marks.toDF("query", "qn", "qparity"), "query")
+    both = own.join(marks.toDF("member", "mn", "mparity"), "member")
+    return both.where(~_at_odds("qparity", "mparity", "qn", "mn")).select("query", "member").distinct()
+
+
 def _answer(key: tuple, table: pa.Table) -> pa.Table:
     queries, members = [], []
-    for doc, query, data in zip(*(table.column(c).to_pylist() for c in ("doc", "is_query", "data")), strict=True):
+    for doc, query, data in zip(*(table.column(c).to_pylist() for c in ("doc_id", "is_query", "data")), strict=True):
         (queries if query else members).append((doc, np.frombuffer(data, np.uint64)))
     found = [(q, members[i][0]) for q, own in queries for i in alike(own, [s for _, s in members])]
     return pa.table({"a": pa.array([a for a, _ in found], pa.int64()), "b": pa.array([b for _, b in found], pa.int64())})
@@ -149,12 +192,15 @@ def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """The pairs (query, member) that have the required overlap, as (a, b)."""
     counts = pairs.groupBy("query").agg(F.ceil(F.count("*") / GROUP).cast("int").alias("parts"))
     asked = pairs.join(counts, "query").withColumn("part", F.pmod(F.xxhash64("member"), "parts").cast("int"))
-    members = asked.join(sets.withColumnRenamed("doc_id", "member"), "member").select("query", "part", F.col("member").alias("doc"), F.lit(False).alias("is_query"), "data")
-    queries = (
-        counts.join(sets.withColumnRenamed("doc_id", "query"), "query")
-        .select("query", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.col("query").alias("doc"), F.lit(True).alias("is_query"), "data")
-    )
-    return members.unionByName(queries).groupBy("query", "part").applyInArrow(_answer, "a long, b long")
+    members = asked.select("query", "part", F.col("member").alias("doc_id"), F.lit(False).alias("is_query"))
+    queries = counts.select("query", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.col("query").alias("doc_id"), F.lit(True).alias("is_query"))
+    return _with_sets(members.unionByName(queries), sets).groupBy("query", "part").applyInArrow(_answer, "a long, b long")
+
+
+def _with_sets(rows: DataFrame, sets: DataFrame) -> DataFrame:
+    """The rows with their documents' sets, which are dealt once at most: FEW rows or less are sent to them instead."""
+    asked = durable(rows)
+    return sets.join(F.broadcast(asked) if asked.count() <= FEW else asked, "doc_id")
 
 
 def classes(vertices: DataFrame, edges: DataFrame) -> DataFrame:
@@ -221,11 +267,38 @@ def _search_tile(key: tuple, table: pa.Table) -> pa.Table:
     return pa.table({"a": pa.array([a for a, _ in found], pa.int64()), "b": pa.array([b for _, b in found], pa.int64())})
 
 
-def _searched(holders: DataFrame, sets: DataFrame) -> DataFrame:
+def _hopeful_tile(key: tuple, table: pa.Table) -> pa.Table:
+    """The documents of a tile that have a partner there which neither their places nor their parities rule out."""
+    entry, low, high = (k.as_py() for k in key)
+    column = lambda c: table.column(c).to_numpy()
+    doc, part, comp, n, left = column("doc_id"), column("part"), column("comp"), column("n"), column("n") - column("place")
+    parity = table.column("parity").combine_chunks()
+    words, starts = parity.values.to_numpy(), parity.offsets.to_numpy()
+    sizes = np.diff(starts)
+    others = [np.flatnonzero((sizes == s) & (part == high)) for s in np.unique(sizes)]
+    kinds = [(rows, words[starts[rows][:, None] + np.arange(sizes[rows[0]])]) for rows in others if len(rows)]
+    hopeful = np.zeros(len(doc), bool)
+    for i in np.flatnonzero(part == low):
+        mine = words[starts[i] : starts[i + 1]]
+        for rows, theirs in kinds:
+            need = -(-PERCENT * (n[i] + n[rows]) // (100 + PERCENT))
+            fit = (comp[rows] != comp[i]) & (np.minimum(left[i], left[rows]) >= need)
+            if fit.any():
+                near = rows[fit][differing(mine, theirs[fit]) <= n[i] + n[rows[fit]] - 2 * need[fit]]
+                hopeful[near] = True
+                hopeful[i] |= len(near) > 0
+    found = np.unique(doc[hopeful])
+    same = lambda x, kind: pa.array(np.full(len(found), x), kind)
+    return pa.table({"entry": same(entry, pa.int64()), "low": same(low, pa.int32()), "high": same(high, pa.int32()), "doc_id": pa.array(found, pa.int64())})
+
+
+def _searched(holders: DataFrame, sets: DataFrame, marks: DataFrame) -> DataFrame:
     """The linked pairs of different classes in frequent entries, as (a, b): two parts of an entry's holders a task."""
-    heavy = holders.where(F.col("holders") > LIGHT).withColumn("parts", F.ceil(F.col("holders") / GROUP).cast("int"))
+    heavy = holders.where(F.col("holders") > LIGHT).withColumn("parts", F.ceil(F.col("holders") / (2 * GROUP)).cast("int"))
     own = heavy.withColumn("part", F.pmod(F.xxhash64("doc_id"), "parts").cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    dealt = own.select("entry", F.least("part", "other").alias("low"), F.greatest("part", "other").alias("high"), "doc_id", "part", "comp", "n", "place").join(sets, "doc_id")
+    tiles = durable(own.select("entry", F.least("part", "other").alias("low"), F.greatest("part", "other").alias("high"), "doc_id", "part", "comp", "n", "place"))
+    hopeful = tiles.join(marks.select("doc_id", "parity"), "doc_id").groupBy("entry", "low", "high").applyInArrow(_hopeful_tile, "entry long, low int, high int, doc_id long")
+    dealt = _with_sets(tiles.join(durable(hopeful), ["entry", "low", "high", "doc_id"]), sets)
     return dealt.groupBy("entry", "low", "high").applyInArrow(_search_tile, "a long, b long")
 
 
@@ -236,7 +309,7 @@ def linked(docs: DataFrame) -> DataFrame:
 
     def candidates(key: tuple, rows: pa.Table, told: pa.Table) -> pa.Table:
         codes, grades = known(told, buckets)
-        out: dict[str, list] = {c: [] for c in ("doc_id", "n", "same", "own", "entries", "places", "data")}
+        out: dict[str, list] = {c: [] for c in ("doc_id", "n", "same", "own", "entries", "places", "parity", "data")}
         seen: dict[tuple[int, bytes], int] = {}
         for texts, keys in chunks(rows, "doc_id"):
             for doc, own in zip(keys, shingle_sets(texts), strict=True):
@@ -252,23 +325,24 @@ def linked(docs: DataFrame) -> DataFrame:
                 out["own"].append(alone / max(1, len(own)))
                 out["entries"].append(prefix.view(np.int64).tolist() if chosen else None)
                 out["places"].append(place.tolist() if chosen else None)
+                out["parity"].append(parities(own) if chosen else None)
                 out["data"].append(data if chosen else None)
         give_back()
-        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.binary())
+        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int64()), pa.binary())
         return pa.table([pa.array(v, k) for v, k in zip(out.values(), kinds, strict=True)], names=list(out))
 
     told = shared(dealt, shingle_sets, exchange)
-    every = durable(dealt.groupBy("block").cogroup(told.groupBy("a")).applyInArrow(candidates, "doc_id long, n long, same long, own double, entries array<long>, places array<int>, data binary"))
+    every = durable(dealt.groupBy("block").cogroup(told.groupBy("a")).applyInArrow(candidates, "doc_id long, n long, same long, own double, entries array<long>, places array<int>, parity array<long>, data binary"))
     some = every.where("data IS NOT NULL")
-    sets = some.select("doc_id", "data")
+    sets, marks = some.select("doc_id", "data"), some.select("doc_id", "n", "parity")
     held = some.select("doc_id", "n", "own", F.explode(F.arrays_zip("entries", "places")).alias("e")).select("doc_id", "n", "own", F.col("e.entries").alias("entry"), F.col("e.places").alias("place"))
     vertices = every.where("doc_id IS NOT NULL").select("doc_id").distinct()
     links = every.where("same <> doc_id").select(F.col("same").alias("a"), F.col("doc_id").alias("b"))
-    first = verified(durable(_central(held.withColumn("comp", F.col("doc_id")))), sets)
+    first = verified(durable(plausible(_central(held.withColumn("comp", F.col("doc_id"))), marks)), sets)
     links = durable(links.unionByName(first))
     comp = durable(classes(vertices, links))
     holders = durable(_mixed(held.join(comp, "doc_id")))
-    more = durable(verified(durable(_rest(holders)), sets).unionByName(_searched(holders, sets)).distinct())
+    more = durable(verified(durable(plausible(_rest(holders), marks)), sets).unionByName(_searched(holders, sets, marks)).distinct())
     if more.take(1):  # classes of classes
         at = lambda c: comp.select(F.col("doc_id").alias(c), F.col("comp").alias(f"{c}c"))
         joined = more.join(at("a"), "a").join(at("b"), "b").select(F.col("ac").alias("a"), F.col("bc").alias("b"))

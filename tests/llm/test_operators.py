@@ -652,3 +652,40 @@ def test_class_rounds_are_few(spark):
     random.Random(1).shuffle(ids)
     edges = spark.createDataFrame(list(zip(ids, ids[1:], strict=False)), "a long, b long")
     assert near.classes(spark.range(152).withColumnRenamed("id", "doc_id"), edges).groupBy("comp").count().count() == 3
+
+
+@settings(max_examples=80, deadline=None)
+@given(st.lists(st.integers(0, 2**64 - 1), min_size=1, max_size=300, unique=True), st.integers(0, 300), st.integers(0, 300))
+def test_parities_rule_out_no_more_than_differs(values, start, stop):
+    own, other = np.array(values, np.uint64), np.array(values[min(start, stop) : max(start, stop)] or values[:1], np.uint64)
+    assert near.differing(near.parities(own), near.parities(other)) <= len(np.setxor1d(own, other))
+
+
+def test_sets_of_hopeless_pairs_stay(spark):
+    from pyspark.sql import types as T
+
+    rng = np.random.default_rng(2)
+    base = rng.integers(0, 2**63, 400, np.uint64)
+    mixed = lambda keep: np.unique(np.r_[base[:keep], rng.integers(0, 2**63, 400 - keep, np.uint64)])
+    sets = [mixed(400), *(mixed(k) for k in (400, 390, 362, 300, 200, 100, 20) for _ in range(6)), base[:330], base[:200]]
+    marks = spark.createDataFrame([(i, len(x), near.parities(x).tolist()) for i, x in enumerate(sets)], T.StructType().add("doc_id", "long").add("n", "long").add("parity", T.ArrayType(T.LongType())))
+    pairs = [(i, j) for i in range(len(sets)) for j in range(i)]
+    alike = {(i, j) for i, j in pairs if 100 * len(np.intersect1d(sets[i], sets[j])) >= 80 * len(np.union1d(sets[i], sets[j]))}
+    left = {tuple(r) for r in near.plausible(spark.createDataFrame(pairs, "query long, member long"), marks).collect()}
+    assert alike <= left and len(left) < len(alike) + (len(pairs) - len(alike)) // 5
+
+
+def test_few_rows_go_to_sets(spark, monkeypatch):
+    rows = [(i, " ".join(f"f{i // 3}w{k}" for k in range(60)) + (f" t{i}" if i % 3 else "")) for i in range(60)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    plans, own = [], near._with_sets
+    monkeypatch.setattr(near, "_with_sets", lambda *x: (found := own(*x), plans.append(found._jdf.queryExecution().sparkPlan().toString()))[0])
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        for few, join in ((100_000, "BroadcastHashJoin"), (-1, "SortMergeJoin")):
+            monkeypatch.setattr(near, "FEW", few)
+            assert Counter(tuple(r) for r in near.linked(docs).collect()) == brute_classes(rows)
+            assert len(plans) == 3 and all(join in p for p in plans)
+            plans.clear()
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
