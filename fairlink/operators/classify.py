@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from fairlink.functions import rng
+from fairlink.operators import measures
 from fairlink.settings import DEFAULT
 
 
@@ -37,6 +38,27 @@ def model(kind: str, train: DataFrame, features: list[str], label: str = "truth"
     return made.fit(rows)
 
 
+def logistic_of_copies(train: DataFrame, features: list[str], weight: str | None = None):
+    """The logistic classifier of rows that stand for as many pairs as copies says, as a function that adds pred and score.
+
+    Features are scaled by the deviations that the single pairs would have, for the learner's own depend on how weights are dealt to rows.
+    """
+    w = F.col(weight) if weight else F.lit(1.0)
+    n, x = F.col("copies"), {c: F.col(c) for c in features}
+    sums = train.agg(F.sum(n * w).alias("w"), F.sum(n * w * w).alias("w2"), *(F.sum(n * w * v).alias(f"{c}_1") for c, v in x.items()))
+    first = sums.first()
+    means = {c: (first[f"{c}_1"] or 0.0) / (first["w"] or 1.0) for c in features}
+    spread = train.agg(*(F.sum(n * w * (v - means[c]) * (v - means[c])).alias(c) for c, v in x.items())).first()
+    free = (first["w"] or 1.0) - (first["w2"] or 0.0) / (first["w"] or 1.0)
+    deviation = {c: max(0.0, (spread[c] or 0.0) / free) ** 0.5 if free > 0 else 0.0 for c in features}
+    scaled = lambda rows: rows.withColumns({f"_{c}": v / (deviation[c] if deviation[c] > 1e-9 else 1.0) for c, v in x.items()})
+    names = [f"_{c}" for c in features]
+    made = LogisticRegression(maxIter=50, regParam=1e-3, standardization=False, weightCol="_weight")
+    rows = scaled(train).withColumn("label", F.col("truth").cast("double")).withColumn("_weight", n * w)
+    fitted = made.fit(VectorAssembler(inputCols=names, outputCol="features").transform(rows))
+    return lambda pairs: predict(fitted, scaled(pairs), names).drop(*names)
+
+
 def predict(fitted, pairs: DataFrame, features: list[str]) -> DataFrame:
     """Adds pred, and score where the model has a probability."""
     out = fitted.transform(VectorAssembler(inputCols=features, outputCol="features").transform(pairs))
@@ -47,8 +69,8 @@ def predict(fitted, pairs: DataFrame, features: list[str]) -> DataFrame:
 
 def group_weights(train: DataFrame, by: list[str]) -> DataFrame:
     """Adds weight: rows of every combination of `by` weigh the same in sum."""
-    sizes = train.groupBy(*by).agg(F.count("*").alias("_n"))
-    total = train.count()
+    sizes = train.groupBy(*by).agg(measures.number(train).alias("_n"))
+    total = train.agg(measures.number(train)).first()[0] or 0
     cells = sizes.count()
     return train.join(F.broadcast(sizes), by).withColumn("weight", F.lit(total / max(1, cells)) / F.col("_n")).drop("_n")
 

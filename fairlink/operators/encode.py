@@ -99,3 +99,16 @@ def encoded(parties: DataFrame, settings: Linkage = DEFAULT, census: bool = Fals
     made = bloom(parties, census_tokens() if census else voter_tokens(settings.q), settings, rounds)
     own = [c for c in made.columns if c[0] == "t" and c[1:2].isdigit()]
     return made.select("party", "rec_id", "entity_id", "group_id", *bits.names(), "n_ones", *own)
+
+
+def encoded_census(parties: DataFrame, settings: Linkage = DEFAULT, rounds: int = 1, attributes: bool = False) -> DataFrame:
+    """As encoded; each combination of the categorical attributes is hashed once, for few of them make up all records."""
+    names = [name for name, *_ in ATTRIBUTES[True]]
+    made = parties.select(*names).distinct()
+    if attributes:
+        made = bloom_attributes(made, settings, True)
+    made = bloom(made, census_tokens(), settings, rounds)
+    own = [c for c in made.columns if c[0] == "t" and c[1:2].isdigit()]
+    made = made.select(*(F.col(c).alias(f"_{c}") for c in names), *bits.names(), "n_ones", *own)
+    same = [F.col(c).eqNullSafe(F.col(f"_{c}")) for c in names]
+    return parties.join(made, same).select("party", "rec_id", "entity_id", "group_id", *bits.names(), "n_ones", *own)

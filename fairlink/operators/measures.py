@@ -15,13 +15,19 @@ def truth_pairs(a: DataFrame, b: DataFrame, key: str = "entity_id") -> DataFrame
     return left.join(right, key).select("id_a", "id_b", "group_id")
 
 
+def number(pairs: DataFrame, condition: Column | None = None) -> Column:
+    """How many pairs the rows stand for, by copies where there is such a column; with a condition those that meet it."""
+    one = F.col("copies") if "copies" in pairs.columns else F.lit(1).cast("long")
+    return F.sum(one if condition is None else F.when(condition, one).otherwise(0)).cast("long")
+
+
 def confusion(pairs: DataFrame, truth: DataFrame | None = None) -> DataFrame:
     """tp, fp, tn, fn per group; with `truth`, pairs that no bin holds count as missed."""
     counts = pairs.groupBy("group_id").agg(
-        F.count_if(F.col("pred") & F.col("truth")).alias("tp"),
-        F.count_if(F.col("pred") & ~F.col("truth")).alias("fp"),
-        F.count_if(~F.col("pred") & ~F.col("truth")).alias("tn"),
-        F.count_if(~F.col("pred") & F.col("truth")).alias("fn"),
+        number(pairs, F.col("pred") & F.col("truth")).alias("tp"),
+        number(pairs, F.col("pred") & ~F.col("truth")).alias("fp"),
+        number(pairs, ~F.col("pred") & ~F.col("truth")).alias("tn"),
+        number(pairs, ~F.col("pred") & F.col("truth")).alias("fn"),
     )
     if truth is None:
         return counts
@@ -96,7 +102,7 @@ def communication(noisy_stats: DataFrame, words: int = 5) -> DataFrame:
 
 def histogram(pairs: DataFrame, buckets: int = 20) -> DataFrame:
     """Similarities of real pairs by group, class and bucket."""
-    return pairs.where("NOT fake").groupBy("group_id", "truth", F.least(F.lit(buckets - 1), F.floor(F.col("sim") * buckets)).cast("int").alias("bucket")).agg(F.count("*").alias("n"))
+    return pairs.where("NOT fake").groupBy("group_id", "truth", F.least(F.lit(buckets - 1), F.floor(F.col("sim") * buckets)).cast("int").alias("bucket")).agg(number(pairs).alias("n"))
 
 
 def overlap_area(hist: DataFrame) -> DataFrame:

@@ -20,7 +20,7 @@ def _side(rows: DataFrame, mark: str, tables: int) -> DataFrame:
     entity = F.col("entity_id") if "entity_id" in has else F.lit(None).cast("long")
     source = F.coalesce("parent_id", "rec_id") if "parent_id" in has else F.col("rec_id")
     extra = [F.col(c).alias(f"{mark}{c}") for c in rows.columns if c[0] == "t" and c[1:2].isdigit() or c == "tokens"]
-    run = [F.col("run").alias(f"run_{mark}")] if "run" in has else []
+    run = [F.col(c).alias(f"{c}_{mark}") for c in ("run", "copies", "half") if c in has]
     return rows.select(
         *BIN, F.col("group_id").alias(f"group_{mark}"), F.col("rec_id").alias(f"id_{mark}"), entity.alias(f"entity_{mark}"), dummy.alias(f"dummy_{mark}"), source.alias(f"source_{mark}"),
         *[F.col(f"w{i}").alias(f"{mark}{i}") for i in range(5)], F.col("n_ones").alias(f"ones_{mark}"), *labels, *extra, *run,
@@ -37,6 +37,8 @@ def _compared(joined: DataFrame, *more: Column) -> DataFrame:
         j += 1
     if "atokens" in joined.columns:
         sims.append(token_dice(F.col("atokens"), F.col("btokens")).alias("plain"))
+    if "copies_a" in joined.columns:  # of kinds: how many pairs the row stands for, and the half of A's records
+        sims += [(F.col("copies_a") * F.col("copies_b")).alias("copies"), F.col("half_a").alias("half")]
     return joined.select(
         *more, "table_no", "label", "id_a", "id_b", F.col("group_a").alias("group_id"), fake.alias("fake"),
         (~fake & (F.col("entity_a") == F.col("entity_b"))).alias("truth"), both.alias("common"), "ones_a", "ones_b",
@@ -44,15 +46,16 @@ def _compared(joined: DataFrame, *more: Column) -> DataFrame:
     )
 
 
-def candidates(a: DataFrame, b: DataFrame, scope: str = "same_group", settings: Linkage = DEFAULT, first_table_only: bool = True, least: float | None = None) -> DataFrame:
+def candidates(a: DataFrame, b: DataFrame, scope: str = "same_group", settings: Linkage = DEFAULT, first_table_only: bool = True, least: float | None = None, entities: bool = False) -> DataFrame:
     """Pairs of the same bin, once each: table_no, label, id_a, id_b, group_id, fake, truth, common, sim.
 
     An equi-join on table and label. A pair of originals counts in the first table whose labels agree,
     which the carried labels tell without a distinct; a dummy sits in one bin only. With `least`,
-    pairs that cannot be more alike by their numbers of ones are left out before words are compared.
+    pairs that cannot be more alike by their numbers of ones are left out before words are compared. With `entities` only
+    true pairs are made.
     """
     left, right = _side(a, "a", settings.label_tables), _side(b, "b", settings.label_tables)
-    joined = left.join(right, BIN)
+    joined = left.withColumn("_e", F.col("entity_a")).join(right.withColumn("_e", F.col("entity_b")), [*BIN, "_e"]) if entities else left.join(right, BIN)
     if scope == "same_group":
         joined = joined.where(F.col("group_a") == F.col("group_b"))
     fake = F.col("dummy_a") | F.col("dummy_b")

@@ -1,4 +1,5 @@
 import hashlib
+from collections import Counter
 
 import pytest
 from fairlink.functions import bits, rng, tokens
@@ -238,3 +239,20 @@ def test_bucketed_sink_joins_without_exchange(spark, bench, tmp_path):
     finally:
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
         spark.sql("DROP DATABASE fl CASCADE")
+
+
+def test_equal_census_records_are_compared_once(spark, small):
+    """Kinds of equal records stand for all pairs of records, half by half, with far fewer rows; so do their dummies' pairs."""
+    from dataclasses import replace
+
+    from fairlink.plans import scenarios
+
+    b = scenarios.bench(spark, small, "census", keep=True, attributes=True)
+    keys = ["group_id", "half", "truth", *scenarios.features_of(b)]
+    kinds, single = scenarios.kind_pairs(b), scenarios.half(scenarios.plain_pairs(b))
+    want = Counter(tuple(r) for r in single.select(*keys).collect())
+    found = {tuple(r)[:-1]: r["copies"] for r in kinds.select(*keys, "copies").collect()}
+    assert found == want and len(found) < 0.7 * sum(want.values())
+    runs = [scenarios.Run("b1"), scenarios.Run("b2", 0.1)]
+    both = [sorted(map(tuple, scenarios.grid(spark, small, runs, "census", classifiers=("threshold", "logistic"), b=replace(b, alike=alike)).collect())) for alike in (True, False)]
+    assert both[0] == both[1]
