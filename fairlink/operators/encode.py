@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 import math
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from fairlink.functions import bits, rng, tokens
 from fairlink.settings import DEFAULT, WORDS, Linkage
+from fairlink.sources.steps import spread
 
 VOTER = (("given", "g:"), ("surname", "s:"), ("suburb", "b:"), ("postcode", "p:"))
 
@@ -101,6 +103,23 @@ def encoded(parties: DataFrame, settings: Linkage = DEFAULT, census: bool = Fals
     return made.select("party", "rec_id", "entity_id", "group_id", *bits.names(), "n_ones", *own)
 
 
+def encoded_values(parties: DataFrame, settings: Linkage = DEFAULT, rounds: int = 1, attributes: bool = False) -> DataFrame:
+    """As encoded; each value of an attribute is hashed once, and a record's filter is put together from those of its values."""
+    secrets = [settings.secret if r == 0 else f"{settings.secret}#{r}" for r in range(rounds)]
+    for j, (name, prefix, kind) in enumerate(ATTRIBUTES[False]):
+        made = spread(parties.select(name).distinct(), name)
+        sets = [("v", F.array_distinct(F.concat(*(token_positions(attribute_tokens(name, prefix, kind, settings.q), settings.k_hash, settings.n_bits, s) for s in secrets))))]
+        if attributes:
+            sets.append(("t", token_positions(attribute_tokens(name, prefix, kind, settings.q), ATTRIBUTE_HASHES, settings.n_bits, settings.secret)))
+        for mark, places in sets:
+            made = made.withColumn("_places", places).withColumns({f"{mark}{j}w{i}": bits.word_of(F.col("_places"), i) for i in range(WORDS)}).drop("_places")
+        parties = parties.join(made.withColumnRenamed(name, "_value"), F.col(name).eqNullSafe(F.col("_value"))).drop("_value")
+    word = lambda i: reduce(lambda x, y: x.bitwiseOR(y), [F.col(f"v{j}w{i}") for j in range(len(ATTRIBUTES[False]))])
+    parties = parties.withColumns({f"w{i}": word(i) for i in range(WORDS)}).withColumn("n_ones", bits.ones().cast("int"))
+    own = [c for c in parties.columns if c[0] == "t" and c[1:2].isdigit()]
+    return parties.select("party", "rec_id", "entity_id", "group_id", *bits.names(), "n_ones", *own)
+
+
 def encoded_census(parties: DataFrame, settings: Linkage = DEFAULT, rounds: int = 1, attributes: bool = False) -> DataFrame:
     """As encoded; each combination of the categorical attributes is hashed once, for few of them make up all records."""
     names = [name for name, *_ in ATTRIBUTES[True]]

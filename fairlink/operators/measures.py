@@ -29,8 +29,11 @@ def confusion(pairs: DataFrame, truth: DataFrame | None = None) -> DataFrame:
         number(pairs, ~F.col("pred") & ~F.col("truth")).alias("tn"),
         number(pairs, ~F.col("pred") & F.col("truth")).alias("fn"),
     )
-    if truth is None:
-        return counts
+    return counts if truth is None else with_truth(counts, truth)
+
+
+def with_truth(counts: DataFrame, truth: DataFrame) -> DataFrame:
+    """Counts whose missed pairs are all true ones that were not found."""
     every = truth.groupBy("group_id").agg(F.count("*").alias("all"))
     full = counts.join(every, "group_id", "full")
     zero = lambda c: F.coalesce(c, F.lit(0).cast("long"))

@@ -256,3 +256,27 @@ def test_equal_census_records_are_compared_once(spark, small):
     runs = [scenarios.Run("b1"), scenarios.Run("b2", 0.1)]
     both = [sorted(map(tuple, scenarios.grid(spark, small, runs, "census", classifiers=("threshold", "logistic"), b=replace(b, alike=alike)).collect())) for alike in (True, False)]
     assert both[0] == both[1]
+
+
+def test_tiles_are_the_pair_join(spark, small, monkeypatch):
+    """Passes over tiles, of several blocks a bin, count and train as the pairs of the join do; learners write no pairs."""
+    from fairlink.operators import tiles
+
+    b = scenarios.bench(spark, small, "dirty", keep=True, attributes=True)
+    made, own = scenarios.tiled(b), scenarios.plain_pairs(b)
+    assert sorted(scenarios.threshold_counts(b, made).collect()) == sorted(measures.confusion(classify.threshold(own)).collect())
+    monkeypatch.setattr(tiles, "CHUNK", 7)
+    train = classify.group_weights(scenarios.half(own).where("NOT half"), ["truth", "group_id"])
+    model, beta = classify.model("logistic", train, scenarios.features_of(b), weight="weight"), tiles.logistic(made, 5, 5, True)
+    assert [beta[0], *beta[1:]] == pytest.approx([model.intercept, *model.coefficients], abs=1e-3)
+    monkeypatch.setattr(scenarios, "plain_pairs", None)
+    counts = scenarios.grid(spark, small, [scenarios.Run("b1")], "dirty", classifiers=("logistic",), b=b).select("group_id", "tp", "fp", "tn").collect()
+    want = measures.confusion(classify.predict(model, scenarios.half(own).where("half"), scenarios.features_of(b))).select("group_id", "tp", "fp", "tn").collect()
+    assert sorted(counts) == sorted(want)
+
+
+def test_values_are_hashed_once(spark, small):
+    rows = people.parties(spark, small, "dirty")
+    for rounds, attributes in ((1, True), (2, False)):
+        every, once = encode.encoded(rows, rounds=rounds, attributes=attributes), encode.encoded_values(rows, rounds=rounds, attributes=attributes)
+        assert once.count() == every.count() and every.exceptAll(once.select(*every.columns)).count() == 0
