@@ -273,8 +273,9 @@ def sweep(spark: SparkSession, sf_dir: str, names=SCENARIOS, eps=(0.1, 1.0, 10.0
     for flavour in flavours:
         b = bench(spark, sf_dir, flavour, features, keep=True, attributes=any(c in LEARNED for c in classifiers))
         runs = [Run(n, e, flip) for n in names for e in eps]
+        found = threshold_counts(b, tiled(b)) if tuple(classifiers) == ("threshold",) and not b.alike and options.get("sample", 1.0) >= 1 else None
         for seed in seeds:
-            out.append(summaries(grid(spark, sf_dir, runs, flavour, features, classifiers, seed=seed, b=b, **options)).withColumn("flavour", F.lit(flavour)))
+            out.append(summaries(grid(spark, sf_dir, runs, flavour, features, classifiers, seed=seed, b=b, found=found, **options)).withColumn("flavour", F.lit(flavour)))
     every = reduce(DataFrame.unionByName, out)
     keys = ["flavour", "scenario", "eps", "flip", "classifier"]
     return every.groupBy(*keys).agg(*(F.avg(c).alias(c) for c in every.columns if c not in keys)) if len(seeds) > 1 else every

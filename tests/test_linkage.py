@@ -280,3 +280,10 @@ def test_values_are_hashed_once(spark, small):
     for rounds, attributes in ((1, True), (2, False)):
         every, once = encode.encoded(rows, rounds=rounds, attributes=attributes), encode.encoded_values(rows, rounds=rounds, attributes=attributes)
         assert once.count() == every.count() and every.exceptAll(once.select(*every.columns)).count() == 0
+
+
+def test_sweep_counts_originals_once(spark, small, monkeypatch):
+    runs = {"names": ("b1", "b2"), "eps": (1.0,), "seeds": (7, 8)}
+    want = [tuple(r) for r in scenarios.summaries(scenarios.grid(spark, small, [scenarios.Run("b1")])).select("fpr", "recall", "comparisons").collect()]
+    monkeypatch.setattr(scenarios, "plain_pairs", None)
+    assert [tuple(r) for r in scenarios.sweep(spark, small, **runs).where("scenario = 'b1'").select("fpr", "recall", "comparisons").collect()] == want
