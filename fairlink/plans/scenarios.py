@@ -21,7 +21,7 @@ from fairlink.sources.steps import written
 
 SCENARIOS = ("b1", "b2", "b3", "a", "b")
 LEARNED = ("logistic", "logistic_plain", "tree", "forest", "svm")
-FORESTS = {"tree": 1}
+FORESTS = {"tree": 1, "forest": cells.TREES}
 
 
 @dataclass(frozen=True)

@@ -290,7 +290,7 @@ def test_sweep_counts_originals_once(spark, small, monkeypatch):
 
 
 def test_trees_of_cells_are_those_of_pairs(spark, small, monkeypatch):
-    """A tree of cells is that of Spark's learner on single pairs; it writes no pair."""
+    """A tree of cells is that of Spark's learner on single pairs; neither it nor a forest writes a pair."""
     from fairlink.operators import cells
 
     b = scenarios.bench(spark, small, "dirty", keep=True, attributes=True)
@@ -299,8 +299,10 @@ def test_trees_of_cells_are_those_of_pairs(spark, small, monkeypatch):
     want = sorted(measures.confusion(classify.predict(model, own.where("half"), scenarios.features_of(b))).select("group_id", "tp", "fp", "tn").collect())
     monkeypatch.setattr(scenarios, "plain_pairs", None)
     monkeypatch.setattr(cells, "CHUNK", 7)
-    counts = {kind: scenarios.grid(spark, small, [scenarios.Run("b1")], "dirty", classifiers=(kind,), b=b).select("group_id", "tp", "fp", "tn", "real").collect() for kind in ("tree",)}
+    counts = {kind: scenarios.grid(spark, small, [scenarios.Run("b1")], "dirty", classifiers=(kind,), b=b).select("group_id", "tp", "fp", "tn", "real").collect() for kind in ("tree", "forest")}
     assert sorted(tuple(r)[:4] for r in counts["tree"]) == [tuple(r) for r in want]
+    every, true = own.where("half").count(), own.where("half AND truth").count()
+    assert sum(r["real"] for r in counts["forest"]) == every and sum(r["tp"] for r in counts["forest"]) >= 0.8 * true
     grid, leaves = cells.fitted(scenarios.tiled(b), 5, 5, 3)
     found, single = tiles_judged(scenarios.tiled(b), grid, leaves), measures.confusion(cells.scored(own.where("half"), grid, leaves, scenarios.features_of(b)))
     assert sorted(found.collect()) == sorted(single.collect())
