@@ -103,8 +103,8 @@ def encoded(parties: DataFrame, settings: Linkage = DEFAULT, census: bool = Fals
     return made.select("party", "rec_id", "entity_id", "group_id", *bits.names(), "n_ones", *own)
 
 
-def encoded_values(parties: DataFrame, settings: Linkage = DEFAULT, rounds: int = 1, attributes: bool = False) -> DataFrame:
-    """As encoded; each value of an attribute is hashed once, and a record's filter is put together from those of its values."""
+def encoded_values(parties: DataFrame, settings: Linkage = DEFAULT, rounds: int = 1, attributes: bool = False, more: tuple[str, ...] = ()) -> DataFrame:
+    """As encoded, with more columns where they are asked for; each value of an attribute is hashed once, and a record's filter is put together from those of its values."""
     secrets = [settings.secret if r == 0 else f"{settings.secret}#{r}" for r in range(rounds)]
     for j, (name, prefix, kind) in enumerate(ATTRIBUTES[False]):
         made = spread(parties.select(name).distinct(), name)
@@ -117,7 +117,7 @@ def encoded_values(parties: DataFrame, settings: Linkage = DEFAULT, rounds: int
     word = lambda i: reduce(lambda x, y: x.bitwiseOR(y), [F.col(f"v{j}w{i}") for j in range(len(ATTRIBUTES[False]))])
     parties = parties.withColumns({f"w{i}": word(i) for i in range(WORDS)}).withColumn("n_ones", bits.ones().cast("int"))
     own = [c for c in parties.columns if c[0] == "t" and c[1:2].isdigit()]
-    return parties.select("party", "rec_id", "entity_id", "group_id", *bits.names(), "n_ones", *own)
+    return parties.select("party", "rec_id", "entity_id", "group_id", *bits.names(), "n_ones", *own, *more)
 
 
 def encoded_census(parties: DataFrame, settings: Linkage = DEFAULT, rounds: int = 1, attributes: bool = False) -> DataFrame:
