@@ -37,7 +37,7 @@ def _compared(joined: DataFrame, *more: Column) -> DataFrame:
         j += 1
     if "atokens" in joined.columns:
         sims.append(token_dice(F.col("atokens"), F.col("btokens")).alias("plain"))
-    if "copies_a" in joined.columns:  # of kinds: how many pairs the row stands for, and the half of A's records
+    if {"copies_a", "half_a"} <= set(joined.columns):  # of kinds: how many pairs the row stands for, and the half of A's records
         sims += [(F.col("copies_a") * F.col("copies_b")).alias("copies"), F.col("half_a").alias("half")]
     return joined.select(
         *more, "table_no", "label", "id_a", "id_b", F.col("group_a").alias("group_id"), fake.alias("fake"),
