@@ -308,6 +308,41 @@ def test_trees_of_cells_are_those_of_pairs(spark, small, monkeypatch):
     assert sorted(found.collect()) == sorted(single.collect())
 
 
+def test_support_vectors_of_tiles_are_those_of_pairs(spark, small, monkeypatch):
+    """The classifier of tiles has the least loss on single pairs, from however poor a start, and Spark's verdicts; it writes no pair."""
+    from dataclasses import replace
+
+    import numpy as np
+    from fairlink.operators import hinge, tiles
+
+    b = scenarios.bench(spark, small, "dirty", keep=True, attributes=True)
+    own = scenarios.half(scenarios.plain_pairs(b)).cache()
+    names = scenarios.features_of(b)
+    model = classify.model("svm", own.where("NOT half"), names)
+    rows = own.where("NOT half").select(*names, "truth").toPandas()
+    x, y = rows[names].to_numpy(), np.where(rows["truth"], 1.0, -1.0)
+
+    def loss(beta):
+        return np.maximum(0.0, 1 - y * (beta[0] + x @ beta[1:])).mean() + 0.5e-3 * (x.var(0, ddof=1) * beta[1:] ** 2).sum()
+
+    made = scenarios.tiled(b)
+    whole = hinge.fitted(made, 5, 5)
+    for name, value in (("NEAR", 0), ("LEAST", 0), ("FLUSH", 6)):
+        monkeypatch.setattr(hinge, name, value)
+    monkeypatch.setattr(tiles, "CHUNK", 7)
+    passes, read = [], hinge._beyond
+    monkeypatch.setattr(hinge, "_beyond", lambda *x: passes.append(x) or read(*x))
+    few = hinge.fitted(made, 5, 5, start=8)
+    assert len(passes) >= 2
+    assert loss(whole) <= loss(np.array([model.intercept, *model.coefficients])) and loss(few) == pytest.approx(loss(whole), rel=1e-3)
+    none = replace(b, blocked=b.blocked.withColumn("entity_id", F.lit(None).cast("long")))
+    assert hinge.fitted(scenarios.tiled(none), 5, 5).tolist() == [-1.0] + [0.0] * 6
+    want = measures.confusion(classify.predict(model, own.where("half"), names)).select("group_id", "tp", "fp", "tn").collect()
+    monkeypatch.setattr(scenarios, "plain_pairs", None)
+    counts = scenarios.grid(spark, small, [scenarios.Run("b1")], "dirty", classifiers=("svm",), b=b).select("group_id", "tp", "fp", "tn").collect()
+    assert sorted(counts) == sorted(want)
+
+
 def tiles_judged(made, grid, leaves):
     from fairlink.operators import cells, tiles
 
